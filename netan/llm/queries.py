@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from netan.llm import mixing, sharding, token_counts, token_files
+from netan.llm import decontamination, html_text, language_id, mixing, quality, sharding, token_counts, token_files
 from netan.llm.common import table
 
 #: Shards and their turns a round in op9.
@@ -32,6 +32,24 @@ def op1_mixing(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents"), source_domain(), node_weight(), 0.5, 4, seed=11)
 
 
+def op3_html_text(spark, sf_dir):
+    return html_text.main_text(table(spark, sf_dir, "pages"))
+
+
+def op4_language_id(spark, sf_dir):
+    return language_id.identify(table(spark, sf_dir, "documents"))
+
+
+def op5_decontamination(spark, sf_dir):
+    index = decontamination.build_index(table(spark, sf_dir, "documents"))
+    judged = decontamination.judge(index, table(spark, sf_dir, "benchmark"))
+    return judged.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
+
+
+def op6_quality(spark, sf_dir):
+    return quality.assess(table(spark, sf_dir, "documents")).drop("rid")
+
+
 def op7_token_files(spark, sf_dir):
     return token_files.read_ids(token_files.write_ids(table(spark, sf_dir, "documents")))
 
@@ -47,6 +65,10 @@ def op10_token_counts(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_mixing": op1_mixing,
+        "op3_html_text": op3_html_text,
+        "op4_language_id": op4_language_id,
+        "op5_decontamination": op5_decontamination,
+        "op6_quality": op6_quality,
         "op7_token_files": op7_token_files,
         "op9_sharding": op9_sharding,
         "op10_token_counts": op10_token_counts,
