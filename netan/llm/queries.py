@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from netan.llm import decontamination, html_text, language_id, mixing, quality, sharding, token_counts, token_files
+from netan.llm import decontamination, html_text, language_id, mixing, ngram_join, quality, sharding, substring_dedup, token_counts, token_files
 from netan.llm.common import table
 
 #: Shards and their turns a round in op9.
@@ -32,6 +32,10 @@ def op1_mixing(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents"), source_domain(), node_weight(), 0.5, 4, seed=11)
 
 
+def op2_substring_dedup(spark, sf_dir):
+    return substring_dedup.remove(table(spark, sf_dir, "documents"))
+
+
 def op3_html_text(spark, sf_dir):
     return html_text.main_text(table(spark, sf_dir, "pages"))
 
@@ -54,6 +58,10 @@ def op7_token_files(spark, sf_dir):
     return token_files.read_ids(token_files.write_ids(table(spark, sf_dir, "documents")))
 
 
+def op8_ngram_join(spark, sf_dir):
+    return ngram_join.similar(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
+
+
 def op9_sharding(spark, sf_dir):
     return sharding.place(table(spark, sf_dir, "documents"), SHARDS, SHARD_SLOTS)
 
@@ -65,11 +73,13 @@ def op10_token_counts(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_mixing": op1_mixing,
+        "op2_substring_dedup": op2_substring_dedup,
         "op3_html_text": op3_html_text,
         "op4_language_id": op4_language_id,
         "op5_decontamination": op5_decontamination,
         "op6_quality": op6_quality,
         "op7_token_files": op7_token_files,
+        "op8_ngram_join": op8_ngram_join,
         "op9_sharding": op9_sharding,
         "op10_token_counts": op10_token_counts,
     }
