@@ -2,14 +2,296 @@
 
 from __future__ import annotations
 
+import math
+from functools import partial
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import functions as F
 
+from netan import clustering, communities, components, measures, oracle, pagerank, partition, relational, stats
+from netan.baselines import shared_memory
+from netan.derive import DIRECTED, NAMES, network
+from netan.measures import RunLedger
+from netan.streaming import replays
 
-def oracle_sql() -> dict:
-    return {}
+
+def _net(spark, sf_dir, name):
+    return network(spark, sf_dir, name).kept()
+
+
+def _rounded(df, column="score"):
+    return df.withColumn(column, F.round(column, 6))
+
+
+def _changes(ledger: RunLedger, spark, steps: int):
+    rows = {s.superstep: s.changed for s in ledger.steps}
+    return spark.createDataFrame([(k, int(rows.get(k, 0))) for k in range(1, steps + 1)], "superstep int, changed long")
+
+
+COMPONENT_METHODS = {
+    "bsp": lambda n: components.bsp(n),
+    "dataflow": lambda n: components.dataflow(n),
+    "dataflow_workset": lambda n: components.dataflow(n, workset=True),
+    "gas": lambda n: components.gas(n),
+    "gas_message": lambda n: components.gas(n, "message"),
+    "gas_delta": lambda n: components.gas(n, "delta"),
+    "block": lambda n: components.block(n, partition.by_modulo(n, 4)),
+    "msr": lambda n: components.msr(n),
+    "contract": lambda n: components.contract(n),
+    "async": lambda n: components.gas(n, mode="async", classes=2),
+    "message_async": lambda n: components.gas(n, "message", "async", classes=2),
+    "shm": lambda n: shared_memory.components(n),
+    "sql": lambda n: components.sql(n),
+}
+COMPONENT_FIXTURES = {"bsp": ("sharedline", "colink", "chat"), "sql": ("colink", "chat"), "contract": ("sharedline", "copurchase2", "geo"), "msr": ("colink", "covalue"), "async": ("colink", "geo"), "message_async": ("colink", "geo")}
+
+
+def _cc(method, name, spark, sf_dir):
+    return COMPONENT_METHODS[method](_net(spark, sf_dir, name))
+
+
+def _cc_updates(spark, sf_dir):
+    ledger = RunLedger("bsp")
+    components.bsp(_net(spark, sf_dir, "sharedline"), ledger=ledger)
+    return _changes(ledger, spark, 12)
+
+
+LPA = {
+    "lpa_bsp_min_sharedline": (lambda n: communities.bsp(n, 6, halt="fixed"), oracle.communities("sharedline", 6)),
+    "lpa_bsp_min_colink": (lambda n: communities.bsp(n, 6), oracle.communities("colink", 6)),
+    "lpa_dataflow_min_colink": (lambda n: communities.dataflow(n, 6), oracle.communities("colink", 6)),
+    "lpa_gas_min_colink": (lambda n: communities.gas(n, 6), oracle.communities("colink", 6)),
+    "lpa_msr_min_colink": (lambda n: communities.msr(n, 6), oracle.communities("colink", 6)),
+    "lpa_min_neighbour_colink": (lambda n: communities.bsp(n, 5, init="min_neighbour"), oracle.communities("colink", 5, init="min_neighbour")),
+    "lpa_random_tie_colink": (lambda n: communities.bsp(n, 4, tie="random", halt="fixed"), oracle.communities("colink", 4, tie="random")),
+    "lpa_random_init_colink": (lambda n: communities.bsp(n, 4, init="random_neighbour", halt="fixed"), oracle.communities("colink", 4, init="random_neighbour")),
+    "lpa_keep_tie_sharedline": (lambda n: communities.bsp(n, 4, tie="keep", halt="fixed"), oracle.communities("sharedline", 4, tie="keep")),
+    "lpa_sweep_sharedline": (lambda n: communities.sweep(n, 3), oracle.sweeps("sharedline", 3)),
+    "lpa_sweep_supply": (lambda n: communities.sweep(n, 2), oracle.sweeps("supply", 2)),
+    "lpa_block_colink": (lambda n: communities.block(n, partition.by_modulo(n, 4), 5), None),
+    "lpa_gas_async_colink": (lambda n: communities.gas(n, 10, "async"), None),
+    "lpa_shm_colink": (lambda n: shared_memory.communities(n), None),
+}
+
+
+def _oscillation(name, spark, sf_dir):
+    ledger = RunLedger("lpa")
+    communities.bsp(_net(spark, sf_dir, name), 8, halt="fixed", ledger=ledger)
+    return _changes(ledger, spark, 8)
+
+
+def _restart(net):
+    return net.vertices().where("id % 2 = 0").select("id", F.lit(1.0).alias("r"))
+
+
+POWER = {
+    "power": lambda n: pagerank.power(n),
+    "dataflow": lambda n: pagerank.dataflow(n),
+    "bsp_fixed": lambda n: pagerank.bsp(n),
+    "gas_fixed": lambda n: pagerank.gas(n, -1.0, max_steps=10),
+    "msr": lambda n: pagerank.msr(n),
+    "delta": lambda n: pagerank.gas(n, -1.0, variant="delta", max_steps=10),
+}
+POWER_FIXTURES = {"power": ("handoff", "trade", "hyperlink"), "dataflow": ("handoff", "hyperlink")}
+LIMIT = {
+    "tolerance": lambda n: pagerank.power(n, 200, tolerance=1e-9),
+    "bsp_tolerance": lambda n: pagerank.bsp(n, 200, "tolerance", 1e-9),
+    "gas_converged": lambda n: pagerank.gas(n, 1e-9),
+    "async": lambda n: pagerank.gas(n, 1e-9, mode="async", classes=2),
+    "accumulative": lambda n: pagerank.accumulative(n),
+    "block": lambda n: pagerank.block(n, partition.by_modulo(n, 4)),
+    "shm": lambda n: shared_memory.pagerank(n, 1e-10),
+}
+
+
+def _top(spark, sf_dir):
+    return pagerank.top(_rounded(pagerank.power(_net(spark, sf_dir, "handoff"))), 20)
+
+
+def _rank(spark, sf_dir):
+    from pyspark.sql import Window
+
+    scores = _rounded(pagerank.power(_net(spark, sf_dir, "handoff")))
+    return scores.select("id", F.rank().over(Window.orderBy(F.col("score").desc())).cast("long").alias("rank"))
+
+
+def _residual(spark, sf_dir):
+    net = _net(spark, sf_dir, "handoff")
+    return pagerank.residual(net, pagerank.power(net))
+
+
+def _deltas(spark, sf_dir):
+    ledger = RunLedger("pagerank")
+    pagerank.power(_net(spark, sf_dir, "handoff"), ledger=ledger)
+    return spark.createDataFrame([(s.superstep, round(s.delta_max, 6)) for s in ledger.steps], "iteration int, delta_max double")
+
+
+def _approx_error(spark, sf_dir):
+    net = _net(spark, sf_dir, "colink")
+    exact = clustering.average_local(net).select(F.col("coefficient").alias("exact"))
+    out = None
+    for k in (100, 1000, 10_000):
+        row = clustering.approx_average_local(net, k).crossJoin(exact).select("samples", F.round(F.abs(F.col("coefficient") - F.col("exact")), 6).alias("error"))
+        out = row if out is None else out.union(row)
+    return out
+
+
+def _approx_error_sql():
+    one = lambda k: f"SELECT samples, coefficient FROM ({oracle.sampled('colink', k)})"
+    exact = oracle.clustering("colink", oracle.AVERAGE)
+    return "SELECT samples, round(abs(a.coefficient - x.coefficient), 6) AS error FROM (" + " UNION ALL ".join(one(k) for k in (100, 1000, 10_000)) + f") a, ({exact}) x"
+
+
+def _epsilon(samples):
+    return round(math.sqrt(math.log(40) / (2 * samples)), 6)
+
+
+def _ledger(spark, sf_dir):
+    """Updates of synchronous and asynchronous runs, and of the three variants, on one network."""
+    net, rows = _net(spark, sf_dir, "covalue"), []
+    runs = [("cc", v, m) for v in ("standard", "message") for m in ("sync", "async")] + [("cc", "delta", "sync"), ("pagerank", "standard", "sync"), ("pagerank", "standard", "async")]
+    for problem, variant, mode in runs:
+        ledger = RunLedger(problem)
+        if problem == "cc":
+            components.gas(net, variant, mode, ledger=ledger)
+        else:
+            pagerank.gas(net, 1e-3, degree="total", mode=mode, ledger=ledger)
+        rows.append((problem, variant, mode, len(ledger.steps), int(ledger.total("updates")), float(ledger.total("seconds"))))
+    return spark.createDataFrame(rows, "problem string, variant string, mode string, steps long, updates long, seconds double")
+
+
+def _compare(spark, sf_dir):
+    net = _net(spark, sf_dir, "colink")
+    return measures.agreement(components.contract(net), communities.bsp(net, 6), "component", "community")
+
+
+def _attributes(spark, sf_dir):
+    labels = components.contract(_net(spark, sf_dir, "sharedline"))
+    quality = spark.read.parquet(f"{sf_dir}/labels.parquet").select(F.col("doc_id").alias("id"), "quality")
+    return labels.join(quality, "id").groupBy("component").agg(F.count("*").alias("labelled"), F.round(F.avg("quality"), 6).alias("quality"))
+
+
+def _purity(spark, sf_dir):
+    net = _net(spark, sf_dir, "nearest")
+    truth = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("id"), "label")
+    return communities.purity(communities.sweep(net, 6), truth)
+
+
+def _mod4(net):
+    return partition.by_modulo(net, 4)
+
+
+MOD4 = "b AS (SELECT id, (id % 4)::INTEGER AS block FROM v)"
+PARTITION = {
+    "part_boundary": (lambda n: partition.boundary(n, _mod4(n)), "SELECT block, (SELECT count(*) FROM b y WHERE y.block = b.block) AS internal, (SELECT count(DISTINCT e.dst) FROM e WHERE e.src % 4 = b.block AND e.dst % 4 <> b.block) AS boundary FROM b GROUP BY block"),
+    "part_cut": (lambda n: partition.edge_cut(n, _mod4(n)), "SELECT count(*) AS edges, count(*) FILTER (src % 4 <> dst % 4) AS cross, round(count(*) FILTER (src % 4 <> dst % 4) / count(*), 6) AS share FROM e0"),
+    "part_balance": (lambda n: partition.balance(_mod4(n)), "SELECT count(*) AS blocks, max(n) AS largest, round(max(n) / avg(n), 6) AS ratio FROM (SELECT count(*) AS n FROM b GROUP BY block)"),
+    "part_replication": (lambda n: partition.replication(n, F.pmod("src", F.lit(4)) * 4 + F.pmod("dst", F.lit(4))), "SELECT round(avg(c), 6) AS factor FROM (SELECT id, count(*) AS c FROM (SELECT DISTINCT src % 4 * 4 + dst % 4 AS p, unnest([src, dst]) AS id FROM e0) GROUP BY id)"),
+    "msgs_raw_combined_cross": (lambda n: partition.messages(n, _mod4(n)), "SELECT count(*) AS raw, count(DISTINCT (src % 4, dst)) AS combined, count(*) FILTER (src % 4 <> dst % 4) AS cross FROM e"),
+}
 
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    """Of each shared-line component: size, average clustering of its documents, and the highest PageRank among them."""
+    net = _net(spark, sf_dir, "sharedline")
+    rows = components.bsp(net).join(clustering.local(net), "id").join(pagerank.power(net, degree="total"), "id")
+    return rows.groupBy("component").agg(F.count("*").alias("size"), F.round(F.avg("coefficient"), 6).alias("clustering"), F.round(F.max("score"), 6).alias("top_score"))
+
+
+def _registry():
+    q, o = {}, {}
+
+    def add(name, fixture, make, sql=None):
+        q[name] = lambda spark, sf_dir: make(_net(spark, sf_dir, fixture))
+        if sql:
+            o[name] = sql
+
+    for name in NAMES:
+        if name != "nearest":
+            q[f"fixture_{name}"] = lambda spark, sf_dir, n=name: network(spark, sf_dir, n).edges
+            o[f"fixture_{name}"] = oracle.edges(name)
+        else:
+            q["fixture_nearest"] = lambda spark, sf_dir: network(spark, sf_dir, "nearest").edges
+        if name not in ("nearest", "cosupply", "coactivity"):
+            add(f"stats_overview_{name}", name, stats.overview, oracle.overview(name))
+    for method in COMPONENT_METHODS:
+        for f in COMPONENT_FIXTURES.get(method, ("colink", "copurchase2")):
+            q[f"cc_{method}_{f}"] = partial(_cc, method, f)
+            o[f"cc_{method}_{f}"] = oracle.components(f)
+    q["cc_updates_per_step"], o["cc_updates_per_step"] = _cc_updates, oracle.component_updates("sharedline", 12)
+    add("cc_sizes", "sharedline", lambda n: components.sizes(components.contract(n)), oracle.components("sharedline", "SELECT component, count(*) AS size FROM cc GROUP BY 1"))
+    top = "(SELECT component, count(*) AS size FROM cc GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 1)"
+    add("cc_giant", "sharedline", lambda n: components.giant(components.contract(n)), oracle.components("sharedline", f"SELECT component, size, round(size / (SELECT count(*) FROM cc), 6) AS share FROM {top}"))
+    add("cc_in_giant", "sharedline", lambda n: components.in_giant(components.contract(n)), oracle.components("sharedline", f"SELECT id, cc.component = t.component AS in_giant FROM cc, {top} t"))
+    add("cc_count", "sharedline", lambda n: components.contract(n).agg(F.count_distinct("component").alias("components")), oracle.components("sharedline", "SELECT count(DISTINCT component) AS components FROM cc"))
+    for name, (make, sql) in LPA.items():
+        add(name, name.rsplit("_", 1)[1], make, sql)
+    for f in ("supply", "geo", "hyperlink"):
+        q[f"lpa_oscillation_{f}"], o[f"lpa_oscillation_{f}"] = partial(_oscillation, f), oracle.label_changes(f, 8)
+    add("lpa_sizes", "colink", lambda n: communities.sizes(communities.bsp(n, 6)), oracle.communities("colink", 6, select="SELECT l AS community, count(*) AS size FROM s6 GROUP BY 1"))
+    q["lpa_label_purity"] = _purity
+    mod = "SELECT round((SELECT count(*) FROM e JOIN s6 a ON a.id = e.src JOIN s6 b ON b.id = e.dst WHERE a.l = b.l) / (SELECT count(*) FROM e) - (SELECT sum(d::DOUBLE * d) FROM (SELECT l, count(*) AS d FROM e JOIN s6 ON s6.id = e.src GROUP BY 1)) / ((SELECT count(*) FROM e)::DOUBLE * (SELECT count(*) FROM e)), 6) AS modularity"
+    add("lpa_modularity", "colink", lambda n: communities.modularity(n, communities.bsp(n, 6)), oracle.communities("colink", 6, select=mod))
+    add("lpa_partition_cut", "colink", lambda n: partition.edge_cut(n, partition.by_label_propagation(n, 4)))
+    for method, make in POWER.items():
+        for f in POWER_FIXTURES.get(method, ("handoff",)):
+            add(f"pr_{method}_{f}", f, lambda n, make=make: _rounded(make(n)), oracle.pagerank(f))
+    for f in ("colink", "copurchase"):
+        add(f"pr_undirected_{f}", f, lambda n: _rounded(pagerank.power(n, degree="total")), oracle.pagerank(f, directed=False))
+    add("pr_personalised", "handoff", lambda n: _rounded(pagerank.power(n, restart=_restart(n))), oracle.pagerank("handoff", restart="(CASE WHEN v.id % 2 = 0 THEN 1.0 ELSE 0.0 END)"))
+    add("pr_dangling_spread", "trade", lambda n: _rounded(pagerank.power(n, dangling="spread")), oracle.pagerank("trade", spread=True))
+    for method, make in LIMIT.items():
+        add(f"pr_{method}", "handoff", lambda n, make=make: _rounded(make(n)), oracle.pagerank_limit("handoff"))
+    q["pr_top20"], o["pr_top20"] = _top, oracle.pagerank("handoff", select="SELECT id, round(s, 6) AS score FROM r10 ORDER BY round(s, 6) DESC, id LIMIT 20")
+    q["pr_rank"], o["pr_rank"] = _rank, oracle.pagerank("handoff", select="SELECT id, rank() OVER (ORDER BY round(s, 6) DESC) AS rank FROM r10")
+    q["pr_residual"], o["pr_residual"] = _residual, oracle.pagerank("handoff", 11, select="SELECT round(max(abs(a.s - b.s)), 6) AS delta_max FROM r10 a JOIN r11 b USING (id)")
+    q["pr_max_delta_per_iteration"] = _deltas
+    o["pr_max_delta_per_iteration"] = oracle.pagerank("handoff", select=" UNION ALL ".join(f"SELECT {k} AS iteration, round(max(abs(a.s - b.s)), 6) AS delta_max FROM r{k - 1} a JOIN r{k} b USING (id)" for k in range(1, 11)))
+    for method in clustering.METHODS:
+        for f in ("colink", "sharedline"):
+            add(f"clu_local_{method}_{f}", f, lambda n, m=method: _rounded(clustering.local(n, m), "coefficient"), oracle.clustering(f, oracle.LOCAL_ROWS))
+    for f in ("colink", "sharedline", "copurchase", "covalue"):
+        add(f"tri_total_{f}", f, clustering.triangles, oracle.clustering(f, oracle.TRIANGLES))
+        add(f"clu_average_{f}", f, clustering.average_local, oracle.clustering(f, oracle.AVERAGE))
+        add(f"clu_global_{f}", f, clustering.global_coefficient, oracle.clustering(f, oracle.GLOBAL))
+    for f in ("colink", "covalue"):
+        add(f"clu_approx_average_{f}", f, lambda n: clustering.approx_average_local(n, 10_000), oracle.sampled(f, 10_000, epsilon=_epsilon(10_000)))
+        add(f"clu_approx_global_{f}", f, lambda n: clustering.approx_global(n, 10_000), oracle.sampled(f, 10_000, weight="degree * (degree - 1)", epsilon=_epsilon(10_000)))
+        add(f"clu_approx_bsp_{f}", f, lambda n: clustering.approx_bsp(n, 10_000), oracle.sampled(f, 10_000, epsilon=_epsilon(10_000)))
+        add(f"clu_approx_fixed_pairs_{f}", f, clustering.approx_fixed_pairs, oracle.fixed_pairs(f, 4))
+    q["clu_approx_error"], o["clu_approx_error"] = _approx_error, _approx_error_sql()
+    for f in ("copurchase", "handoff"):
+        head = ("u AS MATERIALIZED (SELECT DISTINCT src, dst FROM e)", "d AS (SELECT src, count(*) AS degree FROM u GROUP BY 1)")
+        add(f"stats_degree_histogram_{f}", f, stats.degree_histogram, oracle._with(f, *head) + " SELECT degree, count(*) AS vertices FROM d GROUP BY 1")
+        add(f"stats_degree_skew_{f}", f, stats.degree_skew, oracle._with(f, *head) + " SELECT max(degree) AS largest, round(avg(degree), 6) AS mean, round(max(degree) / avg(degree), 6) AS ratio FROM d")
+    for name, (make, sql) in PARTITION.items():
+        add(name, "colink", make, oracle._with("colink", MOD4) + " " + sql)
+    add("net_in_degree", "hyperlink", stats.in_degrees, oracle._with("hyperlink") + " SELECT dst AS id, count(*) AS degree FROM e0 GROUP BY 1")
+    add("net_out_degree", "handoff", stats.out_degrees, oracle._with("handoff") + " SELECT src AS id, count(*) AS degree FROM e0 GROUP BY 1")
+    add("net_reverse", "handoff", lambda n: n.reversed().edges.select("src", "dst"), oracle._with("handoff") + " SELECT dst AS src, src AS dst FROM e0")
+    add("net_subgraph", "handoff", lambda n: n.subgraph(F.col("id") % 2 == 0).edges.select("src", "dst"), oracle._with("handoff") + " SELECT src, dst FROM e0 WHERE src % 2 = 0 AND dst % 2 = 0")
+    add("net_k_hop", "colink", lambda n: _k_hop(n, 0, 2), oracle._with("colink") + " SELECT id, min(h)::INTEGER AS hops FROM (SELECT 0 AS id, 0 AS h UNION ALL SELECT dst, 1 FROM e WHERE src = 0 UNION ALL SELECT b.dst, 2 FROM e a JOIN e b ON a.dst = b.src WHERE a.src = 0) GROUP BY 1")
+    q["net_compare"], q["net_attributes"] = _compare, _attributes
+    o["net_attributes"] = oracle.components("sharedline", "SELECT component, count(*) AS labelled, round(avg(quality), 6) AS quality FROM cc JOIN labels ON labels.doc_id = cc.id GROUP BY 1")
+    q["ledger_sync_async"] = _ledger
+    for part in (relational, replays):
+        q.update(part.queries())
+        o.update(part.oracle_sql())
+    return q, o
+
+
+def _k_hop(net, start, k):
+    """(id, hops) of the vertices within k steps of start."""
+    reached = net.spark.createDataFrame([(start, 0)], "id long, hops int")
+    arcs = net.undirected().mirrored()
+    for h in range(1, k + 1):
+        new = arcs.join(reached, arcs["src"] == reached["id"]).select(F.col("dst").alias("id"), F.lit(h).alias("hops"))
+        reached = reached.union(new).groupBy("id").agg(F.min("hops").alias("hops"))
+    return reached
+
+
+def queries() -> dict:
+    return _registry()[0]
+
+
+def oracle_sql() -> dict:
+    return _registry()[1]
