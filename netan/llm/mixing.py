@@ -106,3 +106,25 @@ def mix(docs: DataFrame, domain: Column, weight: Column, share_of_supply: float
     out = sure.unionByName(last).where("copies > 0")
     return out.select("doc_id", *LEVELS, "n_tokens", F.col("copies").cast("long").alias("copies"), *(F.col(f"_{c}") for c in keep))
 
+
+
+def sql(domain: str, weights: tuple[str, str, str], share_of_supply: float, epochs: int, seed: int) -> str:
+    """mix() for DuckDB, with one running sum over each whole leaf; domain by lang and source, weights of domains, languages, sources."""
+
+    def shared(nodes: str, parent: str, budget: str, key: str) -> str:
+        w = f"PARTITION BY {parent} ORDER BY supply / weight, {key}"
+        return f"""(SELECT *, CASE WHEN stop IS NULL OR supply / weight < stop.f THEN supply ELSE least(supply, floor(weight * stop.l)::BIGINT) END AS got FROM (
+          SELECT *, min(CASE WHEN lv < supply / weight THEN struct_pack(f := supply / weight, l := lv) END) OVER (PARTITION BY {parent}) AS stop FROM (
+          SELECT *, ({budget} - coalesce(sum(supply) OVER ({w} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::DOUBLE / sum(weight) OVER ({w} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)::DOUBLE AS lv FROM {nodes})))"""
+
+    leaf = "domain, lang, source"
+    return f"""
+WITH d0 AS (SELECT doc_id, coalesce(lang, 'null') AS lang, coalesce(source, 'null') AS source, coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0)::BIGINT AS n_tokens FROM documents),
+d AS MATERIALIZED (SELECT *, {domain} AS domain FROM d0),
+leaves AS MATERIALIZED (SELECT {leaf}, sum(n_tokens)::BIGINT AS tokens, sum(n_tokens)::BIGINT * {epochs} AS supply, {weights[2]} AS weight FROM d GROUP BY {leaf} HAVING sum(n_tokens) > 0),
+whole AS (SELECT floor(sum(tokens) * {share_of_supply})::BIGINT AS total FROM leaves),
+tops AS MATERIALIZED (SELECT domain, got AS top FROM {shared(f"(SELECT domain, sum(supply)::BIGINT AS supply, {weights[0]} AS weight, 1 AS one, (SELECT total FROM whole) AS total FROM leaves GROUP BY domain)", "one", "total", "domain")}),
+mids AS MATERIALIZED (SELECT domain, lang, got AS mid FROM {shared(f"(SELECT domain, lang, supply, {weights[1]} AS weight, top FROM (SELECT domain, lang, sum(supply)::BIGINT AS supply FROM leaves GROUP BY domain, lang) JOIN tops USING (domain))", "domain", "top", "lang")}),
+budgets AS MATERIALIZED (SELECT {leaf}, got // tokens AS e, got % tokens AS rest FROM {shared("(SELECT * FROM leaves JOIN mids USING (domain, lang))", "domain, lang", "mid", "source")}),
+ranked AS (SELECT doc_id, {leaf}, n_tokens, e, rest, sum(n_tokens) OVER (PARTITION BY {leaf} ORDER BY ('0x' || substr(md5(concat_ws(':', '{seed}', e + 1, coalesce(doc_id::VARCHAR, 'null'))), 1, 8))::BIGINT, doc_id NULLS FIRST, n_tokens ROWS UNBOUNDED PRECEDING) AS upto FROM d JOIN budgets USING ({leaf}) WHERE n_tokens > 0)
+SELECT doc_id, {leaf}, n_tokens, (e + (upto <= rest)::INT)::BIGINT AS copies FROM ranked WHERE e + (upto <= rest)::INT > 0"""

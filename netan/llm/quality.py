@@ -120,7 +120,7 @@ def train(docs: DataFrame) -> DataFrame:
     """Modified Kneser-Ney: (lang, size, gram, log_p, log_back) of each n-gram of size 1 to 4.
 
     log_p: its interpolated probability given the rest of it; log_back: weight of the next smaller size in its context (0 if it
-    is no context).
+    is no context). Size 0 holds the weight of the uniform distribution; log_p is null for what is a context only.
     """
     counts = {ORDER: written(count_grams(docs), "gram-counts")}
     for size in range(ORDER - 1, 0, -1):  # how many different symbols stand before it
@@ -149,7 +149,7 @@ def train(docs: DataFrame) -> DataFrame:
         lower = c.select("lang", F.col("gram").alias("shorter"), F.col("p").alias("low"))
         backs = contexts.select("lang", F.col("context").alias("gram"), F.log(F.col("spare") / F.col("total")).alias("log_back"))
         rows = c.select("lang", F.lit(size).alias("size"), "gram", F.log("p").alias("log_p"), F.lit(0.0).alias("log_back"))
-        backs = backs.select("lang", F.lit(size - 1).alias("size"), "gram", F.lit(0.0).alias("log_p"), "log_back")
+        backs = backs.select("lang", F.lit(size - 1).alias("size"), "gram", F.lit(None).cast("double").alias("log_p"), "log_back")
         model = rows if model is None else model.unionByName(rows)
         model = model.unionByName(backs)
     return model.groupBy("lang", "size", "gram").agg(F.min("log_p").alias("log_p"), F.min("log_back").alias("log_back"))
@@ -188,19 +188,25 @@ class Scorer:
     def _score(self, words: list[str]) -> np.ndarray:
         code, first = grams(*folded(words))
         u, inverse = np.unique(code, return_inverse=True)
-        log_p = np.full(len(u), np.log(1e-4))
+        return np.add.reduceat(self.log_probabilities(u)[inverse], first)
+
+    def log_probabilities(self, u: np.ndarray) -> np.ndarray:
+        """Of each 4-gram's last symbol, given those before it."""
+        log_p = np.zeros(len(u))
         open_, back = np.ones(len(u), bool), np.zeros(len(u))
         for size in range(self.order, 0, -1):
             if size not in self.tables:
                 continue
             at, hit = _find(self.tables[size], u & (1 << BITS * size) - 1)
+            hit &= ~np.isnan(self.tables[size][1][at])
             take = open_ & hit
             log_p[take] = back[take] + self.tables[size][1][at[take]]
             open_ &= ~hit
-            if size > 1 and size - 1 in self.tables:
+            if size - 1 in self.tables:
                 at, hit = _find(self.tables[size - 1], u >> BITS & (1 << BITS * (size - 1)) - 1)
                 back += np.where(hit, self.tables[size - 1][2][at], 0)
-        return np.add.reduceat(log_p[inverse], first)
+        log_p[open_] = back[open_] - BITS * np.log(2)
+        return log_p
 
     def score(self, words: list[str]) -> float:
         """Minus the words' log-probability for each of their letters and digits."""

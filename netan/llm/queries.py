@@ -86,4 +86,6 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op9_sharding": sharding.sql(SHARDS, SHARD_SLOTS)}
+    last = "coalesce(try_cast(right(source, 1) AS INT), 0)"
+    weights = ("4 - right(domain, 1)::INT", "CASE WHEN lang = 'en' THEN 3 ELSE 1 END", f"2 - {last} % 2")
+    return {"op1_mixing": mixing.sql(f"'domain-' || {last} % 4", weights, 0.5, 4, 11), "op9_sharding": sharding.sql(SHARDS, SHARD_SLOTS)}
