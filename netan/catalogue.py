@@ -42,7 +42,7 @@ COMPONENT_METHODS = {
     "shm": lambda n: shared_memory.components(n),
     "sql": lambda n: components.sql(n),
 }
-COMPONENT_FIXTURES = {"bsp": ("sharedline", "colink", "chat"), "sql": ("colink", "chat"), "contract": ("sharedline", "copurchase2", "geo"), "msr": ("colink", "covalue"), "async": ("colink", "geo"), "message_async": ("colink", "geo")}
+COMPONENT_FIXTURES = {"bsp": ("sharedline", "colink", "chat"), "sql": ("chat", "geo"), "contract": ("sharedline", "colink", "copurchase2", "geo"), "msr": ("colink", "covalue"), "async": ("colink", "geo"), "message_async": ("colink", "geo")}
 
 
 def _cc(method, name, spark, sf_dir):

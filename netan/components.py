@@ -124,13 +124,15 @@ def contract(net: Network) -> DataFrame:
 
 
 def sql(net: Network) -> DataFrame:
-    """By a recursive query that follows labels below the vertex; for small networks."""
+    """By a recursive query that walks away from every vertex; a walk meets no vertex twice, and none below its start. For small
+    networks with few cycles: Spark's recursion neither drops repeats nor aggregates."""
     arcs, _ = _start(net)
     return net.spark.sql(
-        """WITH RECURSIVE walk(id, label) MAX RECURSION LEVEL 1000 AS (
-             SELECT DISTINCT src, src FROM {arcs}
-             UNION
-             SELECT a.dst, w.label FROM walk w JOIN {arcs} a ON a.src = w.id WHERE w.label < a.dst)
+        """WITH RECURSIVE walk(id, label, path) MAX RECURSION LEVEL 1000 AS (
+             SELECT DISTINCT src, src, array(src) FROM {arcs}
+             UNION ALL
+             SELECT a.dst, w.label, array_append(w.path, a.dst) FROM walk w JOIN {arcs} a ON a.src = w.id
+             WHERE w.label < a.dst AND NOT array_contains(w.path, a.dst))
            SELECT id, min(label) AS component FROM walk GROUP BY id""",
         arcs=arcs,
     )

@@ -15,12 +15,11 @@ from netan.storage import drop
 def iterate(state: DataFrame, emit: Column, fold: Callable[[Column], Column], commit: Column, rounds: int, until_stable: bool = False, ledger: RunLedger | None = None) -> DataFrame:
     """State (id, value, nbrs) after the rounds; emit: what a vertex tells each neighbour; fold: of the list `msgs`; commit: on value, msg."""
     ledger = ledger or RunLedger("msr")
-    kind = state.schema["nbrs"].dataType
     for k in range(1, rounds + 1):
         structure = state.select("id", F.struct("value", "nbrs").alias("vertex"), F.lit(None).alias("msg"))
         messages = state.select(F.explode("nbrs").alias("id"), F.lit(None).alias("vertex"), emit.alias("msg"))
         met = structure.union(messages).groupBy("id").agg(F.max("vertex").alias("vertex"), F.collect_list("msg").alias("msgs"))
-        after = met.select("id", F.col("vertex.value").alias("value"), F.col("vertex.nbrs").cast(kind).alias("nbrs"), F.when(F.size("msgs") > 0, fold(F.col("msgs"))).alias("msg"), F.size("msgs").alias("n"))
+        after = met.select("id", F.col("vertex.value").alias("value"), F.col("vertex.nbrs").alias("nbrs"), F.when(F.size("msgs") > 0, fold(F.col("msgs"))).alias("msg"), F.size("msgs").alias("n"))
         after = after.select("id", commit.alias("value"), "nbrs", (~commit.eqNullSafe(F.col("value"))).alias("diff"), "n")
         after, seen = cut(after, f"msr-{k}", changed=F.count_if("diff"), all=F.count("*"), raw=F.sum("n"))
         ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"], messages_raw=seen["raw"], messages_combined=seen["raw"] + seen["all"])
