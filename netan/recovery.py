@@ -34,7 +34,7 @@ class Checkpointer:
 
     def components(self, net: Network, max_supersteps: int = 1000, fail_at: int | None = None) -> DataFrame:
         """Connected components with checkpoints; begins where an earlier run has stopped. fail_at: a fault, for tests."""
-        arcs = net.undirected().mirrored().select("src", "dst")
+        arcs = net.undirected().mirrored().select(F.col("src").alias("id"), F.col("dst").alias("to"))
         done, at = self.resume_point(net.spark)
         if at:
             state = net.spark.read.parquet(at)
@@ -43,7 +43,7 @@ class Checkpointer:
         for k in range(done + 1, max_supersteps + 1):
             if k == fail_at:
                 raise RuntimeError(f"lost in superstep {k}")
-            told = state.where("active").join(arcs, F.col("id") == arcs["src"]).groupBy(arcs["dst"].alias("id")).agg(F.min("value").alias("msg"))
+            told = state.where("active").select("id", "value").join(arcs, "id").groupBy(F.col("to").alias("id")).agg(F.min("value").alias("msg"))
             less = F.col("msg") < F.col("value")
             state = state.join(told, "id", "left").select("id", F.least("value", F.coalesce("msg", "value")).alias("value"), F.coalesce(less, F.lit(False)).alias("active"))
             if k % self.every == 0:
