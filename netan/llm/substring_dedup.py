@@ -21,6 +21,7 @@ other and lose all their windows, whatever their ids. Empty tables give no rows.
 from __future__ import annotations
 
 import hashlib
+from itertools import chain
 
 import numpy as np
 import xxhash
@@ -43,19 +44,17 @@ SHARD_WORDS = 100_000
 SHARD_CONTENTS = 1_000
 
 
-class WordHashes:
-    def __init__(self) -> None:
-        self.known: dict[bytes, int] = {}
+class WordHashes(dict):
+    """Hashes of words; each different one is hashed once per worker."""
+
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = xxhash.xxh3_64_intdigest(word)
+        return h
 
     def of(self, texts: list[list[bytes]]) -> np.ndarray:
-        new = set().union(*texts).difference(self.known) if texts else set()
-        if len(self.known) + len(new) > KEPT_WORDS:
-            self.known.clear()
-            new = set().union(*texts)
-        digest = xxhash.xxh3_64_intdigest
-        self.known.update((w, digest(w)) for w in new)
-        get = self.known.__getitem__
-        return np.fromiter((h for words in texts for h in map(get, words)), np.uint64, sum(map(len, texts)))
+        if len(self) > KEPT_WORDS:
+            self.clear()
+        return np.fromiter(map(self.__getitem__, chain.from_iterable(texts)), np.uint64, sum(map(len, texts)))
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
