@@ -23,6 +23,7 @@ from __future__ import annotations
 
 import math
 import zlib
+from itertools import chain
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -38,33 +39,40 @@ GROUPS = 32
 SKETCH_BITS = 22
 SKETCH_BLOCK = 1 << 14
 LEAF = 32
+#: Classes, 24 bytes each, that are broadcast at most.
+SENT_CLASSES = 500_000
 
 
 def _lowered(text: str | None) -> list[bytes]:
     return text.encode().lower().split() if text else []
 
 
-def shingle_sets(hashes: WordHashes, split: list[list[bytes]], size: int):
+def shingle_sets(hashes: WordHashes, split: list[list[bytes]], size: int, lengths: bool = False):
     """For each text: its different shingle hashes in ascending order, and the lengths in bytes of these shingles (63 at most)."""
     words = hashes.of(split)
-    long = np.fromiter((len(w) for x in split for w in x), np.int64, len(words))
     h = np.zeros(max(0, len(words) - size + 1), np.uint64)
     for j in range(size):
         h = h * BASE + words[j : len(h) + j]
     h = mixed(h)
-    total = np.concatenate(([0], np.cumsum(long)))
-    length = np.minimum(63, total[size:] - total[:-size])[: len(h)] if len(h) else np.zeros(0, np.int64)
+    none = length = np.zeros(0, np.int64)
+    if lengths:
+        long = np.fromiter(map(len, chain.from_iterable(split)), np.int64, len(words))
+        total = np.concatenate(([0], np.cumsum(long)))
+        length = np.minimum(63, total[size:] - total[:-size])[: len(h)] if len(h) else none
     at = 0
     for x in split:
         n = len(x)
-        if n >= size:
+        if n >= size and lengths:
             u, first = np.unique(h[at : at + n - size + 1], return_index=True)
             yield u, length[at + first]
+        elif n >= size:
+            u = np.sort(h[at : at + n - size + 1])
+            yield u[np.concatenate(([True], u[1:] != u[:-1]))], none
         elif n:
             short = np.array([n], np.uint64)
             for k in range(at, at + n):
                 short = short * BASE + words[k]
-            yield mixed(short), np.array([min(63, int(long[at : at + n].sum()))])
+            yield mixed(short), np.array([min(63, sum(map(len, x)))])
         else:
             yield np.zeros(0, np.uint64), np.zeros(0, np.int64)
         at += n
@@ -138,7 +146,7 @@ def route(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> Data
             texts = batch.column(1).to_pylist()
             for a, b in by_bytes(texts):
                 keys, sids, ns, each = [], [], [], []
-                for u, length in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size):
+                for u, length in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size, True):
                     n = len(u)
                     if not n:
                         continue
@@ -208,33 +216,52 @@ def _bound_holds(per_cent: int) -> Column:
 def _pairs_left(dealt: DataFrame, per_cent: int) -> DataFrame:
     """(a, b): pairs of different components within each key that pass the bound; dealt: sorted by key within partitions."""
 
-    def pairs(rows: list) -> tuple[list, list]:
-        sid = np.array([r[1] for r in rows])
-        comp = np.array([r[2] for r in rows])
-        points = np.array([r[3] for r in rows], np.int64)
-        tree = CountTree(points)
+    def bounded(points: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        sizes = points.sum(axis=1)
+        ok = np.zeros(len(i), bool)
+        for k in range(0, len(i), 100_000):
+            x, y = i[k : k + 100_000], j[k : k + 100_000]
+            least = np.minimum(points[x], points[y]).sum(axis=1)
+            ok[k : k + 100_000] = ((100 + per_cent) * least >= per_cent * (sizes[x] + sizes[y])) & (100 * np.minimum(sizes[x], sizes[y]) >= per_cent * np.maximum(sizes[x], sizes[y]))
+        return ok
+
+    def pairs(key: np.ndarray, sid: np.ndarray, comp: np.ndarray, points: np.ndarray) -> dict:
+        """Groups of one leaf are compared side by side, larger ones through a tree each."""
+        first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+        sizes = np.diff(np.append(first, len(key)))
+        small = np.repeat(sizes <= LEAF, sizes)
         a, b = [], []
-        for k in range(len(rows)):
-            near = tree.near(points[k], per_cent)
-            near = near[(near > k) & (comp[near] != comp[k])]
-            a += [sid[k]] * len(near)
-            b += sid[near].tolist()
-        return a, b
+        for d in range(1, min(LEAF, len(key))):
+            i = np.flatnonzero(small[:-d] & (key[:-d] == key[d:]) & (comp[:-d] != comp[d:]))
+            if not len(i) and d >= sizes.max():
+                break
+            i = i[bounded(points, i, i + d)]
+            a.append(sid[i])
+            b.append(sid[i + d])
+        for at, n in zip(first[sizes > LEAF], sizes[sizes > LEAF]):
+            tree = CountTree(points[at : at + n])
+            for k in range(n):
+                near = tree.near(points[at + k], per_cent)
+                near = at + near[(near > k) & (comp[at + near] != comp[at + k])]
+                a.append(np.repeat(sid[at + k], len(near)))
+                b.append(sid[near])
+        return {"a": np.concatenate(a) if a else sid[:0], "b": np.concatenate(b) if b else sid[:0]}
 
     def work(batches):
-        held, a, b = [], [], []
+        held: list[tuple] = []
         for batch in batches:
-            for row in zip(*(batch.column(c).to_pylist() for c in ("key", "sid", "component", "vec"))):
-                if held and held[0][0] != row[0]:
-                    x, y = pairs(held)
-                    a, b, held = a + x, b + y, []
-                    if len(a) > 100_000:
-                        yield {"a": a, "b": b}
-                        a, b = [], []
-                held.append(row)
-        if held:
-            x, y = pairs(held)
-            yield {"a": a + x, "b": b + y}
+            vec = batch.column("vec")
+            now = (*(batch.column(c).to_numpy() for c in ("key", "sid", "component")), vec.flatten().to_numpy().reshape(-1, GROUPS).astype(np.int32))
+            held.append(now)
+            if sum(len(x[0]) for x in held) < 50_000 or held[0][0][0] == now[0][-1]:
+                continue
+            rows = [np.concatenate(x) for x in zip(*held)]
+            cut = int(np.searchsorted(rows[0], rows[0][-1]))  # the last key may go on in the next batch
+            yield pairs(*(x[:cut] for x in rows))
+            held = [tuple(x[cut:] for x in rows)]
+        rows = [np.concatenate(x) for x in zip(*held)] if held else []
+        if rows and len(rows[0]):
+            yield pairs(*rows)
 
     found = arrow_map(dealt, work, T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())]))
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
@@ -265,7 +292,12 @@ def _mask(keep: list[bool]):
 
 
 def _sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
-    """(sid, set): sorted shingles of wanted classes; wanted: (doc_id, rid, sid), a row for each."""
+    """(sid, set): sorted shingles of wanted classes; wanted: (doc_id, rid, sid), a row for each.
+
+    Few wanted classes are sent to the texts, many are met by a shuffle of both.
+    """
+    if wanted.count() <= SENT_CLASSES:
+        wanted = F.broadcast(wanted)
     joined = rows.join(wanted, same_row(rows, wanted)).select(rows["text"], wanted["sid"])
 
     def work(batches):
@@ -275,7 +307,7 @@ def _sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
             for a, b in by_bytes(texts):
                 yield {"sid": batch.column(1).slice(a, b - a), "set": [u.astype("<u8").tobytes() for u, _ in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size)]}
 
-    return arrow_map(joined, work, T.StructType([T.StructField("sid", T.LongType()), T.StructField("set", T.BinaryType())])).dropDuplicates(["sid"])
+    return arrow_map(joined, work, T.StructType([T.StructField("sid", T.LongType()), T.StructField("set", T.BinaryType())]))
 
 
 def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
@@ -301,9 +333,17 @@ def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFra
         return bounded(members.join(first, "key").select(F.col("sid").alias("a"), "b"))
 
     first = written(with_first(dealt, F.lit(0)), "first-pairs")
-    wanted = classes.select("doc_id", "rid", "sid")
-    sets = written(_sets(rows, wanted, size), "sets")
-    known = written(_verify(first, sets, per_cent), "links-1")
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        """Links among the pairs, whose classes' sets are made for this and dropped."""
+        sids = pairs.select(F.explode(F.array("a", "b")).alias("sid")).distinct()
+        wanted = written(classes.join(sids, "sid", "left_semi").select("doc_id", "rid", "sid"), "wanted")
+        sets = written(_sets(rows, wanted, size), "sets")
+        out = written(_verify(pairs, sets, per_cent), "links")
+        drop(sets, wanted, pairs)
+        return out
+
+    known = verified(first)
 
     def labelled(known: DataFrame) -> DataFrame:
         """dealt rows of keys that still hold several components, with these."""
@@ -316,11 +356,11 @@ def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFra
     left = labelled(known)
     other = left.groupBy("key").agg(F.min_by(F.struct("sid", "component"), F.xxhash64("key", "sid")).alias("o"))
     again = left.join(other, "key").where("component <> o.component").select(F.col("sid").alias("a"), F.col("o.sid").alias("b"))
-    known = written(known.union(_verify(bounded(again), sets, per_cent)), "links-2")
+    known = known.union(verified(written(bounded(again), "second-pairs")))
     left = labelled(known).join(classes.select("sid", "vec"), "sid").select("key", "sid", "component", "vec")
     last = _pairs_left(left.repartition("key").sortWithinPartitions("key", "sid"), per_cent)
-    known = written(known.union(_verify(written(last, "last-pairs"), sets, per_cent)), "links")
-    drop(sets, dealt)
+    known = known.union(verified(written(last, "last-pairs")))
+    drop(dealt)
     return docs, known
 
 
