@@ -12,6 +12,7 @@ Rows are written in ascending id order, null ids first, equal ids by text. Null
 from __future__ import annotations
 
 import zlib
+from itertools import chain
 
 import numpy as np
 from pyspark.sql import DataFrame, Window
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.llm.common import arrow_map, by_bytes, fields, keyed
-from netan.llm.token_counts import KEPT_PIECES, LETTERS, LETTERS_MARKS, library
+from netan.llm.token_counts import LETTERS, LETTERS_MARKS, library
 from netan.storage import written
 
 #: Fixed values of the coding: width in bits and number of values by selector, 1 to 14.
@@ -29,6 +30,9 @@ BLOCK = 4096
 MAGIC = 0x53384201
 #: A chunk closes at the first document that takes it past so many ids.
 CHUNK_IDS = 1 << 19
+#: Different words, and parts of words, that a worker keeps from task to task; beyond it starts anew.
+KEPT_PIECES = 800_000
+KEPT_PARTS = 500_000
 
 
 def pack(values: np.ndarray, block: int = BLOCK) -> bytes:
@@ -145,7 +149,7 @@ class PieceIds:
         cut = [m.groups() if (m := LETTERS_MARKS.fullmatch(w)) else (w, "") for w in words]
         cut = [(a.lower() if b or LETTERS.fullmatch(a) else a, b) for a, b in cut]
         new = list({x for pair in cut for x in pair}.difference(self.parts))
-        if len(self.parts) + len(new) > KEPT_PIECES:
+        if len(self.parts) + len(new) > KEPT_PARTS:
             self.parts = {"": []}
             new = list({x for pair in cut for x in pair})
         self.parts.update(zip(new, (x.ids for x in self.tokenizer.encode_batch_fast(new, add_special_tokens=False))))
@@ -170,17 +174,14 @@ class PieceIds:
     def encode(self, texts: list[str], end: int) -> tuple[np.ndarray, np.ndarray]:
         """All ids, one text after another with `end` behind each, and the number of each text's."""
         # control characters 1C-1F part words for str.split(), but not for the tokenizer
-        split = [x.split() if x.isascii() and x.isprintable() or not any(c in x for c in "\x1c\x1d\x1e\x1f") else [x] for x in texts]
-        wanted = set()
-        for words in split:
-            wanted.update(words)
+        split = [[x] if any(c in x for c in "\x1c\x1d\x1e\x1f") else x.split() for x in texts]
+        wanted = set(chain.from_iterable(split))
         new = wanted.difference(self.known)
         if len(self.known) + len(new) > KEPT_PIECES:
             self.known, self.used, new = {}, 0, wanted
         self._learn(list(new))
         n_words = np.fromiter(map(len, split), np.int64, len(split))
-        get = self.known.__getitem__
-        keys = np.fromiter((k for words in split for k in map(get, words)), np.int64, int(n_words.sum()))
+        keys = np.fromiter(map(self.known.__getitem__, chain.from_iterable(split)), np.int64, int(n_words.sum()))
         sizes = self.sizes[keys]
         ends = np.cumsum(n_words)
         totals = np.concatenate(([0], np.cumsum(sizes)))
@@ -191,6 +192,16 @@ class PieceIds:
         return np.insert(flat, np.cumsum(counts), end).astype(np.uint32), counts + 1
 
 
+_SHARED: dict[str, PieceIds] = {}
+
+
+def shared_pieces(tokenizer: str) -> PieceIds:
+    """The words that this Python worker knows, kept from task to task."""
+    if tokenizer not in _SHARED:
+        _SHARED[tokenizer] = PieceIds(library(tokenizer))
+    return _SHARED[tokenizer]
+
+
 def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", partitions: int | None = None) -> DataFrame:
     """The table of chunks, written in the shared folder: ids of all documents, end_id behind each, ascending by id."""
     rows = keyed(docs, id_col, text_col)
@@ -202,7 +213,7 @@ def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int
         from pyspark import TaskContext
 
         part, chunk = TaskContext.get().partitionId(), 0
-        pieces = PieceIds(library(tokenizer))
+        pieces = shared_pieces(tokenizer)
         held_ids, held_counts, held = [], [], []
 
         def closed():
