@@ -11,6 +11,7 @@ Rows are written in ascending id order, null ids first, equal ids by text. Null
 
 from __future__ import annotations
 
+import re
 import zlib
 from itertools import chain
 
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.llm.common import arrow_map, by_bytes, fields, keyed
-from netan.llm.token_counts import LETTERS, LETTERS_MARKS, library
+from netan.llm.token_counts import library
 from netan.storage import written
 
 #: Fixed values of the coding: width in bits and number of values by selector, 1 to 14.
@@ -30,9 +31,14 @@ BLOCK = 4096
 MAGIC = 0x53384201
 #: A chunk closes at the first document that takes it past so many ids.
 CHUNK_IDS = 1 << 19
-#: Different words, and parts of words, that a worker keeps from task to task; beyond it starts anew.
+#: Different pre-tokens that a worker keeps from task to task; beyond it starts anew.
 KEPT_PIECES = 800_000
-KEPT_PARTS = 500_000
+#: Pre-tokens that are encoded as one text, and in one call.
+JOINED = 100
+JOINED_AT_ONCE = 10_000
+
+#: Fixed values of the tokenizer: its pre-tokens, for lower-case Latin-1 text.
+PRE_TOKEN = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zªµºß-öø-ÿ]+|[0-9²³¹¼½¾]|[^\t-\r \x85\xa0a-zªµºß-öø-ÿ0-9²³¹¼½¾]+")
 
 
 def pack(values: np.ndarray, block: int = BLOCK) -> bytes:
@@ -44,21 +50,16 @@ def pack(values: np.ndarray, block: int = BLOCK) -> bytes:
     # the selector that takes most values from each place on; zeros behind each block fit in any
     left = np.minimum(block - np.arange(n) % block, n - np.arange(n))
     gap = int(COUNTS.max())
-    spot = np.arange(n) + np.arange(n) // block * gap
-    bits = np.zeros(n + (n_blocks + 1) * gap, np.uint8)
-    bits[spot] = np.frexp(v.astype(np.float64))[1].clip(0, 64)
-    choice = np.zeros(n, np.int8)
-    most = bits.max()
-    here = np.arange(n)
-    for s in range(1, len(WIDTHS)):
-        fits = here[bits[spot[here]] <= WIDTHS[s]]
-        if WIDTHS[s] < most:
-            for j in range(1, COUNTS[s]):
-                fits = fits[bits[spot[fits] + j] <= WIDTHS[s]]
-        choice[fits] = s
-        here = here[choice[here] == 0]
-        if not len(here):
-            break
+    bits = np.zeros(n_blocks * block, np.uint8)
+    bits[:n] = np.frexp(v.astype(np.float64))[1].clip(0, 64)
+    bits = np.pad(bits.reshape(n_blocks, block), ((0, 0), (0, gap))).ravel()
+    choice, widest, seen = np.zeros(len(bits), np.int8), bits.copy(), 1
+    for s in range(len(WIDTHS) - 1, 0, -1):
+        for j in range(seen, COUNTS[s]):  # widest of the values at each place and the next ones
+            np.maximum(widest[:-j], bits[j:], out=widest[:-j])
+        seen = COUNTS[s]
+        choice[widest <= WIDTHS[s]] = s
+    choice = choice.reshape(n_blocks, block + gap)[:, :block].ravel()[:n]
     step = np.minimum(COUNTS[choice], left).astype(np.int64)
     # all blocks are walked side by side, one word a turn
     at, ends = np.arange(n_blocks) * block, np.minimum(np.arange(1, n_blocks + 1) * block, n)
@@ -129,67 +130,101 @@ def unpack(payload: bytes) -> np.ndarray:
     return out
 
 
+class Numbers(dict):
+    """Numbers of pre-tokens in the order of their first lookup; those without ids yet are in `fresh`."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.fresh: list[str] = []
+
+    def __missing__(self, piece: str) -> int:
+        k = self[piece] = len(self)
+        self.fresh.append(piece)
+        return k
+
+
 class PieceIds:
-    """Ids of texts under a tokenizer that drops white space: each different word is encoded once per worker."""
+    """Ids of texts under a tokenizer that drops white space and marks the last token of each pre-token by a suffix.
+
+    Texts of Latin-1 characters are lower-cased and cut in pre-tokens as the tokenizer does it. Each different pre-token is
+    encoded once per worker, many in one text: the suffix tells where one ends. Other texts are cut at white space only, and
+    their words are encoded one by one.
+    """
 
     def __init__(self, tokenizer) -> None:
         self.tokenizer = tokenizer
-        self.known: dict[str, int] = {}
-        self.parts: dict[str, list[int]] = {"": []}
-        self.pool = np.zeros(1 << 16, np.uint32)
-        self.used = 0
-        self.starts = np.zeros(1 << 16, np.int64)
-        self.sizes = np.zeros(1 << 16, np.int64)
+        suffix = tokenizer.model.end_of_word_suffix
+        if not suffix:
+            raise ValueError("the tokenizer must mark the ends of words")
+        self.last = np.array([(tokenizer.id_to_token(i) or "").endswith(suffix) for i in range(tokenizer.get_vocab_size())])
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known = Numbers()
+        self.pool, self.used = np.zeros(1 << 16, np.uint32), 0
+        self.starts, self.sizes = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64)
 
     def _grown(self, a: np.ndarray, n: int) -> np.ndarray:
         return a if n <= len(a) else np.concatenate((a, np.zeros(max(n, 2 * len(a)) - len(a), a.dtype)))
 
-    def _ids(self, words: list[str]) -> list[list[int]]:
-        """Ids of words; a word of letters and marks behind them is put together from those two, which are encoded once."""
-        cut = [m.groups() if (m := LETTERS_MARKS.fullmatch(w)) else (w, "") for w in words]
-        cut = [(a.lower() if b or LETTERS.fullmatch(a) else a, b) for a, b in cut]
-        new = list({x for pair in cut for x in pair}.difference(self.parts))
-        if len(self.parts) + len(new) > KEPT_PARTS:
-            self.parts = {"": []}
-            new = list({x for pair in cut for x in pair})
-        self.parts.update(zip(new, (x.ids for x in self.tokenizer.encode_batch_fast(new, add_special_tokens=False))))
-        parts = self.parts
-        return [parts[a] + parts[b] if b else parts[a] for a, b in cut]
-
-    def _learn(self, words: list[str]) -> None:
-        for a in range(0, len(words), 20_000):
-            part = words[a : a + 20_000]
-            got = self._ids(part)
-            sizes = np.fromiter(map(len, got), np.int64, len(got))
-            flat = np.fromiter((i for x in got for i in x), np.uint32, int(sizes.sum()))
-            k = len(self.known)
+    def _ids(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of pieces, one after another, and the number of each one's."""
+        if all(map(PRE_TOKEN.fullmatch, pieces)):
+            joined = [" ".join(pieces[a : a + JOINED]) for a in range(0, len(pieces), JOINED)]
+            got = [x.ids for x in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False)]
+            flat = np.fromiter(chain.from_iterable(got), np.uint32, sum(map(len, got)))
+            ends = np.flatnonzero(self.last[flat]) + 1
+            if len(ends) == len(pieces):
+                return flat, np.diff(ends, prepend=0)
+        got = [x.ids for x in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+        sizes = np.fromiter(map(len, got), np.int64, len(got))
+        return np.fromiter(chain.from_iterable(got), np.uint32, int(sizes.sum())), sizes
+
+    def _learn(self) -> None:
+        fresh, self.known.fresh = self.known.fresh, []
+        k = len(self.known) - len(fresh)
+        for a in range(0, len(fresh), JOINED_AT_ONCE):
+            part = fresh[a : a + JOINED_AT_ONCE]
+            flat, sizes = self._ids(part)
             self.starts, self.sizes = (self._grown(x, k + len(part)) for x in (self.starts, self.sizes))
             self.pool = self._grown(self.pool, self.used + len(flat))
             self.starts[k : k + len(part)] = self.used + np.cumsum(sizes) - sizes
             self.sizes[k : k + len(part)] = sizes
             self.pool[self.used : self.used + len(flat)] = flat
             self.used += len(flat)
-            self.known.update(zip(part, range(k, k + len(part))))
+            k += len(part)
 
     def encode(self, texts: list[str], end: int) -> tuple[np.ndarray, np.ndarray]:
         """All ids, one text after another with `end` behind each, and the number of each text's."""
-        # control characters 1C-1F part words for str.split(), but not for the tokenizer
-        split = [[x] if any(c in x for c in "\x1c\x1d\x1e\x1f") else x.split() for x in texts]
-        wanted = set(chain.from_iterable(split))
-        new = wanted.difference(self.known)
-        if len(self.known) + len(new) > KEPT_PIECES:
-            self.known, self.used, new = {}, 0, wanted
-        self._learn(list(new))
-        n_words = np.fromiter(map(len, split), np.int64, len(split))
-        keys = np.fromiter(map(self.known.__getitem__, chain.from_iterable(split)), np.int64, int(n_words.sum()))
+        if len(self.known) > KEPT_PIECES:
+            self._forget()
+        split = [_cut(x) for x in texts]
+        n_pieces = np.fromiter(map(len, split), np.int64, len(split))
+        keys = np.fromiter(map(self.known.__getitem__, chain.from_iterable(split)), np.int64, int(n_pieces.sum()))
+        self._learn()
         sizes = self.sizes[keys]
-        ends = np.cumsum(n_words)
+        ends = np.cumsum(n_pieces)
         totals = np.concatenate(([0], np.cumsum(sizes)))
-        counts = totals[ends] - totals[ends - n_words]
+        counts = totals[ends] - totals[ends - n_pieces]
         total = int(totals[-1])
         place = np.repeat(self.starts[keys] - (totals[1:] - sizes), sizes) + np.arange(total)
-        flat = self.pool[place]
-        return np.insert(flat, np.cumsum(counts), end).astype(np.uint32), counts + 1
+        out = np.full(total + len(texts), end, np.uint32)
+        spot = np.ones(len(out), bool)
+        spot[np.cumsum(counts + 1) - 1] = False
+        out[spot] = self.pool[place]
+        return out, counts + 1
+
+
+def _cut(text: str) -> list[str]:
+    """Pre-tokens of a Latin-1 text without special tokens; of other texts the words, or the text where white space is odd."""
+    if "<|" not in text:
+        try:
+            text.encode("latin-1")
+            return PRE_TOKEN.findall(text.lower())
+        except UnicodeEncodeError:
+            pass
+    # control characters 1C-1F part words for str.split(), but not for the tokenizer
+    return [text] if any(c in text for c in "\x1c\x1d\x1e\x1f") else text.split()
 
 
 _SHARED: dict[str, PieceIds] = {}
@@ -251,13 +286,15 @@ def read_ids(chunks: DataFrame, with_ids: bool = False) -> DataFrame:
 
     def work(batches):
         for batch in batches:
-            for row in batch.to_pylist():
-                flat = unpack(row["payload"]).astype("<u4")
-                counts = np.array(row["lengths"], np.int64)
+            for k in range(batch.num_rows):
+                part, chunk, payload = (batch.column(c)[k].as_py() for c in ("part", "chunk", "payload"))
+                flat = unpack(payload).astype("<u4")
+                counts = batch.column("lengths")[k].values.to_numpy(zero_copy_only=False)
                 ends = np.cumsum(counts)
                 local = ends - counts
-                out = {"part": [row["part"]] * len(counts), "chunk": [row["chunk"]] * len(counts), "doc_id": row["doc_ids"], "local_start": local, "n_tokens": counts}
-                out["ids_crc32"] = [zlib.crc32(flat[a:b].tobytes()) for a, b in zip(local, ends)]
+                out = {"part": np.full(len(counts), part), "chunk": np.full(len(counts), chunk), "doc_id": batch.column("doc_ids")[k].values, "local_start": local, "n_tokens": counts}
+                bounds, raw = (4 * ends).tolist(), memoryview(flat).cast("B")
+                out["ids_crc32"] = [zlib.crc32(raw[a:b]) for a, b in zip([0, *bounds], bounds)]
                 if with_ids:
                     out["ids"] = [flat[a:b] for a, b in zip(local, ends)]
                 yield out
