@@ -45,6 +45,19 @@ def fields(df: DataFrame, *names: str) -> list[T.StructField]:
     return [T.StructField(n, df.schema[n].dataType, True) for n in names]
 
 
+class Numbers(dict):
+    """Numbers of strings in the order of their first lookup; those that the caller has not dealt with yet are in `fresh`."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.fresh: list[str] = []
+
+    def __missing__(self, piece: str) -> int:
+        k = self[piece] = len(self)
+        self.fresh.append(piece)
+        return k
+
+
 def by_bytes(texts: list, most: int = 1 << 22) -> Iterator[tuple[int, int]]:
     """Ranges [a, b) of texts that hold about `most` characters each; a longer text makes a range of its own."""
     a, size = 0, 0

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import arrow_map, by_bytes, fields, keyed
+from netan.llm.common import Numbers, arrow_map, by_bytes, fields, keyed
 from netan.llm.token_counts import library
 from netan.storage import written
 
@@ -30,9 +30,9 @@ COUNTS = np.array([1, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1])
 BLOCK = 4096
 MAGIC = 0x53384201
 #: A chunk closes at the first document that takes it past so many ids.
-CHUNK_IDS = 1 << 19
+CHUNK_IDS = 1 << 18
 #: Different pre-tokens that a worker keeps from task to task; beyond it starts anew.
-KEPT_PIECES = 800_000
+KEPT_PIECES = 600_000
 #: Pre-tokens that are encoded as one text, and in one call.
 JOINED = 100
 JOINED_AT_ONCE = 10_000
@@ -130,19 +130,6 @@ def unpack(payload: bytes) -> np.ndarray:
     return out
 
 
-class Numbers(dict):
-    """Numbers of pre-tokens in the order of their first lookup; those without ids yet are in `fresh`."""
-
-    def __init__(self) -> None:
-        super().__init__()
-        self.fresh: list[str] = []
-
-    def __missing__(self, piece: str) -> int:
-        k = self[piece] = len(self)
-        self.fresh.append(piece)
-        return k
-
-
 class PieceIds:
     """Ids of texts under a tokenizer that drops white space and marks the last token of each pre-token by a suffix.
 
@@ -257,7 +244,7 @@ def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int
         size = 0
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), [x or "" for x in batch.column(1).to_pylist()]
-            for a, b in by_bytes(texts, 1 << 21):
+            for a, b in by_bytes(texts, 1 << 19):
                 flat, counts = pieces.encode(texts[a:b], end_id)
                 held_ids += ids[a:b]
                 held_counts += counts.tolist()
