@@ -11,60 +11,108 @@ that repeat are predicted alike; ties between languages go to the first by name.
 
 from __future__ import annotations
 
+import re
 from collections import Counter
+from itertools import chain
 
 import numpy as np
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import arrow_map, by_bytes, keyed
+from netan.llm.common import Numbers, arrow_map, by_bytes, keyed
 from netan.llm.token_counts import library
 from netan.storage import written
 
 STRETCH = 31
 #: Different words that a worker holds before it hands on or starts anew.
-KEPT_WORDS = 1_000_000
+KEPT_WORDS = 500_000
 #: Numbers in a model at most: languages times pieces.
 MOST_NUMBERS = 128_000_000
 
 
+#: Multiplier of the rolling hash of characters, and bits of the table that finds pieces by it.
+BASE = np.uint64(0x9E3779B97F4A7C15)
+TABLE_BITS = 20
+
+
 class Pieces:
-    """Numbers of the vocabulary's pieces; a single character outside it has the number `other`."""
+    """Numbers of the vocabulary's pieces; a single character outside it has the number `other`.
+
+    Pieces are found by a 64-bit hash of their characters, in a table of open addresses: all substrings of all words at once.
+    """
 
     def __init__(self, vocabulary: str) -> None:
         tool = library(vocabulary)
         names = [tool.id_to_piece(k) for k in range(tool.get_piece_size()) if not (tool.is_control(k) or tool.is_unknown(k) or tool.is_byte(k))]
-        self.number = {p: k for k, p in enumerate(names)}
         self.other = len(names)
         self.longest = max(map(len, names))
+        self.table = np.full(1 << TABLE_BITS, -1, np.int32)
+        self.hashes = np.zeros(len(names), np.uint64)
+        self.probes = 1
+        for some in _by_length(names):
+            self.hashes[some] = list(self._spans(self._codes([names[k] for k in some])))[-1][:, -1]
+        for k, at in enumerate(self._slot(self.hashes).tolist()):
+            probe = 1
+            while self.table[at] >= 0:
+                at, probe = (at + 1) % len(self.table), probe + 1
+            self.table[at] = k
+            self.probes = max(self.probes, probe)
 
     def __len__(self) -> int:
         return self.other + 1
 
+    @staticmethod
+    def _codes(words: list[str]) -> np.ndarray:
+        return np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), "<u4").reshape(len(words), -1).astype(np.uint64)
+
+    @staticmethod
+    def _slot(h: np.ndarray) -> np.ndarray:
+        return ((h ^ h >> np.uint64(32)) * BASE >> np.uint64(64 - TABLE_BITS)).astype(np.int64)
+
+    @staticmethod
+    def _spans(codes: np.ndarray):
+        """Hashes of all substrings of 1, 2, ... characters: (word, place of the first character)."""
+        h = np.zeros_like(codes)
+        for n in range(codes.shape[1]):
+            h = h[:, : codes.shape[1] - n] * BASE + codes[:, n:] + np.uint64(1)
+            yield h
+
     def lattice(self, words: list[str]) -> np.ndarray:
-        """(word, end, length - 1): number of the piece that ends there, or -1; words are of one length."""
+        """(end, length - 1, word): number of the piece that ends there, or -1; words are of one length."""
         m = len(words[0])
         top = min(m, self.longest)
-        get, rows = self.number.get, []
-        for w in words:
-            row = []
-            for j in range(1, m + 1):
-                row += [get(w[j - n : j], -1) if n <= j else -1 for n in range(1, top + 1)]
-                if row[-top] < 0:
-                    row[-top] = self.other
-            rows.append(row)
-        return np.array(rows, np.int32).reshape(len(words), m, top)
-
-
-def stretches(word: str) -> list[str]:
-    """Pieces of a raw word as the model sees them: its runs of letters with the mark of a word's start."""
-    if not word.isalpha():
-        word = "".join(c if c.isalpha() else " " for c in word)
-    out = []
-    for run in word.lower().split():
-        out += ["▁" + run[a : a + STRETCH] for a in range(0, len(run), STRETCH)]
-    return out
+        out = np.full((m, top, len(words)), -1, np.int32)
+        for k, h in zip(range(top), self._spans(self._codes(words))):
+            flat = h.T.ravel()
+            at, found = self._slot(flat), np.full(len(flat), -1, np.int32)
+            for _ in range(self.probes):
+                piece = self.table[at]
+                hit = np.flatnonzero(piece >= 0)
+                hit = hit[self.hashes[piece[hit]] == flat[hit]]
+                found[hit] = piece[hit]
+                at = (at + 1) % len(self.table)
+                if not (piece >= 0).any():
+                    break
+            out[k:, k] = found.reshape(m - k, len(words))
+        single = out[:, 0]
+        single[single < 0] = self.other
+        return out
+
+
+#: Runs of letters.
+LETTERS = re.compile(r"[^\W\d_]+")
+
+
+def letter_runs(text: str) -> list[str]:
+    """Words of a text as the model sees them, without the mark of a word's start: lower-cased runs of letters."""
+    return LETTERS.findall(text.lower())
+
+
+def stretches(run: str) -> list[str]:
+    """A run of letters with the mark of a word's start; a long one in several parts."""
+    return ["▁" + run[a : a + STRETCH] for a in range(0, len(run), STRETCH)]
 
 
 def _by_length(words: list[str], most: int = 4096):
@@ -79,31 +127,35 @@ def _by_length(words: list[str], most: int = 4096):
 
 
 def forward(lattice: np.ndarray, p: np.ndarray) -> np.ndarray:
-    """(end, word, ...): probability of all cuts of each word up to each end; p: probabilities by piece, the last row 0."""
-    n, m, top = lattice.shape
+    """(end, word, ...): probability of all cuts of each word up to each end; p: probabilities by piece."""
+    m, top, n = lattice.shape
     alpha = np.zeros((m + 1, n, *p.shape[1:]))
     alpha[0] = 1
     for j in range(1, m + 1):
         for k in range(min(j, top)):
-            ids = lattice[:, j - 1, k]
-            if (ids >= 0).any():
+            ids = lattice[j - 1, k]
+            some = np.flatnonzero(ids >= 0)
+            if len(some) == n:
                 alpha[j] += alpha[j - k - 1] * p[ids]
+            elif len(some):
+                alpha[j, some] += alpha[j - k - 1, some] * p[ids[some]]
     return alpha
 
 
 def expected(lattice: np.ndarray, p: np.ndarray, weight: np.ndarray, out: np.ndarray) -> None:
     """Adds to out the expected count of each piece over words with these weights."""
-    n, m, top = lattice.shape
+    m, top, n = lattice.shape
     alpha = forward(lattice, p)
     beta = np.zeros((m + 1, n))
     beta[m] = weight / alpha[m]
     for j in range(m, 0, -1):
         for k in range(min(j, top)):
-            ids = lattice[:, j - 1, k]
-            if (ids >= 0).any():
-                flow = beta[j] * p[ids]
-                beta[j - k - 1] += flow
-                np.add.at(out, ids, alpha[j - k - 1] * flow)
+            some = np.flatnonzero(lattice[j - 1, k] >= 0)
+            if len(some):
+                ids = lattice[j - 1, k, some]
+                flow = beta[j, some] * p[ids]
+                beta[j - k - 1, some] += flow
+                np.add.at(out, ids, alpha[j - k - 1, some] * flow)
 
 
 def count_words(docs: DataFrame) -> DataFrame:
@@ -127,8 +179,8 @@ def count_words(docs: DataFrame) -> DataFrame:
         for batch in batches:
             for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 if text:
-                    held.setdefault(lang, Counter()).update(text.split())
-            if sum(map(len, held.values())) > KEPT_WORDS // 2:
+                    held.setdefault(lang, Counter()).update(letter_runs(text))
+            if sum(map(len, held.values())) > KEPT_WORDS:
                 yield from handed()
         yield from handed()
 
@@ -163,10 +215,10 @@ def train(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", rounds: int
                         whose = lang[a:][some]
                         for x in set(whose):
                             mine = whose == x
-                            out = total.setdefault(x, np.zeros(size + 1))
-                            expected(lattice[mine], np.append(p[:, column[x]], 0).astype(float), n[a:][some][mine], out)
+                            out = total.setdefault(x, np.zeros(size))
+                            expected(lattice[:, :, mine], p[:, column[x]].astype(float), n[a:][some][mine], out)
             for x, out in total.items():
-                yield {"lang": [x] * size, "piece": np.arange(size), "n": out[:size]}
+                yield {"lang": [x] * size, "piece": np.arange(size), "n": out}
 
         schema = T.StructType([T.StructField("lang", T.StringType()), T.StructField("piece", T.LongType()), T.StructField("n", T.DoubleType())])
         found = arrow_map(words, work, schema).groupBy("lang", "piece").agg(F.sum("n").alias("n")).toArrow()
@@ -178,50 +230,41 @@ def train(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", rounds: int
 
 
 class Scorer:
-    """Log-probabilities of words in all languages; each different raw word is scored once per worker."""
+    """Log-probabilities of words in all languages; each different word is scored once per worker."""
 
     def __init__(self, pieces: Pieces, p: np.ndarray) -> None:
-        self.pieces = pieces
-        self.p = np.vstack((p, np.zeros((1, p.shape[1])))).astype(np.float32)
-        self._clear()
-
-    def _clear(self) -> None:
-        self.known: dict[str, int] = {}
-        self.parts: dict[str, int] = {}
-        self.scores = np.zeros((0, self.p.shape[1]), np.float32)
-        self.part_scores = np.zeros((1, self.p.shape[1]), np.float32)
-
-    def _learn(self, raw: list[str]) -> None:
-        cut = [stretches(w) for w in raw]
-        new = list({x for c in cut for x in c}.difference(self.parts))
-        got = np.zeros((len(new), self.p.shape[1]), np.float32)
-        for some in _by_length(new):
-            end = forward(self.pieces.lattice([new[k] for k in some]), self.p)[-1]
-            got[some] = np.log(np.maximum(end, 1e-300))
-        base = len(self.part_scores)
-        self.parts.update(zip(new, range(base, base + len(new))))
-        self.part_scores = np.vstack((self.part_scores, got))
-        ids = np.fromiter((self.parts[x] for c in cut for x in (c or [None]) if x is not None), np.int64)
-        sizes = np.fromiter(map(len, cut), np.int64, len(cut))
-        sums = np.zeros((len(cut), self.p.shape[1]), np.float32)
-        if len(ids):
-            some = np.flatnonzero(sizes)
-            sums[some] = np.add.reduceat(self.part_scores[ids], (np.cumsum(sizes) - sizes)[some])
-        base = len(self.scores)
-        self.known.update(zip(raw, range(base, base + len(raw))))
-        self.scores = np.vstack((self.scores, sums))
+        self.pieces, self.p = pieces, p.astype(np.float32)
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known = Numbers()
+        self.scores = np.zeros((1 << 16, self.p.shape[1]), np.float32)
+
+    def _learn(self) -> None:
+        fresh, self.known.fresh = self.known.fresh, []
+        k = len(self.known) - len(fresh)
+        if len(self.known) > len(self.scores):
+            grown = np.zeros((max(len(self.known), 2 * len(self.scores)), self.p.shape[1]), np.float32)
+            grown[:k] = self.scores[:k]
+            self.scores = grown
+        parts, owner = ["▁" + w for w in fresh], np.arange(k, k + len(fresh))
+        long = [i for i, w in enumerate(fresh) if len(w) > STRETCH]
+        for i in long:
+            first, *rest = stretches(fresh[i])
+            parts[i] = first
+            parts += rest
+            owner = np.append(owner, np.full(len(rest), k + i))
+        for some in _by_length(parts):
+            end = forward(self.pieces.lattice([parts[i] for i in some]), self.p)[-1]
+            np.add.at(self.scores, owner[some], np.log(np.maximum(end, 1e-300)).astype(np.float32))
 
     def score(self, texts: list[list[str]]) -> np.ndarray:
         """(text, language): sums over each text's words."""
-        wanted = set().union(*texts)
-        new = wanted.difference(self.known)
-        if len(self.known) + len(new) > KEPT_WORDS:
-            self._clear()
-            new = wanted
-        if new:
-            self._learn(list(new))
+        if len(self.known) > KEPT_WORDS:
+            self._forget()
         sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-        ids = np.fromiter((k for t in texts for k in map(self.known.__getitem__, t)), np.int64, int(sizes.sum()))
+        ids = np.fromiter(map(self.known.__getitem__, chain.from_iterable(texts)), np.int64, int(sizes.sum()))
+        self._learn()
         out = np.zeros((len(texts), self.p.shape[1]))
         some = np.flatnonzero(sizes)
         if len(some):
@@ -229,6 +272,18 @@ class Scorer:
         return out
 
 
+_SHARED: dict[tuple, Scorer] = {}
+
+
+def shared_scorer(vocabulary: str, p: np.ndarray) -> Scorer:
+    """The words that this Python worker has scored under one model, kept from task to task."""
+    key = (vocabulary, p.shape, xxhash.xxh3_128_hexdigest(np.ascontiguousarray(p)))
+    if key not in _SHARED:
+        _SHARED.clear()
+        _SHARED[key] = Scorer(Pieces(vocabulary), p)
+    return _SHARED[key]
+
+
 def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], vocabulary: str = "piece_bpe_32k.model", id_col: str = "doc_id", text_col: str = "text", *more: Column) -> DataFrame:
     """(doc_id, lang_pred, score[, more]) of each row; score: the best language's share among all, all as likely beforehand."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
@@ -237,12 +292,12 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], vocabulary: st
 
     def work(batches):
         langs, p = sent.value
-        scorer = Scorer(Pieces(vocabulary), p)
+        scorer = shared_scorer(vocabulary, p)
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for a, b in by_bytes(texts):
+            for a, b in by_bytes(texts, 1 << 19):
                 lettered = [bool(t) and any(map(str.isalpha, t)) for t in texts[a:b]]
-                sums = scorer.score([t.split() if ok else [] for t, ok in zip(texts[a:b], lettered)])
+                sums = scorer.score([letter_runs(t) if ok else [] for t, ok in zip(texts[a:b], lettered)])
                 best = sums.argmax(axis=1)
                 share = 1 / np.exp(sums - sums.max(axis=1, keepdims=True)).sum(axis=1)
                 known = [ok and bool(langs) for ok in lettered]
