@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -29,6 +30,14 @@ def same_row(a: DataFrame, b: DataFrame) -> Column:
     return (a["rid"] == b["rid"]) & a["doc_id"].eqNullSafe(b["doc_id"])
 
 
+def give_back() -> None:
+    """Return freed memory to the system: a worker that waits for its next task, or for another operator's, holds little."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim is not None:
+        trim(0)
+
+
 def arrow_map(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[dict]], schema: T.StructType) -> DataFrame:
     """mapInArrow for a function that yields dicts of columns (lists or arrays)."""
     arrow = to_arrow_schema(schema)
@@ -36,6 +45,8 @@ def arrow_map(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for columns in work(batches):
             yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
+        columns = None
+        give_back()
 
     return df.mapInArrow(run, schema)
 
