@@ -38,11 +38,28 @@ def give_back() -> None:
         trim(0)
 
 
-def arrow_map(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[dict]], schema: T.StructType) -> DataFrame:
-    """mapInArrow for a function that yields dicts of columns (lists or arrays)."""
+_KEPT: dict = {}
+
+
+def kept(key, make: Callable):
+    """What make() gives, kept by this Python worker under the key from task to task; one thing is kept at a time."""
+    if key not in _KEPT:
+        _KEPT.clear()
+        _KEPT[key] = make()
+    return _KEPT[key]
+
+
+def forget() -> None:
+    _KEPT.clear()
+
+
+def arrow_map(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[dict]], schema: T.StructType, keeps: bool = False) -> DataFrame:
+    """mapInArrow for a function that yields dicts of columns (lists or arrays); without keeps, workers drop what is `kept`."""
     arrow = to_arrow_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if not keeps:
+            forget()
         for columns in work(batches):
             yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
         columns = None

@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import Numbers, arrow_map, by_bytes, keyed
+from netan.llm.common import Numbers, arrow_map, by_bytes, kept, keyed
 from netan.llm.token_counts import library
 from netan.storage import written
 
@@ -272,16 +272,10 @@ class Scorer:
         return out
 
 
-_SHARED: dict[tuple, Scorer] = {}
-
-
 def shared_scorer(vocabulary: str, p: np.ndarray) -> Scorer:
     """The words that this Python worker has scored under one model, kept from task to task."""
-    key = (vocabulary, p.shape, xxhash.xxh3_128_hexdigest(np.ascontiguousarray(p)))
-    if key not in _SHARED:
-        _SHARED.clear()
-        _SHARED[key] = Scorer(Pieces(vocabulary), p)
-    return _SHARED[key]
+    key = ("scores", vocabulary, p.shape, xxhash.xxh3_128_hexdigest(np.ascontiguousarray(p)))
+    return kept(key, lambda: Scorer(Pieces(vocabulary), p))
 
 
 def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], vocabulary: str = "piece_bpe_32k.model", id_col: str = "doc_id", text_col: str = "text", *more: Column) -> DataFrame:
@@ -305,7 +299,7 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], vocabulary: st
                 yield out | {c: batch.column(c).slice(a, b - a) for c in others}
 
     schema = T.StructType([rows.schema["doc_id"], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), *rows.schema.fields[2:]])
-    return arrow_map(rows, work, schema)
+    return arrow_map(rows, work, schema, keeps=True)
 
 
 def held_out(docs: DataFrame) -> Column:

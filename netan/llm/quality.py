@@ -28,7 +28,7 @@ START, END, ORDER, BITS = 0, 1, 4, 6
 #: Rows of the model that are sent to the executors at most: 16 bytes each.
 MOST_ROWS = 8_000_000
 #: Different words that a task holds at most before it hands on its n-gram counts, or a scorer before it starts anew.
-KEPT_WORDS = 1_000_000
+KEPT_WORDS = 200_000
 #: Width of a bin of scores.
 BIN = 0.001
 
@@ -88,8 +88,8 @@ def count_grams(docs: DataFrame) -> DataFrame:
         def handed():
             for lang, words in held.items():
                 names = list(words)
-                for a in range(0, len(names), 100_000):
-                    part = names[a : a + 100_000]
+                for a in range(0, len(names), 50_000):
+                    part = names[a : a + 50_000]
                     code, first = grams(*folded(part))
                     weight = np.fromiter((words[w] for w in part), np.int64, len(part))
                     each = np.repeat(weight, np.diff(np.append(first, len(code))))

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import Numbers, arrow_map, by_bytes, fields, keyed
+from netan.llm.common import Numbers, arrow_map, by_bytes, fields, kept, keyed
 from netan.llm.token_counts import library
 from netan.storage import written
 
@@ -214,14 +214,9 @@ def _cut(text: str) -> list[str]:
     return [text] if any(c in text for c in "\x1c\x1d\x1e\x1f") else text.split()
 
 
-_SHARED: dict[str, PieceIds] = {}
-
-
 def shared_pieces(tokenizer: str) -> PieceIds:
     """The words that this Python worker knows, kept from task to task."""
-    if tokenizer not in _SHARED:
-        _SHARED[tokenizer] = PieceIds(library(tokenizer))
-    return _SHARED[tokenizer]
+    return kept(("pieces", tokenizer), lambda: PieceIds(library(tokenizer)))
 
 
 def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", partitions: int | None = None) -> DataFrame:
@@ -258,7 +253,7 @@ def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int
 
     kind = rows.schema["doc_id"].dataType
     schema = T.StructType([T.StructField("part", T.IntegerType()), T.StructField("chunk", T.IntegerType()), T.StructField("doc_ids", T.ArrayType(kind)), T.StructField("lengths", T.ArrayType(T.LongType())), T.StructField("payload", T.BinaryType())])
-    return written(arrow_map(dealt, work, schema), "token-ids")
+    return written(arrow_map(dealt, work, schema, keeps=True), "token-ids")
 
 
 def read_ids(chunks: DataFrame, with_ids: bool = False) -> DataFrame:
