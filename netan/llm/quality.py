@@ -125,7 +125,7 @@ def train(docs: DataFrame) -> DataFrame:
     counts = {ORDER: written(count_grams(docs), "gram-counts")}
     for size in range(ORDER - 1, 0, -1):  # how many different symbols stand before it
         cut = F.col("gram").bitwiseAND((1 << BITS * size) - 1).alias("gram")
-        counts[size] = counts[size + 1].select("lang", cut).groupBy("lang", "gram").agg(F.count("*").alias("n"))
+        counts[size] = written(counts[size + 1].select("lang", cut).groupBy("lang", "gram").agg(F.count("*").alias("n")), f"gram-counts-{size}")
     model = None
     for size in range(1, ORDER + 1):
         c = counts[size]
@@ -145,7 +145,7 @@ def train(docs: DataFrame) -> DataFrame:
             c = c.join(lower, ["lang", "shorter"])
             low = F.col("low")
         p = (F.col("n") - F.col("off") + F.col("spare") * low) / F.col("total")
-        c = c.select("lang", "gram", p.alias("p"))
+        c = written(c.select("lang", "gram", p.alias("p")), f"gram-shares-{size}")  # keeps the driver's plans short
         lower = c.select("lang", F.col("gram").alias("shorter"), F.col("p").alias("low"))
         backs = contexts.select("lang", F.col("context").alias("gram"), F.log(F.col("spare") / F.col("total")).alias("log_back"))
         rows = c.select("lang", F.lit(size).alias("size"), "gram", F.log("p").alias("log_p"), F.lit(0.0).alias("log_back"))
