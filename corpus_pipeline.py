@@ -28,8 +28,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of similar ones, that with the smallest id; of equal rows, one."""
-    members = ngram_join.similar(docs).where("component IS NOT NULL")
+    """One document of each component of similar ones (five words, 0.80), that with the smallest id; of equal rows, one."""
+    members = ngram_join.similar(docs, size=5, per_cent=80).where("component IS NOT NULL")
     first = members.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid")).alias("first"))
     others = members.join(first, "component").where("NOT (doc_id <=> first.doc_id AND rid = first.rid)")
     left = _without(docs, others)

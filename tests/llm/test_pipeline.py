@@ -28,3 +28,12 @@ def test_stages(spark, tmp_path):
     out = corpus_pipeline.run(spark, f"file://{tmp_path}").collect()
     assert {r.doc_id for r in out} == seen[3] and min(r.start for r in out) == 0
     assert sum(r.n_tokens for r in out) == max(r.start + r.n_tokens for r in out)
+
+
+def test_near_copies_at_five_words(spark, tmp_path):
+    """Four of 200 words differ: 176 of 216 shingles of five words (0.81), but 181 of 213 of four words (0.8498)."""
+    first = [f"w{k}" for k in range(200)]
+    second = [f"x{k}" if k in (30, 70, 110, 150) else w for k, w in enumerate(first)]
+    other = [f"x{k}" if k in (30, 60, 90, 120, 150) else w for k, w in enumerate(first)]  # 171 of 221: 0.77
+    docs = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate((first, second, other))], "doc_id long, text string")
+    assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()} == {0, 2}
