@@ -2,8 +2,9 @@
 
 The model is one of characters within words, an n-gram model of order 4 per language, counted by Spark over the words of all
 documents. Characters are folded to 64 symbols (lower-cased Latin letters, marks, a digit class, hashes of the rest), so a
-language has at most 64^4 n-grams; the whole model is sorted arrays of n-gram codes with their probabilities, sent to the
-executors. If there are so many languages that it would pass a fixed size, the order is lowered until it fits.
+language has at most 64^4 n-grams; the model is sorted arrays of n-gram codes with their probabilities, sent to the executors.
+If the languages' tables pass a fixed size together, languages are scored in lots, one after the other, each with the whole
+tables of its languages: the order is the same at every size. A language that is larger alone is a lot of its own.
 
 Each language gets a band from its own documents: the median of their log-perplexities per letter, give or take a number of
 median deviations (from counts of binned scores, over all documents). Documents beyond the band are rejected.
@@ -25,8 +26,10 @@ from netan.storage import written
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
 START, END, ORDER, BITS = 0, 1, 4, 6
-#: Rows of the model that are sent to the executors at most: 16 bytes each.
+#: Rows of the model that are sent to the executors at once, if more than one language's: 8 bytes each of order 4, else 12.
 MOST_ROWS = 8_000_000
+#: Rows of the model that are fetched at once.
+FETCHED_ROWS = 4_000_000
 #: Different words that a task holds at most before it hands on its n-gram counts, or a scorer before it starts anew.
 KEPT_WORDS = 200_000
 #: Width of a bin of scores.
@@ -155,22 +158,44 @@ def train(docs: DataFrame) -> DataFrame:
     return model.groupBy("lang", "size", "gram").agg(F.min("log_p").alias("log_p"), F.min("log_back").alias("log_back"))
 
 
-def load(model: DataFrame) -> tuple[int, dict]:
-    """Order in use, and sorted arrays (codes, log_p, log_back) by language and size; checked to fit MOST_ROWS."""
-    sizes = {r["size"]: r["count"] for r in model.groupBy("size").count().collect()}
-    order = max((k for k in range(1, ORDER + 1) if sum(n for s, n in sizes.items() if s <= k) <= MOST_ROWS), default=0)
-    if not order:
-        raise ValueError("more languages than symbols that a model could hold")
-    rows = model.where(F.col("size") <= order).toArrow()
-    langs = rows.column("lang").combine_chunks().dictionary_encode()
-    names, which = langs.dictionary.to_pylist(), langs.indices.to_numpy()
-    size, gram, p, back = (rows.column(c).to_numpy() for c in ("size", "gram", "log_p", "log_back"))
-    order_by = np.lexsort((gram, size, which))
-    key = which[order_by].astype(np.int64) * 8 + size[order_by]
-    out: dict = {}
-    for part in np.split(order_by, np.flatnonzero(np.diff(key)) + 1) if len(key) else []:
-        out.setdefault(names[which[part[0]]], {})[int(size[part[0]])] = (gram[part], p[part].astype(np.float32), back[part].astype(np.float32))
-    return order, out
+def lots(model: DataFrame) -> list[list[str]]:
+    """Languages whose tables are sent together: MOST_ROWS rows at most, or one language."""
+    out: list[list[str]] = []
+    held = MOST_ROWS
+    for lang, n in sorted((r["lang"], r["count"]) for r in model.groupBy("lang").count().collect()):
+        if held + n > MOST_ROWS:
+            out.append([])
+            held = 0
+        out[-1].append(lang)
+        held += n
+    return out
+
+
+def load(model: DataFrame, langs: list[str] | None = None) -> tuple[int, dict]:
+    """Order, and sorted arrays (codes, log_p, log_back) by language and size, of all languages or some.
+
+    N-grams of the highest size are no contexts, so they have no log_back. Ranges of codes are fetched one after the other.
+    """
+    if langs is not None:
+        model = model.where(F.col("lang").isin(langs))
+    fetched = model.select("lang", F.col("size").cast("int"), F.col("gram").cast("int"), F.col("log_p").cast("float"), F.col("log_back").cast("float"))
+    ranges = -(-model.count() // FETCHED_ROWS)
+    step = -(-(1 << BITS * ORDER) // max(1, ranges))
+    parts: dict = {}
+    for k in range(ranges):
+        rows = fetched.where(F.col("gram").between(k * step, (k + 1) * step - 1)).toArrow()
+        if not len(rows):
+            continue
+        named = rows.column("lang").combine_chunks().dictionary_encode()
+        names, which = named.dictionary.to_pylist(), named.indices.to_numpy()
+        size, gram, p, back = (rows.column(c).to_numpy() for c in ("size", "gram", "log_p", "log_back"))
+        order_by = np.lexsort((gram, size, which))
+        key = which[order_by].astype(np.int64) * 8 + size[order_by]
+        for part in np.split(order_by, np.flatnonzero(np.diff(key)) + 1):
+            top = int(size[part[0]])
+            found = (gram[part], p[part], back[part] if top < ORDER else back[:0])
+            parts.setdefault(names[which[part[0]]], {}).setdefault(top, []).append(found)
+    return ORDER, {lang: {size: tuple(map(np.concatenate, zip(*found))) for size, found in t.items()} for lang, t in parts.items()}
 
 
 def _find(table, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -192,6 +217,7 @@ class Scorer:
 
     def log_probabilities(self, u: np.ndarray) -> np.ndarray:
         """Of each 4-gram's last symbol, given those before it."""
+        u = u.astype(np.int32)  # as the tables: no copies of these
         log_p = np.zeros(len(u))
         open_, back = np.ones(len(u), bool), np.zeros(len(u))
         for size in range(self.order, 0, -1):
@@ -272,6 +298,22 @@ def measure(docs: DataFrame, model: tuple[int, dict], least: int = 50) -> DataFr
     return arrow_map(docs, work, schema)
 
 
+def measured_in_lots(rows: DataFrame, model: DataFrame, least: int) -> DataFrame:
+    """measure()'s table, lot by lot of languages; rows of languages without words go with the first lot."""
+    parts = lots(model) or [[]]
+    out = None
+    for k, langs in enumerate(parts):
+        if len(parts) == 1:
+            mine, some = rows, None
+        elif k == 0:
+            mine, some = rows.where(~F.col("lang").isin([x for p in parts[1:] for x in p])), langs
+        else:
+            mine, some = rows.where(F.col("lang").isin(langs)), langs
+        measured = written(measure(mine, load(model, some), least), f"quality-measures-{k}")
+        out = measured if out is None else out.unionByName(measured)
+    return out
+
+
 def _median(bins: DataFrame, out: str) -> DataFrame:
     """(lang, out): the bin that holds the middle of each language's counts."""
     upto = Window.partitionBy("lang").orderBy("bin")
@@ -297,7 +339,7 @@ def assess(docs: DataFrame, deviations: float = 12.0, least: int = 50, id_col: s
     lang = F.coalesce(docs[lang_col].cast("string"), F.lit("null")).alias("lang")
     model = written(train(docs.select(text.alias("text"), lang)), "kneser-ney")
     rows = docs.select(docs[id_col].alias("doc_id"), text.alias("text"), lang, F.xxhash64(docs[id_col], text).alias("rid"))
-    measured = written(measure(rows, load(model), least), "quality-measures")
+    measured = measured_in_lots(rows, model, least)
     out = measured.join(bands(measured, deviations), "lang", "left")
     inside = F.col("score").isNull() | F.col("low").isNull() | F.col("score").between(F.col("low"), F.col("high"))
     return out.withColumn("kept", ~F.col("base_failed") & inside)

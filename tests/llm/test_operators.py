@@ -260,6 +260,21 @@ def test_kneser_ney_sums_to_one(spark):
         assert np.exp(scorer.log_probabilities(every)).sum() == pytest.approx(1, abs=1e-5)
 
 
+def test_quality_is_the_same_in_lots(spark, monkeypatch):
+    rng = random.Random(16)
+    docs = [(k, " ".join("".join(rng.choice(["th", "an", "er", "qu"]) for _ in range(rng.randint(1, 4))) for _ in range(60)), ["en", "de", "fr"][k % 3]) for k in range(30)]
+    docs += [(100, None, "xx"), (101, "short", None), (0, docs[0][1], "en")]
+    docs = spark.createDataFrame(docs, "doc_id long, text string, lang string")
+    want = {r.doc_id: r for r in quality.assess(docs).collect()}
+    monkeypatch.setattr(quality, "MOST_ROWS", 400)
+    monkeypatch.setattr(quality, "FETCHED_ROWS", 100, raising=False)
+    got = quality.assess(docs).collect()
+    assert len(got) == docs.count()
+    for r in got:
+        assert r.score == (None if want[r.doc_id].score is None else pytest.approx(want[r.doc_id].score, abs=1e-9))
+        assert r.kept == want[r.doc_id].kept and r.n_words == want[r.doc_id].n_words
+
+
 # --- 7 token files
 
 
