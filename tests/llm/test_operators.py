@@ -260,6 +260,17 @@ def test_kneser_ney_sums_to_one(spark):
         assert np.exp(scorer.log_probabilities(every)).sum() == pytest.approx(1, abs=1e-5)
 
 
+def test_moderate_junk_is_rejected_in_every_language(spark):
+    """Junk at 8 deviations above and 11 below, in languages whose scores scatter differently."""
+    rows = []
+    for lang, scatter in (("en", 0.02), ("es", 0.04)):
+        rows += [(k, lang, 1.8 + scatter * (k - 100) / 50, False) for k in range(201)]
+        rows += [(1000, lang, 1.8 + 8 * scatter, False), (1001, lang, 1.8 - 11 * scatter, False), (1002, lang, 1.8 + 99, True)]
+    bands = {r.lang: r for r in quality.bands(spark.createDataFrame(rows, "doc_id long, lang string, score double, base_failed boolean")).collect()}
+    for _, lang, score, _ in (x for x in rows if x[0] < 1002):
+        assert (bands[lang].low <= score <= bands[lang].high) == (abs(score - 1.8) < 0.1), (lang, score)
+
+
 def test_quality_is_the_same_in_lots(spark, monkeypatch):
     rng = random.Random(16)
     docs = [(k, " ".join("".join(rng.choice(["th", "an", "er", "qu"]) for _ in range(rng.randint(1, 4))) for _ in range(60)), ["en", "de", "fr"][k % 3]) for k in range(30)]
