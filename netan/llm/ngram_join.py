@@ -1,7 +1,9 @@
 """N-gram Jaccard join with a count-vector R-tree.
 
 A document's set holds its 4-word shingles; documents of equal sets are one class. Two classes link when the sets' Jaccard
-similarity is the threshold or more. The join is exact, and its output is links between classes plus membership.
+similarity is the threshold or more. There are two forms. `similar` gives membership in components, exactly, from links enough to
+join them; op8's query and the pipeline use it. `every_link` gives all links between classes, and `link_counts` their number
+for each class; their pairs are all that pass the bound, so groups of near copies cost their size squared.
 
 Routing. Under any order of all shingles that is the same for all documents, two sets that link share one of their first
 n - ceil(t n) + 1 shingles. The order puts common shingles last: a count sketch of fixed size over all shingles of the corpus
@@ -39,6 +41,8 @@ GROUPS = 32
 SKETCH_BITS = 22
 SKETCH_BLOCK = 1 << 14
 LEAF = 32
+#: Classes of a key that one group of `every_link` holds, about.
+BLOCK = 2000
 #: Classes, 24 bytes each, that are broadcast at most.
 SENT_CLASSES = 500_000
 
@@ -310,8 +314,8 @@ def _sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     return arrow_map(joined, work, T.StructType([T.StructField("sid", T.LongType()), T.StructField("set", T.BinaryType())]))
 
 
-def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, rid, n, sid, vec) of all documents, and (src, dst) links that join all classes of a component."""
+def _dealt(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(doc_id, rid, n, sid, vec) of all documents; (key, sid) of keys with several classes; (sid, doc_id, rid, n, vec) of these."""
     both = written(profile(rows, size), "profiles")
     docs = both.where("block IS NULL").drop("block", "counts")
     levels = _levels(both.where("block IS NOT NULL").select("block", "counts"))
@@ -320,7 +324,54 @@ def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFra
     dealt = written(routed.join(shared, "key").select("key", "sid").distinct(), "dealt")
     drop(routed)
     classes = docs.where("sid IS NOT NULL").groupBy("sid").agg(F.min_by(F.struct("doc_id", "rid", "n", "vec"), "rid").alias("r")).select("sid", "r.*")
-    classes = written(classes.join(dealt.select("sid").distinct(), "sid"), "classes")
+    return docs, dealt, written(classes.join(dealt.select("sid").distinct(), "sid"), "classes")
+
+
+def _verified(rows: DataFrame, classes: DataFrame, pairs: DataFrame, size: int, per_cent: int) -> DataFrame:
+    """Links among the pairs, whose classes' sets are made for this and dropped."""
+    sids = pairs.select(F.explode(F.array("a", "b")).alias("sid")).distinct()
+    wanted = written(classes.join(sids, "sid", "left_semi").select("doc_id", "rid", "sid"), "wanted")
+    sets = written(_sets(rows, wanted, size), "sets")
+    out = written(_verify(pairs, sets, per_cent), "links")
+    drop(sets, wanted, pairs)
+    return out
+
+
+def _all_links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
+    """_dealt()'s documents, and (src, dst) of every link between classes.
+
+    A key's classes are dealt over blocks of about BLOCK by hash, and each pair of blocks is a task's group of its own: within
+    one block all pairs are looked at, between two only those across.
+    """
+    docs, dealt, classes = _dealt(rows, size, per_cent)
+    sizes = dealt.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    mine = dealt.join(sizes, "key").withColumn("mine", F.pmod(F.xxhash64("sid", "key"), "blocks"))
+    mine = mine.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    part = F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other"))
+    component = F.when(F.col("mine") == F.col("other"), F.col("sid")).otherwise(F.col("mine"))
+    split = mine.select(part.alias("key"), "sid", component.alias("component")).join(classes.select("sid", "vec"), "sid")
+    split = split.select("key", "sid", "component", "vec").repartition("key").sortWithinPartitions("key", "sid")
+    found = _verified(rows, classes, written(_pairs_left(split, per_cent), "all-pairs"), size, per_cent)
+    drop(dealt)
+    return docs, found
+
+
+def every_link(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(src, dst): every link between two classes, by class number, src < dst, once."""
+    return _all_links(row_key(keyed(docs, id_col, text_col)), size, per_cent)[1]
+
+
+def link_counts(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, rid, n_shingles, sid, n_links) of each row: its class, and how many other classes that links with."""
+    docs, found = _all_links(row_key(keyed(docs, id_col, text_col)), size, per_cent)
+    n = found.select(F.explode(F.array("src", "dst")).alias("sid")).groupBy("sid").agg(F.count("*").alias("n_links"))
+    out = docs.select("doc_id", "rid", F.col("n").alias("n_shingles"), "sid").join(n, "sid", "left")
+    return out.select("doc_id", "rid", "n_shingles", "sid", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+
+
+def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, rid, n, sid, vec) of all documents, and (src, dst) links that join all classes of a component, not every link."""
+    docs, dealt, classes = _dealt(rows, size, per_cent)
 
     def bounded(pairs: DataFrame) -> DataFrame:
         a = classes.select(F.col("sid").alias("a"), F.col("n").alias("na"), F.col("vec").alias("va"))
@@ -335,13 +386,7 @@ def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFra
     first = written(with_first(dealt, F.lit(0)), "first-pairs")
 
     def verified(pairs: DataFrame) -> DataFrame:
-        """Links among the pairs, whose classes' sets are made for this and dropped."""
-        sids = pairs.select(F.explode(F.array("a", "b")).alias("sid")).distinct()
-        wanted = written(classes.join(sids, "sid", "left_semi").select("doc_id", "rid", "sid"), "wanted")
-        sets = written(_sets(rows, wanted, size), "sets")
-        out = written(_verify(pairs, sets, per_cent), "links")
-        drop(sets, wanted, pairs)
-        return out
+        return _verified(rows, classes, pairs, size, per_cent)
 
     known = verified(first)
 

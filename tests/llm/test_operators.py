@@ -352,6 +352,19 @@ def test_ngram_join_against_brute_force(spark):
     assert rows_of(got) == brute_components(docs)
 
 
+def test_every_link_against_brute_force(spark, monkeypatch):
+    """40 near copies with different texts, in groups that are split into blocks."""
+    monkeypatch.setattr(ngram_join, "BLOCK", 6, raising=False)
+    base = [f"w{k}" for k in range(200)]  # texts link if three words differ between them, not if four do
+    docs = [(k, " ".join(f"x{k}-{j}" if j in [k + 4, k + 60, k + 120][: 1 + k % 3] else w for j, w in enumerate(base))) for k in range(40)]
+    docs += [(50, docs[3][1]), (51, None), (52, "quite another text of six words")]
+    sets = {i: {tuple(w[a : a + 4]) for a in range(len(w) - 3)} for i, t in docs if (w := (t or "").split())}
+    texts = dict(docs)
+    want = {i: len({texts[j] for j in sets if texts[j] != texts[i] and 100 * len(sets[i] & sets[j]) >= 85 * len(sets[i] | sets[j])}) if i in sets else 0 for i in texts}
+    got = {r.doc_id: r.n_links for r in ngram_join.link_counts(frame(spark, docs, True).repartition(3)).collect()}
+    assert got == want and sum(want.values()) > 100
+
+
 def test_tree_finds_all_that_the_bound_allows():
     rng = np.random.default_rng(3)
     base = rng.poisson(6, (12, 32))
