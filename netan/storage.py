@@ -2,18 +2,23 @@
 
 Everything goes to the folder that all executors share: ``spark.checkpoint.dir`` of the running session. Only where no
 such folder is named (a local test session) is one made under the system's temporary folder.
+
+A table of `written` lives until it is dropped, until the `scratch` block around it ends, or until the program does.
 """
 
 from __future__ import annotations
 
 import atexit
+import contextlib
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: dict[str, str] = {}
 _WRITTEN: list[tuple[SparkSession, str]] = []
+_SCRATCH: list[set[str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -31,15 +36,36 @@ def shared_dir(spark: SparkSession) -> str:
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a Parquet table in the shared folder, read again: the plan starts anew there and survives lost executors."""
+    out = lasting(df, name)
+    if _SCRATCH:
+        _SCRATCH[-1].add(out._netan_path)
+    return out
+
+
+def lasting(df: DataFrame, name: str) -> DataFrame:
+    """`written`, but the table outlives the scratch block."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/netan/{uuid.uuid4().hex}-{name}"
-    df.write.parquet(path)
     _WRITTEN.append((spark, path))
+    df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._netan_path = path
     return out
 
 
+@contextlib.contextmanager
+def scratch() -> Iterator[None]:
+    """Drops the tables that are `written` in this block, when it is left; a result that needs them is to be `lasting`."""
+    _SCRATCH.append(set())
+    try:
+        yield
+    finally:
+        mine = _SCRATCH.pop()
+        for spark, path in [x for x in _WRITTEN if x[1] in mine]:
+            _delete(spark, path)
+        _WRITTEN[:] = [x for x in _WRITTEN if x[1] not in mine]
+
+
 def drop(*tables: DataFrame) -> None:
     """Delete tables that `written` made and nothing reads any more."""
     for df in tables:
