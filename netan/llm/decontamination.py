@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.llm.common import arrow_map, by_bytes, keyed, row_key
-from netan.storage import written
+from netan.storage import lasting, scratch, written
 
 #: Words: lower-cased ASCII letters and digits and everything beyond ASCII; all other bytes part words.
 TERM_BYTES = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -221,6 +221,12 @@ def judge(index: DataFrame, items: DataFrame, window: int = 13, per_cent: int =
     return _verdict(both, per_cent)
 
 
+def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, per_cent: int = 5) -> DataFrame:
+    """judge() of documents, by an index that is dropped again."""
+    with scratch():
+        return lasting(judge(build_index(docs), items, window, per_cent), "judged")
+
+
 def search(index: DataFrame, items: DataFrame, slop: int | None = None, item_id: str = "item_id", text_col: str = "text") -> DataFrame:
     """(item_id, doc_id, rid, start, length) of every place where an item's whole text stands.
 

@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 
 from netan.llm.common import Numbers, arrow_map, by_bytes, kept, keyed
 from netan.llm.token_counts import library
-from netan.storage import written
+from netan.storage import drop, written
 
 STRETCH = 31
 #: Different words that a worker holds before it hands on or starts anew.
@@ -226,6 +226,7 @@ def train(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", rounds: int
         counts = np.zeros(p.shape)
         counts[found.column("piece").to_numpy(), [column[x] for x in found.column("lang").to_pylist()]] = found.column("n").to_numpy()
         p = ((counts + smoothing) / (counts.sum(axis=0) + smoothing * size)).astype(np.float32)
+    drop(words)
     return langs, p
 
 

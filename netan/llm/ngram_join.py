@@ -3,46 +3,53 @@
 A document's set holds its 4-word shingles; documents of equal sets are one class. Two classes link when the sets' Jaccard
 similarity is the threshold or more. There are two forms. `similar` gives membership in components, exactly, from links enough to
 join them; op8's query and the pipeline use it. `every_link` gives all links between classes, and `link_counts` their number
-for each class; their pairs are all that pass the bound, so groups of near copies cost their size squared.
+for each class; their pairs are all that pass the bounds, so groups of near copies cost their size squared.
+
+Joined first. Every class has a few signatures, each the hash of some least shingles. Classes of one signature are verified
+against the group's first and last class, and those that link are contracted: a large group of near copies is mostly one
+component before any pairs are sought. This step decides nothing but which pairs need no look.
 
 Routing. Under any order of all shingles that is the same for all documents, two sets that link share one of their first
 n - ceil(t n) + 1 shingles. The order puts common shingles last: a count sketch of fixed size over all shingles of the corpus
 gives coarse levels of frequency; within a level long shingles come before short ones, then hashes decide. So documents are
-dealt by rare shingles, and boilerplate makes no large groups.
+dealt by rare shingles, and boilerplate makes no large groups. At the first shingle that two sets share, what is left of
+either holds their whole overlap, so a pair whose rest is too short there is left to its other shingles.
 
 Count vectors. Shingles are hashed into groups; a class is the point of its group counts. The sum of the coordinates' minima
-of two points is at least their overlap, so pairs whose sum is too low for their sizes are dropped. Pairs are taken in three
-steps, each verified on the whole sets before the next: every class of a dealt group with the group's first class; those
-not yet in one component with another member, chosen by hash; at last all pairs that are still in different components,
-found in an R-tree over the group's points (nodes whose bounding box can't reach the bound are left out). No pair within a
-component that is already known is looked at, so large groups of near copies cost about their size.
+of two points is at least their overlap. The points of each dealt shingle make an R-tree (up to LEAF of them are one leaf), which is
+asked for every point; nodes whose bounding box can't reach the bound are left out. Pairs within a component that is
+already known are left out too; what the tree finds is verified on the whole sets. A shingle with more than BLOCK classes is
+dealt in blocks: classes of its largest component meet the others only, block by block.
 
 Nulls, and texts without words, have no shingles and link with nothing; fewer words than four make one shingle. Rows that
-repeat are one class. The component of a row with a null id is the smallest id that is not null, if there is one.
+repeat are one class. The component of a row with a null id is the smallest id that is not null, if there is one. Columns
+beside id and text, those with names used here included, are not read. Very long texts are one set like any other. Empty
+tables give no rows.
 """
 
 from __future__ import annotations
 
-import math
 import zlib
 from itertools import chain
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.contraction import contract
-from netan.llm.common import arrow_map, by_bytes, fields, keyed, row_key, same_row
+from netan.llm.common import arrow_map, by_bytes, fields, give_back, keyed, row_key, same_row
 from netan.llm.substring_dedup import BASE, WordHashes, mixed
-from netan.storage import drop, written
+from netan.storage import drop, lasting, scratch, written
 
-GROUPS = 32
+GROUPS = 64
+#: Signatures of a class, and least shingles in each.
+SIGNATURES, MINIMA = 8, 3
 SKETCH_BITS = 22
 SKETCH_BLOCK = 1 << 14
 LEAF = 32
-#: Classes of a key that one group of `every_link` holds, about.
-BLOCK = 2000
+#: Classes of a key that are looked at together; those of larger keys are dealt in blocks of about as many.
+BLOCK = 4000
 #: Classes, 24 bytes each, that are broadcast at most.
 SENT_CLASSES = 500_000
 
@@ -88,29 +95,55 @@ def _class_of(u: np.ndarray) -> int:
     return int(mixed(parts[:1] * BASE + mixed(parts[1:2] + mixed(parts[2:]))).view(np.int64)[0])
 
 
+def _bounds(parts: int) -> np.ndarray:
+    """Least hash of each of so many equal ranges."""
+    return (np.arange(parts, dtype=np.float64) / parts * 2.0**64).astype(np.uint64)
+
+
+GROUP_BOUNDS = _bounds(GROUPS)
+RANGE_BOUNDS = _bounds(SIGNATURES * MINIMA)
+#: Tells signatures of different places apart.
+PLACES = mixed(np.arange(1, SIGNATURES + 1, dtype=np.uint64))
+
+
+def point(u: np.ndarray) -> bytes:
+    """Group counts of sorted shingles."""
+    return np.diff(np.append(np.searchsorted(u, GROUP_BOUNDS), len(u))).astype("<u4").tobytes()
+
+
+def signatures(u: np.ndarray) -> np.ndarray:
+    """Hashes of the least shingles of ranges; an empty range takes that of the next."""
+    least = u[np.searchsorted(u, RANGE_BOUNDS) % len(u)].reshape(SIGNATURES, MINIMA)
+    h = PLACES.copy()
+    for j in range(MINIMA):
+        h = mixed(h * BASE + least[:, j])
+    return h.view(np.int64)
+
+
 def profile(rows: DataFrame, size: int) -> DataFrame:
-    """One table of documents (doc_id, rid, n, sid, vec) and of a count sketch of their shingles (block, counts)."""
+    """One table of documents (doc_id, rid, n, sid, vec, marks) and of a count sketch of their shingles (block, counts)."""
 
     def work(batches):
         hashes, sketch = WordHashes(), np.zeros(1 << SKETCH_BITS, np.uint32)
         none = None
-        mask, group = np.uint64((1 << SKETCH_BITS) - 1), np.uint64(64 - int(math.log2(GROUPS)))
+        mask = np.uint64((1 << SKETCH_BITS) - 1)
         for batch in batches:
             texts = batch.column(1).to_pylist()
             for a, b in by_bytes(texts):
-                ns, sids, vecs, all_ = [], [], [], []
+                ns, sids, vecs, marks = [], [], [], []
                 for u, _ in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size):
                     ns.append(len(u))
                     sids.append(_class_of(u) if len(u) else None)
-                    vecs.append(np.bincount((u >> group).astype(np.int64), minlength=GROUPS).tolist() if len(u) else None)
-                    all_.append(u)
-                np.add(sketch, np.bincount((np.concatenate(all_) & mask).astype(np.int64), minlength=len(sketch)).astype(np.uint32), out=sketch)
-                yield {"doc_id": batch.column(0).slice(a, b - a), "rid": batch.column(2).slice(a, b - a), "n": ns, "sid": sids, "vec": vecs, "block": [none] * (b - a), "counts": [none] * (b - a)}
+                    vecs.append(point(u) if len(u) else None)
+                    marks.append(signatures(u) if len(u) else None)
+                    np.add.at(sketch, (u & mask).astype(np.int32), np.uint32(1))
+                yield {"doc_id": batch.column(0).slice(a, b - a), "rid": batch.column(2).slice(a, b - a), "n": ns, "sid": sids, "vec": vecs, "marks": marks, "block": [none] * (b - a), "counts": [none] * (b - a)}
         if sketch.any():
             k = len(sketch) // SKETCH_BLOCK
-            yield {"doc_id": [none] * k, "rid": [none] * k, "n": [none] * k, "sid": [none] * k, "vec": [none] * k, "block": list(range(k)), "counts": [zlib.compress(sketch[i * SKETCH_BLOCK : (i + 1) * SKETCH_BLOCK].tobytes(), 1) for i in range(k)]}
+            yield {c: [none] * k for c in ("doc_id", "rid", "n", "sid", "vec", "marks")} | {"block": list(range(k)), "counts": [zlib.compress(sketch[i * SKETCH_BLOCK : (i + 1) * SKETCH_BLOCK].tobytes(), 1) for i in range(k)]}
 
-    schema = T.StructType([*fields(rows, "doc_id", "rid"), T.StructField("n", T.LongType()), T.StructField("sid", T.LongType()), T.StructField("vec", T.ArrayType(T.IntegerType())), T.StructField("block", T.IntegerType()), T.StructField("counts", T.BinaryType())])
+    long, binary = T.LongType(), T.BinaryType()
+    schema = T.StructType([*fields(rows, "doc_id", "rid"), T.StructField("n", long), T.StructField("sid", long), T.StructField("vec", binary), T.StructField("marks", T.ArrayType(long)), T.StructField("block", T.IntegerType()), T.StructField("counts", binary)])
     return arrow_map(rows, work, schema)
 
 
@@ -133,18 +166,23 @@ def _levels(sketches: DataFrame) -> np.ndarray:
         total = sum(np.frombuffer(x, "<u8") for x in found.column("counts").to_pylist())
         return pa.table({"block": pa.array([found.column("block")[0].as_py()], pa.int32()), "counts": pa.array([total.astype("<u8").tobytes()], pa.binary())})
 
-    out = np.zeros(1 << SKETCH_BITS, np.float64)
+    out = np.zeros(1 << SKETCH_BITS, np.float32)
     for r in part.groupBy("block").applyInArrow(met, schema).toArrow().to_pylist():
         out[r["block"] * SKETCH_BLOCK : (r["block"] + 1) * SKETCH_BLOCK] = np.frombuffer(r["counts"], "<u8")
-    return np.clip(np.ceil(np.log2(np.maximum(out, 1) / (2 * out.mean() + 8))), 0, 60).astype(np.uint8)
+    np.maximum(out, 1, out=out)
+    out /= 2 * float(out.mean(dtype=np.float64)) + 8
+    np.ceil(np.log2(out, out=out), out=out)
+    levels = np.clip(out, 0, 60, out=out).astype(np.uint8)
+    give_back()
+    return levels
 
 
 def route(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> DataFrame:
-    """(key, sid, n) for the first shingles of each document under the common order."""
+    """(key, sid, n, at) for the first shingles of each document under the common order; a task gives each class once."""
     sent = rows.sparkSession.sparkContext.broadcast(levels)
 
     def work(batches):
-        hashes, level = WordHashes(), sent.value
+        hashes, level, seen = WordHashes(), sent.value, set()
         mask, low = np.uint64((1 << SKETCH_BITS) - 1), np.uint64((1 << 50) - 1)
         for batch in batches:
             texts = batch.column(1).to_pylist()
@@ -152,18 +190,24 @@ def route(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> Data
                 keys, sids, ns, each = [], [], [], []
                 for u, length in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size, True):
                     n = len(u)
-                    if not n:
+                    if not n or (sid := _class_of(u)) in seen:
                         continue
+                    seen.add(sid)
                     most = n - -(-per_cent * n // 100) + 1
                     order = level[(u & mask).astype(np.int64)].astype(np.uint64) << np.uint64(56) | (63 - length).astype(np.uint64) << np.uint64(50) | u & low
-                    keys.append(u[np.argsort(order, kind="stable")[:most]])
-                    sids.append(_class_of(u))
+                    if most < n // 2:  # only the first ones need be put in order; equal places are settled by u
+                        some = np.flatnonzero(order <= np.partition(order, most - 1)[most - 1])
+                        some = some[np.argsort(order[some], kind="stable")[:most]]
+                    else:
+                        some = np.argsort(order, kind="stable")[:most]
+                    keys.append(u[some])
+                    sids.append(sid)
                     ns.append(n)
-                    each.append(len(keys[-1]))
+                    each.append(most)
                 if keys:
-                    yield {"key": np.concatenate(keys).view(np.int64), "sid": np.repeat(sids, each), "n": np.repeat(ns, each)}
+                    yield {"key": np.concatenate(keys).view(np.int64), "sid": np.repeat(sids, each), "n": np.repeat(ns, each), "at": np.concatenate([np.arange(k) for k in each])}
 
-    schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("sid", T.LongType()), T.StructField("n", T.LongType())])
+    schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("sid", T.LongType()), T.StructField("n", T.IntegerType()), T.StructField("at", T.IntegerType())])
     return arrow_map(rows, work, schema)
 
 
@@ -210,65 +254,73 @@ class CountTree:
         return self.order[nodes[ok]]
 
 
-def _bound_holds(per_cent: int) -> Column:
-    """For rows with (na, nb, va, vb): sizes and summed minima allow for the similarity."""
-    least = F.aggregate(F.zip_with("va", "vb", lambda x, y: F.least(x, y)), F.lit(0), lambda a, x: a + x)
-    sizes = (F.lit(100) * F.least("na", "nb") >= per_cent * F.greatest("na", "nb"))
-    return sizes & ((100 + per_cent) * least >= per_cent * (F.col("na") + F.col("nb")))
+def _points(column) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), "<u4").reshape(-1, GROUPS).astype(np.int32)
+
+
+def _close(points: np.ndarray, others: np.ndarray, per_cent: int) -> np.ndarray:
+    """Which pairs of points allow for the similarity, by sizes and summed minima."""
+    ok = np.zeros(len(points), bool)
+    for k in range(0, len(points), 50_000):
+        x, y = points[k : k + 50_000], others[k : k + 50_000]
+        m, n = x.sum(axis=1, dtype=np.int64), y.sum(axis=1, dtype=np.int64)
+        least = np.minimum(x, y).sum(axis=1, dtype=np.int64)
+        ok[k : k + 50_000] = ((100 + per_cent) * least >= per_cent * (m + n)) & (100 * np.minimum(m, n) >= per_cent * np.maximum(m, n))
+    return ok
 
 
-def _pairs_left(dealt: DataFrame, per_cent: int) -> DataFrame:
-    """(a, b): pairs of different components within each key that pass the bound; dealt: sorted by key within partitions."""
+PAIRS = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())])
 
-    def bounded(points: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        sizes = points.sum(axis=1)
-        ok = np.zeros(len(i), bool)
-        for k in range(0, len(i), 100_000):
-            x, y = i[k : k + 100_000], j[k : k + 100_000]
-            least = np.minimum(points[x], points[y]).sum(axis=1)
-            ok[k : k + 100_000] = ((100 + per_cent) * least >= per_cent * (sizes[x] + sizes[y])) & (100 * np.minimum(sizes[x], sizes[y]) >= per_cent * np.maximum(sizes[x], sizes[y]))
-        return ok
 
-    def pairs(key: np.ndarray, sid: np.ndarray, comp: np.ndarray, points: np.ndarray) -> dict:
-        """Groups of one leaf are compared side by side, larger ones through a tree each."""
+def _tree_pairs(dealt: DataFrame, per_cent: int) -> DataFrame:
+    """(a, b): pairs of different components and sides within each key that pass the bounds; dealt: sorted by key within partitions."""
+
+    def room(n: np.ndarray, at: np.ndarray, i, j) -> np.ndarray:
+        """Whether an overlap that begins with this shingle can be large enough."""
+        return (100 + per_cent) * np.minimum(n[i] - at[i], n[j] - at[j]) >= per_cent * (n[i] + n[j])
+
+    def pairs(key: np.ndarray, sid: np.ndarray, comp: np.ndarray, side: np.ndarray, n: np.ndarray, at: np.ndarray, points: np.ndarray) -> dict:
+        """Trees of one leaf are read side by side, as many as there are."""
+        n, at = n.astype(np.int64), at.astype(np.int64)
         first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
         sizes = np.diff(np.append(first, len(key)))
-        small = np.repeat(sizes <= LEAF, sizes)
+        leaf = np.repeat(sizes <= LEAF, sizes)
         a, b = [], []
         for d in range(1, min(LEAF, len(key))):
-            i = np.flatnonzero(small[:-d] & (key[:-d] == key[d:]) & (comp[:-d] != comp[d:]))
+            i = np.flatnonzero(leaf[:-d] & (key[:-d] == key[d:]) & (comp[:-d] != comp[d:]) & (side[:-d] != side[d:]))
             if not len(i) and d >= sizes.max():
                 break
-            i = i[bounded(points, i, i + d)]
+            i = i[room(n, at, i, i + d)]
+            i = i[_close(points[i], points[i + d], per_cent)]
             a.append(sid[i])
             b.append(sid[i + d])
-        for at, n in zip(first[sizes > LEAF], sizes[sizes > LEAF]):
-            tree = CountTree(points[at : at + n])
-            for k in range(n):
-                near = tree.near(points[at + k], per_cent)
-                near = at + near[(near > k) & (comp[at + near] != comp[at + k])]
-                a.append(np.repeat(sid[at + k], len(near)))
+        for start, m in zip(first[sizes > LEAF], sizes[sizes > LEAF]):
+            tree = CountTree(points[start : start + m])
+            for k in range(start, start + m):
+                near = start + tree.near(points[k], per_cent)
+                near = near[(near > k) & (comp[near] != comp[k]) & (side[near] != side[k])]
+                near = near[room(n, at, k, near)]
+                a.append(np.repeat(sid[k], len(near)))
                 b.append(sid[near])
-        return {"a": np.concatenate(a) if a else sid[:0], "b": np.concatenate(b) if b else sid[:0]}
+        x, y = (np.concatenate(z) if z else sid[:0] for z in (a, b))
+        both = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1), axis=0)
+        return {"a": both[:, 0], "b": both[:, 1]}
 
     def work(batches):
         held: list[tuple] = []
         for batch in batches:
-            vec = batch.column("vec")
-            now = (*(batch.column(c).to_numpy() for c in ("key", "sid", "component")), vec.flatten().to_numpy().reshape(-1, GROUPS).astype(np.int32))
-            held.append(now)
-            if sum(len(x[0]) for x in held) < 50_000 or held[0][0][0] == now[0][-1]:
+            held.append((*(batch.column(c).to_numpy() for c in ("key", "sid", "component", "side", "n", "at")), _points(batch.column("vec"))))
+            if sum(len(x[0]) for x in held) < 50_000 or held[0][0][0] == held[-1][0][-1]:
                 continue
             rows = [np.concatenate(x) for x in zip(*held)]
-            cut = int(np.searchsorted(rows[0], rows[0][-1]))  # the last key may go on in the next batch
+            cut = int(np.flatnonzero(rows[0] != rows[0][-1])[-1]) + 1  # the last key may go on in the next batch
             yield pairs(*(x[:cut] for x in rows))
             held = [tuple(x[cut:] for x in rows)]
         rows = [np.concatenate(x) for x in zip(*held)] if held else []
         if rows and len(rows[0]):
             yield pairs(*rows)
 
-    found = arrow_map(dealt, work, T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())]))
-    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return arrow_map(dealt, work, PAIRS).distinct()
 
 
 def _verify(pairs: DataFrame, sets: DataFrame, per_cent: int) -> DataFrame:
@@ -314,22 +366,40 @@ def _sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     return arrow_map(joined, work, T.StructType([T.StructField("sid", T.LongType()), T.StructField("set", T.BinaryType())]))
 
 
-def _dealt(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(doc_id, rid, n, sid, vec) of all documents; (key, sid) of keys with several classes; (sid, doc_id, rid, n, vec) of these."""
+def _profiled(rows: DataFrame, size: int) -> tuple[DataFrame, DataFrame, np.ndarray]:
+    """(doc_id, rid, n, sid, vec, marks) of all documents; of one document for each class; levels of the shingles' counters."""
     both = written(profile(rows, size), "profiles")
     docs = both.where("block IS NULL").drop("block", "counts")
     levels = _levels(both.where("block IS NOT NULL").select("block", "counts"))
+    classes = docs.where("sid IS NOT NULL").groupBy("sid").agg(F.min_by(F.struct("doc_id", "rid", "vec"), "rid").alias("r")).select("sid", "r.*")
+    return docs, written(classes, "classes"), levels
+
+
+def _dealt(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> DataFrame:
+    """(key, sid, n, at) of the keys that several classes have."""
     routed = written(route(rows, levels, size, per_cent), "routes")
     shared = routed.groupBy("key").agg(F.min("sid").alias("lo"), F.max("sid").alias("hi")).where("lo <> hi").select("key")
-    dealt = written(routed.join(shared, "key").select("key", "sid").distinct(), "dealt")
+    out = written(routed.join(shared, "key").groupBy("key", "sid").agg(F.min("n").alias("n"), F.min("at").alias("at")), "dealt")
     drop(routed)
-    classes = docs.where("sid IS NOT NULL").groupBy("sid").agg(F.min_by(F.struct("doc_id", "rid", "n", "vec"), "rid").alias("r")).select("sid", "r.*")
-    return docs, dealt, written(classes.join(dealt.select("sid").distinct(), "sid"), "classes")
+    return out
+
+
+def _bounded(pairs: DataFrame, classes: DataFrame, per_cent: int) -> DataFrame:
+    """The pairs (a, b) whose count vectors allow for the similarity."""
+    a, b = (classes.select(F.col("sid").alias(c), F.col("vec").alias(f"v{c}")) for c in ("a", "b"))
+
+    def work(batches):
+        for batch in batches:
+            ok = _mask(_close(_points(batch.column("va")), _points(batch.column("vb")), per_cent))
+            yield {"a": batch.column("a").filter(ok), "b": batch.column("b").filter(ok)}
+
+    return arrow_map(pairs.join(a, "a").join(b, "b").select("a", "b", "va", "vb"), work, PAIRS)
 
 
 def _verified(rows: DataFrame, classes: DataFrame, pairs: DataFrame, size: int, per_cent: int) -> DataFrame:
     """Links among the pairs, whose classes' sets are made for this and dropped."""
-    sids = pairs.select(F.explode(F.array("a", "b")).alias("sid")).distinct()
+    pairs = written(pairs, "pairs")
+    sids = pairs.select(F.col("a").alias("sid")).union(pairs.select("b")).distinct()
     wanted = written(classes.join(sids, "sid", "left_semi").select("doc_id", "rid", "sid"), "wanted")
     sets = written(_sets(rows, wanted, size), "sets")
     out = written(_verify(pairs, sets, per_cent), "links")
@@ -337,23 +407,44 @@ def _verified(rows: DataFrame, classes: DataFrame, pairs: DataFrame, size: int,
     return out
 
 
-def _all_links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
-    """_dealt()'s documents, and (src, dst) of every link between classes.
+def _first_links(rows: DataFrame, docs: DataFrame, classes: DataFrame, size: int, per_cent: int) -> DataFrame:
+    """Links of classes with the first or last class that has a signature of theirs."""
+    marked = docs.where("sid IS NOT NULL").select("sid", F.explode("marks").alias("mark"))
+    ends = marked.groupBy("mark").agg(F.min("sid").alias("lo"), F.max("sid").alias("hi")).where("lo <> hi")
+    met = marked.join(ends, "mark")
+    pairs = met.select("sid", F.col("lo").alias("other")).union(met.select("sid", "hi")).where("sid <> other")
+    pairs = pairs.select(F.least("sid", "other").alias("a"), F.greatest("sid", "other").alias("b")).distinct()
+    return _verified(rows, classes, _bounded(pairs, classes, per_cent), size, per_cent)
+
 
-    A key's classes are dealt over blocks of about BLOCK by hash, and each pair of blocks is a task's group of its own: within
-    one block all pairs are looked at, between two only those across.
+def _in_groups(labelled: DataFrame, classes: DataFrame) -> DataFrame:
+    """(key, sid, component, side, n, at, vec) of keys with several components, each group of a key under a key of its own.
+
+    labelled: (key, sid, n, at, component). A key of up to BLOCK classes is one group. In larger ones, the classes of the largest
+    component are cut in blocks, those of all others too; groups are one block of the others with each block of either
+    kind. Only classes of different sides are to be compared; within one block every class is a side of its own.
     """
-    docs, dealt, classes = _dealt(rows, size, per_cent)
-    sizes = dealt.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
-    mine = dealt.join(sizes, "key").withColumn("mine", F.pmod(F.xxhash64("sid", "key"), "blocks"))
-    mine = mine.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    part = F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other"))
-    component = F.when(F.col("mine") == F.col("other"), F.col("sid")).otherwise(F.col("mine"))
-    split = mine.select(part.alias("key"), "sid", component.alias("component")).join(classes.select("sid", "vec"), "sid")
-    split = split.select("key", "sid", "component", "vec").repartition("key").sortWithinPartitions("key", "sid")
-    found = _verified(rows, classes, written(_pairs_left(split, per_cent), "all-pairs"), size, per_cent)
-    drop(dealt)
-    return docs, found
+    each = labelled.groupBy("key", "component").agg(F.count("*").alias("c"))
+    keys = each.groupBy("key").agg(F.sum("c").alias("all"), F.max(F.struct("c", "component")).alias("top"), F.count("*").alias("kinds")).where("kinds > 1")
+    keys = keys.select("key", F.col("top.component").alias("top"), F.col("top.c").alias("most"), F.col("all").alias("all_"))
+    blocks = lambda n: F.ceil(F.col(n) / BLOCK)
+    keys = keys.withColumn("rest", F.col("all_") - F.col("most")).withColumn("large", F.col("all_") > BLOCK)
+    mine = labelled.join(keys, "key").withColumn("others", F.col("component") != F.col("top"))
+    mine = mine.withColumn("own", F.pmod(F.xxhash64("sid", "key"), F.when(F.col("others"), blocks("rest")).otherwise(blocks("most"))))
+    among_rest = F.sequence(F.lit(0).cast("long"), blocks("rest") - 1)
+    among_top = F.sequence(F.lit(0).cast("long"), blocks("most") - 1)
+    # a group: (block of the others, kind of the second block, its number)
+    with_rest = F.transform(among_rest, lambda k: F.struct(F.least(k, "own").alias("x"), F.lit(True).alias("rest"), F.greatest(k, "own").alias("y")))
+    with_top = F.transform(among_top, lambda k: F.struct(F.col("own").alias("x"), F.lit(False).alias("rest"), k.alias("y")))
+    top_with = F.transform(among_rest, lambda k: F.struct(k.alias("x"), F.lit(False).alias("rest"), F.col("own").alias("y")))
+    one = F.array(F.struct(F.lit(0).cast("long").alias("x"), F.lit(True).alias("rest"), F.lit(0).cast("long").alias("y")))
+    groups = F.when(~F.col("large"), one).when(F.col("others"), F.concat(with_rest, with_top)).otherwise(top_with)
+    mine = mine.withColumn("g", F.explode(groups))
+    alone = ~F.col("large") | (F.col("g.rest") & (F.col("g.x") == F.col("g.y")))
+    side = F.when(alone, F.col("sid")).when(F.col("g.rest"), F.col("own")).otherwise(F.col("others").cast("long"))
+    key = F.when(F.col("large"), F.xxhash64("key", "g.x", "g.rest", "g.y")).otherwise(F.col("key"))
+    out = mine.select(key.alias("key"), "sid", "component", side.alias("side"), "n", "at")
+    return out.join(classes.select("sid", "vec"), "sid").repartition("key").sortWithinPartitions("key", "sid")
 
 
 def every_link(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -361,60 +452,44 @@ def every_link(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str =
     return _all_links(row_key(keyed(docs, id_col, text_col)), size, per_cent)[1]
 
 
+def _all_links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
+    """Profiles of all documents, and (src, dst) of every link between classes: each is a component of its own here."""
+    docs, classes, levels = _profiled(rows, size)
+    dealt = _dealt(rows, levels, size, per_cent)
+    found = _verified(rows, classes, _tree_pairs(_in_groups(dealt.withColumn("component", F.col("sid")), classes), per_cent), size, per_cent)
+    drop(dealt, classes)
+    return docs, found
+
+
 def link_counts(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, rid, n_shingles, sid, n_links) of each row: its class, and how many other classes that links with."""
     docs, found = _all_links(row_key(keyed(docs, id_col, text_col)), size, per_cent)
-    n = found.select(F.explode(F.array("src", "dst")).alias("sid")).groupBy("sid").agg(F.count("*").alias("n_links"))
+    n = found.select(F.col("src").alias("sid")).union(found.select("dst")).groupBy("sid").agg(F.count("*").alias("n_links"))
     out = docs.select("doc_id", "rid", F.col("n").alias("n_shingles"), "sid").join(n, "sid", "left")
     return out.select("doc_id", "rid", "n_shingles", "sid", F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
 def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, rid, n, sid, vec) of all documents, and (src, dst) links that join all classes of a component, not every link."""
-    docs, dealt, classes = _dealt(rows, size, per_cent)
-
-    def bounded(pairs: DataFrame) -> DataFrame:
-        a = classes.select(F.col("sid").alias("a"), F.col("n").alias("na"), F.col("vec").alias("va"))
-        b = classes.select(F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("vec").alias("vb"))
-        pairs = pairs.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        return pairs.join(a, "a").join(b, "b").where(_bound_holds(per_cent)).select("a", "b")
-
-    def with_first(members: DataFrame, by: Column) -> DataFrame:
-        first = members.groupBy("key").agg(F.min_by("sid", F.struct(by, "sid")).alias("b"))
-        return bounded(members.join(first, "key").select(F.col("sid").alias("a"), "b"))
-
-    first = written(with_first(dealt, F.lit(0)), "first-pairs")
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        return _verified(rows, classes, pairs, size, per_cent)
-
-    known = verified(first)
-
-    def labelled(known: DataFrame) -> DataFrame:
-        """dealt rows of keys that still hold several components, with these."""
-        comp = contract(known).withColumnsRenamed({"id": "sid"})
-        all_ = dealt.join(comp, "sid", "left").withColumn("component", F.coalesce("component", "sid"))
-        all_ = written(all_, "labelled")
-        several = all_.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key")
-        return all_.join(several, "key")
-
-    left = labelled(known)
-    other = left.groupBy("key").agg(F.min_by(F.struct("sid", "component"), F.xxhash64("key", "sid")).alias("o"))
-    again = left.join(other, "key").where("component <> o.component").select(F.col("sid").alias("a"), F.col("o.sid").alias("b"))
-    known = known.union(verified(written(bounded(again), "second-pairs")))
-    left = labelled(known).join(classes.select("sid", "vec"), "sid").select("key", "sid", "component", "vec")
-    last = _pairs_left(left.repartition("key").sortWithinPartitions("key", "sid"), per_cent)
-    known = known.union(verified(written(last, "last-pairs")))
+    """Profiles of all documents, and (src, dst) links that join all classes of a component, not every link."""
+    docs, classes, levels = _profiled(rows, size)
+    known = _first_links(rows, docs, classes, size, per_cent)
+    comp = contract(known).withColumnsRenamed({"id": "sid"})
+    dealt = _dealt(rows, levels, size, per_cent)
+    labelled = dealt.join(comp, "sid", "left").withColumn("component", F.coalesce("component", "sid"))
+    labelled = written(labelled, "labelled")
     drop(dealt)
-    return docs, known
+    more = _verified(rows, classes, _tree_pairs(_in_groups(labelled, classes), per_cent), size, per_cent)
+    drop(labelled, classes)
+    return docs, known.union(more)
 
 
 def similar(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, rid, n_shingles, component_id, component) of each row; component is null for rows without shingles."""
     rows = row_key(keyed(docs, id_col, text_col))
-    docs, known = links(rows, size, per_cent)
-    comp = contract(known).withColumnsRenamed({"id": "sid"})
-    out = docs.select("doc_id", "rid", F.col("n").alias("n_shingles"), "sid").join(comp, "sid", "left")
-    out = written(out.select("doc_id", "rid", "n_shingles", F.coalesce("component", "sid").alias("component")), "members")
+    with scratch():
+        docs, known = links(rows, size, per_cent)
+        comp = contract(known).withColumnsRenamed({"id": "sid"})
+        out = docs.select("doc_id", "rid", F.col("n").alias("n_shingles"), "sid").join(comp, "sid", "left")
+        out = lasting(out.select("doc_id", "rid", "n_shingles", F.coalesce("component", "sid").alias("component")), "members")
     least = out.where("component IS NOT NULL").groupBy("component").agg(F.min("doc_id").alias("least"))
     return out.join(least, "component", "left").select("doc_id", "rid", "n_shingles", F.when(F.col("component").isNull(), F.col("doc_id")).otherwise(F.col("least")).alias("component_id"), "component")

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.llm.common import arrow_map, by_bytes
-from netan.storage import written
+from netan.storage import lasting, scratch, written
 
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
@@ -342,9 +342,10 @@ def assess(docs: DataFrame, above: float = ABOVE, below: float = BELOW, least: i
     """measure()'s columns with low, high and kept for each row: kept if the base rule holds and the score is in its band."""
     text = docs[text_col].cast("string")
     lang = F.coalesce(docs[lang_col].cast("string"), F.lit("null")).alias("lang")
-    model = written(train(docs.select(text.alias("text"), lang)), "kneser-ney")
-    rows = docs.select(docs[id_col].alias("doc_id"), text.alias("text"), lang, F.xxhash64(docs[id_col], text).alias("rid"))
-    measured = measured_in_lots(rows, model, least)
-    out = measured.join(bands(measured, above, below), "lang", "left")
-    inside = F.col("score").isNull() | F.col("low").isNull() | F.col("score").between(F.col("low"), F.col("high"))
-    return out.withColumn("kept", ~F.col("base_failed") & inside)
+    with scratch():
+        model = written(train(docs.select(text.alias("text"), lang)), "kneser-ney")
+        rows = docs.select(docs[id_col].alias("doc_id"), text.alias("text"), lang, F.xxhash64(docs[id_col], text).alias("rid"))
+        measured = measured_in_lots(rows, model, least)
+        out = measured.join(bands(measured, above, below), "lang", "left")
+        inside = F.col("score").isNull() | F.col("low").isNull() | F.col("score").between(F.col("low"), F.col("high"))
+        return lasting(out.withColumn("kept", ~F.col("base_failed") & inside), "assessed")

@@ -45,8 +45,7 @@ def op4_language_id(spark, sf_dir):
 
 
 def op5_decontamination(spark, sf_dir):
-    index = decontamination.build_index(table(spark, sf_dir, "documents"))
-    judged = decontamination.judge(index, table(spark, sf_dir, "benchmark"))
+    judged = decontamination.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return judged.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 

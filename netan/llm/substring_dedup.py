@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.llm.common import arrow_map, by_bytes, fields, keyed, row_key, same_row
-from netan.storage import drop, written
+from netan.storage import drop, lasting, scratch, written
 
 GRAM = 8
 BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -265,7 +265,11 @@ def repeats(docs: DataFrame, length: int = 35, id_col: str = "doc_id", text_col:
     """(doc_id, rid, start, bits): bit j says that the window at word start + j is a repeat. length: 8 to 70 words."""
     if not GRAM <= length <= 62 + GRAM:
         raise ValueError("a window has 8 to 70 words")
-    rows = row_key(keyed(docs, id_col, text_col))
+    with scratch():
+        return lasting(_repeats(row_key(keyed(docs, id_col, text_col)), length), "repeats")
+
+
+def _repeats(rows: DataFrame, length: int) -> DataFrame:
     found = written(find_segments(rows, length), "segments")
     anchors = found.groupBy("anchor").agg(F.count("*").alias("c"), (F.min("seg") != F.max("seg")).alias("several")).where("c > 1").drop("c")
     again = written(found.join(anchors, "anchor"), "repeated-anchors")
