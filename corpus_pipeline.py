@@ -41,8 +41,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no more than the allowed share of benchmark windows."""
-    index = decontamination.build_index(docs)
-    return _without(docs, decontamination.judge(index, table(spark, sf_dir, "benchmark")).where("contaminated"))
+    return _without(docs, decontamination.decontaminate(docs, table(spark, sf_dir, "benchmark")).where("contaminated"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
