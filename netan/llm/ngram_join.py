@@ -45,6 +45,8 @@ from netan.storage import drop, lasting, scratch, written
 GROUPS = 64
 #: Signatures of a class, and least shingles in each.
 SIGNATURES, MINIMA = 8, 3
+#: Characters of texts that are cut in shingles at once.
+TEXT_CHARS = 1 << 20
 SKETCH_BITS = 22
 SKETCH_BLOCK = 1 << 14
 LEAF = 32
@@ -129,7 +131,7 @@ def profile(rows: DataFrame, size: int) -> DataFrame:
         mask = np.uint64((1 << SKETCH_BITS) - 1)
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for a, b in by_bytes(texts):
+            for a, b in by_bytes(texts, TEXT_CHARS):
                 ns, sids, vecs, marks = [], [], [], []
                 for u, _ in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size):
                     ns.append(len(u))
@@ -186,7 +188,7 @@ def route(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> Data
         mask, low = np.uint64((1 << SKETCH_BITS) - 1), np.uint64((1 << 50) - 1)
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for a, b in by_bytes(texts):
+            for a, b in by_bytes(texts, TEXT_CHARS):
                 keys, sids, ns, each = [], [], [], []
                 for u, length in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size, True):
                     n = len(u)
@@ -360,7 +362,7 @@ def _sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
         hashes = WordHashes()
         for batch in batches:
             texts = batch.column(0).to_pylist()
-            for a, b in by_bytes(texts):
+            for a, b in by_bytes(texts, TEXT_CHARS):
                 yield {"sid": batch.column(1).slice(a, b - a), "set": [u.astype("<u8").tobytes() for u, _ in shingle_sets(hashes, [_lowered(t) for t in texts[a:b]], size)]}
 
     return arrow_map(joined, work, T.StructType([T.StructField("sid", T.LongType()), T.StructField("set", T.BinaryType())]))

@@ -15,7 +15,8 @@ windows of segments with the same anchor.
    automaton is a single path: the windows are counted.
 
 Words are compared by 64-bit hashes. Nulls and texts shorter than a window lose nothing. Rows that repeat are copies of each
-other and lose all their windows, whatever their ids. Empty tables give no rows.
+other and lose all their windows, whatever their ids. Columns beside id and text, those with names used here included, are
+not read. Very long texts are treated whole, in overlapping pieces of windows. Empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -37,8 +38,10 @@ BASE = np.uint64(0x9E3779B97F4A7C15)
 INVERSE = np.uint64(pow(int(BASE), -1, 1 << 64))
 #: Bits that hold a place within a batch when smallest hashes are sought.
 PLACE_BITS = np.uint64(26)
+#: Windows of one text that are sought through at once.
+PIECE_WINDOWS = 1 << 24
 #: Different words that a worker keeps hashed.
-KEPT_WORDS = 2_000_000
+KEPT_WORDS = 400_000
 #: Words of segments in a reference shard, and different contents of one anchor that it may hold.
 SHARD_WORDS = 100_000
 SHARD_CONTENTS = 1_000
@@ -78,6 +81,11 @@ class Spans:
 def segments(words: np.ndarray, sizes: np.ndarray, length: int) -> dict[str, np.ndarray]:
     """Segments of texts that stand one after another in words: doc, start, count, off (place of the anchor), anchor, seg."""
     n, width = len(words), length - GRAM + 1
+    if len(sizes) == 1 and n - length >= PIECE_WINDOWS:  # windows in several pieces; a run that is cut is two segments
+        parts = [segments(words[a : a + PIECE_WINDOWS + length - 1], np.array([min(n - a, PIECE_WINDOWS + length - 1)]), length) for a in range(0, n - length + 1, PIECE_WINDOWS)]
+        for k, part in enumerate(parts):
+            part["start"] = part["start"] + k * PIECE_WINDOWS
+        return {c: np.concatenate([part[c] for part in parts]) for c in parts[0]}
     bases = np.cumsum(sizes) - sizes
     if n < length:
         return {k: np.zeros(0, np.int64) for k in ("doc", "start", "count", "off", "anchor", "seg")}
