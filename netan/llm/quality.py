@@ -1,17 +1,19 @@
 """Quality rules: base counts of each text, and the perplexity of its words under a modified Kneser-Ney model of its language.
 
 The model is one of characters within words, an n-gram model of order 4 per language, counted by Spark over the words of all
-documents. Characters are folded to 64 symbols (lower-cased Latin letters, marks, a digit class, hashes of the rest), so a
-language has at most 64^4 n-grams; the model is sorted arrays of n-gram codes with their probabilities, sent to the executors.
-If the languages' tables pass a fixed size together, languages are scored in lots, one after the other, each with the whole
-tables of its languages: the order is the same at every size. A language that is larger alone is a lot of its own.
+documents. A symbol has 16 bits: lower-cased code points as they are, of any script, all digits as one, those beyond the
+basic plane by a hash. Four symbols are one 64-bit code; the model is sorted arrays of codes with their probabilities, sent to
+the executors. If the languages' tables pass a fixed size together, languages are scored in lots, one after the other, each
+with the whole tables of its languages: the model is the same at every size. A language that is larger alone is a lot of its
+own.
 
 Each language gets a band from its own documents: the median of their log-perplexities per letter, less a number of median
 deviations of the scores below it, plus another number of those of the scores above it (from counts of binned scores, over all
 documents). Documents beyond the band are rejected. The numbers were chosen on labelled rows: see ABOVE and BELOW.
 
 Nulls and texts without words have no score and fail the base rule of 50 words. A null language is a language named "null".
-Rows that repeat are scored alike. A document with fewer than `least` words is not scored. Empty tables give no rows.
+Rows that repeat are scored alike. A document with fewer than `least` words is not scored. Very long texts are scored whole,
+some at a time. Columns beside id, text and lang, those with names used here included, are not read. Empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -21,17 +23,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import arrow_map, by_bytes
+from netan.llm.common import arrow_map, by_bytes, give_back
 from netan.storage import lasting, scratch, written
 
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
-START, END, ORDER, BITS = 0, 1, 4, 6
-#: Rows of the model that are sent to the executors at once, if more than one language's: 8 bytes each of order 4, else 12.
+START, END, ORDER, BITS = 0, 1, 4, 16
+#: Rows of the model that are sent to the executors at once, if more than one language's: 12 bytes each of order 4, else 16.
 MOST_ROWS = 8_000_000
 #: Rows of the model that are fetched at once.
 FETCHED_ROWS = 4_000_000
-#: Different words that a task holds at most before it hands on its n-gram counts, or a scorer before it starts anew.
+#: Different words of all languages that a task holds at most before it hands on its n-gram counts, or forgets their scores.
 KEPT_WORDS = 200_000
 #: Deviations of the band. On sf0.1's labels, 5 above rejects all 291 rows of quality 0 in the four languages; 6 lets 2 of them
 #: pass and 4 rejects more rows of quality 1. No row of quality 0 lies below, so that limit only stands clear of quality 1.
@@ -41,19 +43,15 @@ BIN = 0.001
 
 
 def fold_table() -> np.ndarray:
-    """Symbol (2 to 63) of each code unit below 0x250, by rule; other characters are hashed by `folded`."""
-    table = np.zeros(0x250, np.uint8)
-    for c in range(0x250):
-        low = chr(c).lower()[0]
-        if "a" <= low <= "z":
-            table[c] = 2 + ord(low) - ord("a")
-        elif chr(c).isdigit():
-            table[c] = 28
-        elif c < 128:
-            table[c] = 29 + c % 11
-        else:
-            table[c] = 40 + ord(low) % 24
-    return table
+    """Symbol (2 and up) of each code point of the basic plane; surrogates, which are no characters, stand for all beyond it."""
+    table = np.arange(1 << BITS, dtype=np.uint16)
+    for c in range(1 << BITS):
+        low = chr(c).lower()
+        if len(low) == 1 and ord(low) < 1 << BITS:
+            table[c] = ord(low)
+        if chr(c).isdigit():
+            table[c] = ord("0")
+    return np.maximum(table, 2)
 
 
 FOLD = fold_table()
@@ -63,7 +61,7 @@ def folded(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Symbols of all words, three START before each and END behind it, and the place where each begins."""
     sizes = np.fromiter(map(len, words), np.int64, len(words)) + 4
     points = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), "<u4")
-    codes = np.where(points < len(FOLD), FOLD[np.minimum(points, len(FOLD) - 1)], 40 + points % 24).astype(np.int64)
+    codes = np.where(points < len(FOLD), FOLD[np.minimum(points, len(FOLD) - 1)], 0xD800 + points % 2048).astype(np.int64)
     first = np.cumsum(sizes) - sizes
     out = np.zeros(int(sizes.sum()), np.int64)
     kept = np.ones(len(out), bool)
@@ -137,16 +135,17 @@ def train(docs: DataFrame) -> DataFrame:
     for size in range(1, ORDER + 1):
         c = counts[size]
         ones = c.groupBy("lang").agg(*(F.count_if(F.col("n") == k).cast("double").alias(f"n{k}") for k in (1, 2, 3, 4)))
-        y = F.col("n1") / (F.col("n1") + 2 * F.col("n2"))
-        cut = [F.coalesce(F.least(F.lit(float(k)), F.greatest(F.lit(0.05 * k), k - (k + 1) * y * F.col(f"n{k + 1}") / F.nullif(F.col(f"n{k}"), F.lit(0.0)))), F.lit(0.5 * k)) for k in (1, 2, 3)]
+        y = F.nullif(F.col("n1"), F.lit(0.0)) / (F.col("n1") + 2 * F.col("n2"))  # null: no discount can be told, half is taken
+        found = [k - (k + 1) * y * F.col(f"n{k + 1}") / F.nullif(F.col(f"n{k}"), F.lit(0.0)) for k in (1, 2, 3)]
+        cut = [F.when(d.isNull(), 0.5 * k).otherwise(F.least(F.lit(float(k)), F.greatest(F.lit(0.05 * k), d))) for k, d in enumerate(found, 1)]
         ones = ones.select("lang", *(d.alias(f"d{k}") for k, d in enumerate(cut, 1)))
         c = c.join(ones, "lang")
         off = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-        c = c.select("lang", "gram", "n", F.least(off, F.col("n").cast("double")).alias("off"), F.shiftright("gram", BITS).alias("context"))
+        c = c.select("lang", "gram", "n", F.least(off, F.col("n").cast("double")).alias("off"), F.shiftrightunsigned("gram", BITS).alias("context"))
         contexts = c.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("off").alias("spare"))
         c = c.join(contexts, ["lang", "context"])
         if size == 1:
-            low = F.lit(1 / 64)
+            low = F.lit(1 / (1 << BITS))
         else:
             c = c.withColumn("shorter", F.col("gram").bitwiseAND((1 << BITS * (size - 1)) - 1))
             c = c.join(lower, ["lang", "shorter"])
@@ -178,16 +177,15 @@ def lots(model: DataFrame) -> list[list[str]]:
 def load(model: DataFrame, langs: list[str] | None = None) -> tuple[int, dict]:
     """Order, and sorted arrays (codes, log_p, log_back) by language and size, of all languages or some.
 
-    N-grams of the highest size are no contexts, so they have no log_back. Ranges of codes are fetched one after the other.
+    N-grams of the highest size are no contexts, so they have no log_back. Parts of the codes are fetched one after the other.
     """
     if langs is not None:
         model = model.where(F.col("lang").isin(langs))
-    fetched = model.select("lang", F.col("size").cast("int"), F.col("gram").cast("int"), F.col("log_p").cast("float"), F.col("log_back").cast("float"))
+    fetched = model.select("lang", F.col("size").cast("int"), "gram", F.col("log_p").cast("float"), F.col("log_back").cast("float"))
     ranges = -(-model.count() // FETCHED_ROWS)
-    step = -(-(1 << BITS * ORDER) // max(1, ranges))
     parts: dict = {}
     for k in range(ranges):
-        rows = fetched.where(F.col("gram").between(k * step, (k + 1) * step - 1)).toArrow()
+        rows = fetched.where(F.pmod(F.xxhash64("gram"), F.lit(ranges)) == k).toArrow()
         if not len(rows):
             continue
         named = rows.column("lang").combine_chunks().dictionary_encode()
@@ -199,7 +197,19 @@ def load(model: DataFrame, langs: list[str] | None = None) -> tuple[int, dict]:
             top = int(size[part[0]])
             found = (gram[part], p[part], back[part] if top < ORDER else back[:0])
             parts.setdefault(names[which[part[0]]], {}).setdefault(top, []).append(found)
-    return ORDER, {lang: {size: tuple(map(np.concatenate, zip(*found))) for size, found in t.items()} for lang, t in parts.items()}
+    rows = named = which = size = gram = p = back = None
+    for t in parts.values():
+        for top, found in t.items():
+            gram, p, back = map(np.concatenate, zip(*found))
+            order_by = np.argsort(gram) if len(found) > 1 else slice(None)
+            t[top] = gram[order_by], p[order_by], back[order_by] if len(back) else back
+    give_back()
+    return ORDER, parts
+
+
+def _mask(size: int) -> int:
+    """The last so many symbols of a code."""
+    return (1 << BITS * size) - 1 if size < ORDER else -1
 
 
 def _find(table, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -221,19 +231,18 @@ class Scorer:
 
     def log_probabilities(self, u: np.ndarray) -> np.ndarray:
         """Of each 4-gram's last symbol, given those before it."""
-        u = u.astype(np.int32)  # as the tables: no copies of these
         log_p = np.zeros(len(u))
         open_, back = np.ones(len(u), bool), np.zeros(len(u))
         for size in range(self.order, 0, -1):
             if size not in self.tables:
                 continue
-            at, hit = _find(self.tables[size], u & (1 << BITS * size) - 1)
+            at, hit = _find(self.tables[size], u & _mask(size))
             hit &= ~np.isnan(self.tables[size][1][at])
             take = open_ & hit
             log_p[take] = back[take] + self.tables[size][1][at[take]]
             open_ &= ~hit
             if size - 1 in self.tables:
-                at, hit = _find(self.tables[size - 1], u >> BITS & (1 << BITS * (size - 1)) - 1)
+                at, hit = _find(self.tables[size - 1], u >> BITS & _mask(size - 1))
                 back += np.where(hit, self.tables[size - 1][2][at], 0)
         log_p[open_] = back[open_] - BITS * np.log(2)
         return log_p
@@ -242,9 +251,6 @@ class Scorer:
         """Minus the words' log-probability for each of their letters and digits."""
         new = list(set(words).difference(self.known))
         if new:
-            if len(self.known) + len(new) > KEPT_WORDS:
-                self.known.clear()
-                new = list(set(words))
             letters = [sum(map(str.isalnum, w)) for w in new]
             self.known.update(zip(new, map(complex, self._score(new).tolist(), letters)))
         total = sum(map(self.known.__getitem__, words), 0j)
@@ -293,6 +299,9 @@ def measure(docs: DataFrame, model: tuple[int, dict], least: int = 50) -> DataFr
                     counts = base_counts(text, words)
                     failed = n < 50 or 2 * counts[3] > n
                     score = scorers[lang].score(words) if n >= least and lang in scorers else None
+                    if sum(len(x.known) for x in scorers.values()) > KEPT_WORDS:
+                        for x in scorers.values():
+                            x.known.clear()
                     rows.append((n, *counts, failed, score))
                 columns = dict(zip(("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "score"), zip(*rows)))
                 yield {"doc_id": batch.column("doc_id").slice(a, b - a), "rid": batch.column("rid").slice(a, b - a), "lang": langs[a:b]} | columns
@@ -314,6 +323,7 @@ def measured_in_lots(rows: DataFrame, model: DataFrame, least: int) -> DataFrame
         else:
             mine, some = rows.where(F.col("lang").isin(langs)), langs
         measured = written(measure(mine, load(model, some), least), f"quality-measures-{k}")
+        give_back()
         out = measured if out is None else out.unionByName(measured)
     return out
 
