@@ -6,14 +6,17 @@ looked up in every row: the positions of a phrase's terms, each less its offset
 rarest term on. A phrase with a term that the row lacks ends there. Exact phrases and proximity matches (all terms within a
 given number of words, in any order) are found.
 
-Items are the queries; they are sent to the executors in blocks of bounded size, and a document's hits of all blocks are
-put together. Nulls and texts without words have no terms and match nothing. Repeated rows are judged alike; an item id that
-occurs twice counts once, with the windows of both texts. Empty tables give no rows, or no hits.
+Items are the queries; they come to the driver and go to the executors in blocks of bounded size, one after the other, and a
+document's hits of all blocks are put together. Nulls and texts without words have no terms and match nothing. Repeated rows
+are judged alike; an item id that occurs twice counts once, with the windows of both texts. A very long text is a row of the
+index of its own. Columns beside id and text, those with names used here included, are not read. Empty tables give no
+rows, or no hits.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -28,7 +31,7 @@ TERM_BYTES = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <=
 
 #: Characters of documents in a row of the index, and of items in a block.
 ROW_CHARS = 1 << 22
-BLOCK_CHARS = 1 << 24
+BLOCK_CHARS = 1 << 21
 
 
 def terms(text: str | None) -> list[bytes]:
@@ -141,13 +144,13 @@ class Queries:
                     yield int(k), at
 
 
-def _blocks(items: DataFrame, id_col: str, text_col: str) -> list[list[tuple[str, str]]]:
-    """Items in blocks of at most BLOCK_CHARS, or of one item."""
+def _blocks(items: DataFrame, id_col: str, text_col: str) -> tuple[int, Iterator[list[tuple[str, str]]]]:
+    """Number of blocks, and items in blocks of about BLOCK_CHARS by a hash of their ids, fetched as they are asked for."""
     rows = items.where(items[text_col].isNotNull()).select(F.coalesce(items[id_col].cast("string"), F.lit("null")).alias("i"), items[text_col].alias("t"))
     size = rows.agg(F.sum(F.length("t"))).first()[0] or 0
-    parts = -(-size // BLOCK_CHARS)
-    rows = rows.withColumn("b", F.pmod(F.xxhash64("i"), F.lit(max(1, parts))))
-    return [[(r.i, r.t) for r in rows.where(F.col("b") == k).collect()] for k in range(parts)]
+    parts = max(1, -(-size // BLOCK_CHARS))
+    rows = rows.withColumn("b", F.pmod(F.xxhash64("i"), F.lit(parts)))
+    return parts, ([(r.i, r.t) for r in rows.where(F.col("b") == k).collect()] for k in range(parts))
 
 
 def _spans(index: DataFrame, block: list[tuple[str, str]], window: int) -> DataFrame:
@@ -210,14 +213,18 @@ def judge(index: DataFrame, items: DataFrame, window: int = 13, per_cent: int =
     A word is hit if it stands in an occurrence of a window of an item (of the whole item, if that is shorter); a document is
     contaminated if hit words are per_cent of its words or more.
     """
-    blocks = _blocks(items, item_id, text_col) or [[]]
-    spans = [_spans(index, b, window) for b in blocks]
-    if len(spans) == 1:
-        return _verdict(spans[0], per_cent)
-    both = spans[0]
-    for s in spans[1:]:
-        both = both.unionByName(s)
-    both = both.groupBy("part", "row", "k").agg(*(F.first(c).alias(c) for c in ("doc_id", "rid", "n_words")), *(F.flatten(F.collect_list(c)).alias(c) for c in ("starts", "ends", "items")))
+    parts, blocks = _blocks(items, item_id, text_col)
+    if parts == 1:
+        return _verdict(_spans(index, next(blocks), window), per_cent)
+    hits = None
+    for b in blocks:  # each is done with before the next is fetched
+        found = written(_spans(index, b, window).where(F.size("starts") > 0).select("part", "row", "k", "starts", "ends", "items"), "hits")
+        hits = found if hits is None else hits.unionByName(found)
+    hits = hits.groupBy("part", "row", "k").agg(*(F.flatten(F.collect_list(c)).alias(c) for c in ("starts", "ends", "items")))
+    docs = index.select("part", "row", F.posexplode(F.arrays_zip("doc_ids", "rids", "sizes")).alias("k", "d"))
+    docs = docs.select("part", "row", "k", F.col("d.doc_ids").alias("doc_id"), F.col("d.rids").alias("rid"), F.col("d.sizes").alias("n_words"))
+    none = {"starts": "array<bigint>", "ends": "array<bigint>", "items": "array<string>"}
+    both = docs.join(hits, ["part", "row", "k"], "left").withColumns({c: F.coalesce(c, F.array().cast(kind)) for c, kind in none.items()})
     return _verdict(both, per_cent)
 
 
@@ -233,7 +240,7 @@ def search(index: DataFrame, items: DataFrame, slop: int | None = None, item_id:
     Without slop, as a phrase; with it, all the item's terms within its length and slop more words, in any order (length 0).
     """
     out = None
-    for block in _blocks(items, item_id, text_col) or [[]]:
+    for block in _blocks(items, item_id, text_col)[1]:
         sent = index.sparkSession.sparkContext.broadcast(block)
 
         def work(batches, sent=sent):
@@ -251,6 +258,6 @@ def search(index: DataFrame, items: DataFrame, slop: int | None = None, item_id:
 
         long = T.LongType()
         schema = T.StructType([T.StructField("item_id", T.StringType()), T.StructField("doc_id", index.schema["doc_ids"].dataType.elementType), T.StructField("rid", long), T.StructField("start", long), T.StructField("length", long)])
-        found = arrow_map(index, work, schema)
+        found = written(arrow_map(index, work, schema), "found")
         out = found if out is None else out.unionByName(found)
     return out

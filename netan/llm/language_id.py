@@ -6,7 +6,8 @@ maximisation over the counted words of all labelled texts: a forward-backward pa
 
 Words are runs of letters, lower-cased, in stretches of up to 31 letters. Text that is null or has no letter gets `und` with
 score 0, and so does all text when nothing was learned. Null ids count as the empty text where held-out rows are chosen. Rows
-that repeat are predicted alike; ties between languages go to the first by name. Empty tables give no rows.
+that repeat are predicted alike; ties between languages go to the first by name. Very long texts are scored whole. Columns
+beside id, text and lang, those with names used here included, are not read. Empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -126,8 +127,12 @@ def _by_length(words: list[str], most: int = 4096):
         a = b
 
 
+#: Factor for each character in the sums over cuts, which would fall below the least number otherwise.
+SCALE = 1e8
+
+
 def forward(lattice: np.ndarray, p: np.ndarray) -> np.ndarray:
-    """(end, word, ...): probability of all cuts of each word up to each end; p: probabilities by piece."""
+    """(end, word, ...): probability of all cuts of each word up to each end, times SCALE for each character; p: of pieces."""
     m, top, n = lattice.shape
     alpha = np.zeros((m + 1, n, *p.shape[1:]))
     alpha[0] = 1
@@ -136,12 +141,30 @@ def forward(lattice: np.ndarray, p: np.ndarray) -> np.ndarray:
             ids = lattice[j - 1, k]
             some = np.flatnonzero(ids >= 0)
             if len(some) == n:
-                alpha[j] += alpha[j - k - 1] * p[ids]
+                alpha[j] += alpha[j - k - 1] * SCALE ** (k + 1) * p[ids]
             elif len(some):
-                alpha[j, some] += alpha[j - k - 1, some] * p[ids[some]]
+                alpha[j, some] += alpha[j - k - 1, some] * SCALE ** (k + 1) * p[ids[some]]
     return alpha
 
 
+def log_probability(lattice: np.ndarray, p: np.ndarray) -> np.ndarray:
+    """(word, ...): logarithms of the sums over all cuts, at any size of p."""
+    m, top, n = lattice.shape
+    end = forward(lattice, p)[-1]
+    tiny = (end < 1e-250).reshape(n, -1).any(axis=1)
+    out = np.log(np.where(end > 0, end, 1)) - m * np.log(SCALE)
+    if tiny.any():  # once more, in logarithms
+        part, log_p = lattice[:, :, tiny], np.log(p.astype(float))
+        alpha = np.full((m + 1, part.shape[2], *p.shape[1:]), -np.inf)
+        alpha[0] = 0
+        for j in range(1, m + 1):
+            for k in range(min(j, top)):
+                some = np.flatnonzero(part[j - 1, k] >= 0)
+                alpha[j, some] = np.logaddexp(alpha[j, some], alpha[j - k - 1, some] + log_p[part[j - 1, k, some]])
+        out[tiny] = alpha[m]
+    return out
+
+
 def expected(lattice: np.ndarray, p: np.ndarray, weight: np.ndarray, out: np.ndarray) -> None:
     """Adds to out the expected count of each piece over words with these weights."""
     m, top, n = lattice.shape
@@ -153,7 +176,7 @@ def expected(lattice: np.ndarray, p: np.ndarray, weight: np.ndarray, out: np.nda
             some = np.flatnonzero(lattice[j - 1, k] >= 0)
             if len(some):
                 ids = lattice[j - 1, k, some]
-                flow = beta[j, some] * p[ids]
+                flow = beta[j, some] * SCALE ** (k + 1) * p[ids]
                 beta[j - k - 1, some] += flow
                 np.add.at(out, ids, alpha[j - k - 1, some] * flow)
 
@@ -256,8 +279,8 @@ class Scorer:
             parts += rest
             owner = np.append(owner, np.full(len(rest), k + i))
         for some in _by_length(parts):
-            end = forward(self.pieces.lattice([parts[i] for i in some]), self.p)[-1]
-            np.add.at(self.scores, owner[some], np.log(np.maximum(end, 1e-300)).astype(np.float32))
+            found = log_probability(self.pieces.lattice([parts[i] for i in some]), self.p)
+            np.add.at(self.scores, owner[some], found.astype(np.float32))
 
     def score(self, texts: list[list[str]]) -> np.ndarray:
         """(text, language): sums over each text's words."""

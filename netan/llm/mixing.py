@@ -6,11 +6,14 @@ and its siblings share the shortage by weight. What all children of a node toget
 own siblings before, since a node's supply is that of all leaves below it. So siblings come before ancestors.
 
 A leaf's budget buys whole epochs of its documents and then a token-prefix of one more: documents in the order of a hash of
-(seed, epoch, id) as long as their tokens fit. Prefixes are found in two steps: sums over hash ranges, then an order within
-the one range where the budget ends, so that no leaf, however large, is sorted in one task.
+(seed, epoch, id) as long as their tokens fit. Prefixes are found in steps: sums over at most 2^16 hash ranges of a leaf, for
+large leaves sums over as many parts of the one range where the budget ends, then an order within the last range. So a
+leaf, however large, gives a task neither more than 2^16 sums nor more rows than about RANGE_ROWS to put in order.
 
 Nulls: null texts hold no token; rows without tokens are never chosen; null language or source is a node named "null". Rows
-that repeat an id have the same hash; they are taken in the order of their tokens, and equal rows together if both fit.
+that repeat an id have the same hash; they are taken in the order of their tokens, and equal rows together if both fit. Very
+long texts are documents like any other; one that doesn't fit is left out with all behind it. Columns beside id, text, lang,
+source and those to keep are not read, whatever their names. Empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -23,6 +26,8 @@ from netan.storage import written
 LEVELS = ("domain", "lang", "source")
 #: Documents that share one hash range of a leaf, on average.
 RANGE_ROWS = 512
+#: Bits of the hash by which one step divides.
+LEVEL_BITS = 16
 
 
 def hash01(seed: int, epoch: Column, key: Column) -> Column:
@@ -88,17 +93,29 @@ def mix(docs: DataFrame, domain: Column, weight: Column, share_of_supply: float
         F.least(F.lit(32), F.greatest(F.lit(0), F.ceil(F.log2(F.col("rows") / F.lit(float(RANGE_ROWS)))))).cast("int").alias("bits"),
     )
 
-    def ranged(rows: DataFrame) -> DataFrame:
+    bits = leaves.agg(F.max("bits")).first()[0] or 0  # one row
+
+    def ranged(rows: DataFrame, leaves: DataFrame, bits: Column) -> DataFrame:
+        """rows with the leaf's columns, the hash and the range of `bits` bits that holds it."""
         rows = rows.where("n_tokens > 0").join(F.broadcast(leaves), list(LEVELS))
         rows = rows.withColumn("h", hash01(seed, F.col("epochs") + 1, F.col("doc_id")))
-        return rows.withColumn("range", F.floor(F.col("h") / F.pow(F.lit(2.0), F.lit(32) - F.col("bits"))).cast("long"))
-
-    sums = ranged(thin).groupBy(*LEVELS, "range", "rest").agg(F.sum("n_tokens").alias("n"))
-    over = Window.partitionBy(*LEVELS).orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    sums = sums.withColumn("before", F.coalesce(F.sum("n").over(over), F.lit(0)))
-    # of each leaf, the range in which its budget ends
-    edge = sums.where("before <= rest AND before + n > rest").select(*LEVELS, F.col("range").alias("edge"), F.col("before").alias("edge_before"))
-    rows = ranged(rows).join(F.broadcast(edge), list(LEVELS))
+        return rows.withColumn("range", F.floor(F.col("h") / F.pow(F.lit(2.0), F.lit(32) - bits)).cast("long"))
+
+    def ends(rows: DataFrame, before: Column) -> DataFrame:
+        """(levels, edge, edge_before): of each leaf, the range in which its budget ends; before: tokens ahead of all these ranges."""
+        sums = rows.groupBy(*LEVELS, "range", "rest", before.alias("base")).agg(F.sum("n_tokens").alias("n"))
+        over = Window.partitionBy(*LEVELS).orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+        sums = sums.withColumn("before", F.col("base") + F.coalesce(F.sum("n").over(over), F.lit(0)))
+        return sums.where("before <= rest AND before + n > rest").select(*LEVELS, F.col("range").alias("edge"), F.col("before").alias("edge_before"))
+
+    coarse = F.least("bits", F.lit(LEVEL_BITS))
+    edge = ends(ranged(thin, leaves, coarse), F.lit(0).cast("long"))
+    if bits > LEVEL_BITS:
+        edge = written(edge, "leaf-edges")
+        inside = ranged(thin, leaves.join(edge, list(LEVELS)), F.col("bits"))
+        inside = inside.where(F.floor(F.col("range") / F.pow(F.lit(2.0), F.col("bits") - coarse)).cast("long") == F.col("edge"))
+        edge = ends(inside, F.col("edge_before"))
+    rows = ranged(rows, leaves, F.col("bits")).join(F.broadcast(edge), list(LEVELS))
     sure = rows.where("range <> edge").withColumn("copies", F.col("epochs") + F.when(F.col("range") < F.col("edge"), 1).otherwise(0))
     over = Window.partitionBy(*LEVELS).orderBy("h", F.col("doc_id").asc_nulls_first(), "n_tokens").rowsBetween(Window.unboundedPreceding, 0)
     last = rows.where("range = edge").withColumn("upto", F.col("edge_before") + F.sum("n_tokens").over(over))
@@ -107,7 +124,6 @@ def mix(docs: DataFrame, domain: Column, weight: Column, share_of_supply: float
     return out.select("doc_id", *LEVELS, "n_tokens", F.col("copies").cast("long").alias("copies"), *(F.col(f"_{c}") for c in keep))
 
 
-
 def sql(domain: str, weights: tuple[str, str, str], share_of_supply: float, epochs: int, seed: int) -> str:
     """mix() for DuckDB, with one running sum over each whole leaf; domain by lang and source, weights of domains, languages, sources."""
 

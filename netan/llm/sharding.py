@@ -4,12 +4,14 @@ Each shard has a permutation of the slots of a table of prime size, given by an
 Shards take turns, as often as their weights say, and claim the next free slot of their permutation until the table is full.
 The table is a row per slot of a bounded number; placement is one hash of the key and one lookup in the broadcast table.
 
-A null key is a key like any other (the text "null"). Repeated rows go to one shard, an empty table gives an empty table.
+A null key is a key like any other (the text "null"), and so is a very long one. Repeated rows go to one shard. Columns beside
+the key, those with names used here included, are not read. An empty table gives an empty table.
 """
 
 from __future__ import annotations
 
 import hashlib
+import json
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -57,7 +59,7 @@ def place(docs: DataFrame, shards: dict[str, int], slots: int = SLOTS, key_col:
 
 def lookup_table(spark: SparkSession, shards: dict[str, int], slots: int = SLOTS) -> DataFrame:
     """(slot, shard), a row per slot."""
-    names = F.split(F.lit("\t".join(fill(shards, slots))), "\t")
+    names = F.from_json(F.lit(json.dumps(fill(shards, slots))), "array<string>")
     return spark.range(1).select(F.posexplode(names).alias("slot", "shard"))
 
 

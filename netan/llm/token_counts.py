@@ -5,7 +5,8 @@ characters which are no white space. Texts are cut at all such boundaries, and t
 once per worker; a text's count is the sum over its pieces. Texts with other white space (runs of spaces, blank lines) are
 cut by a slower rule that leaves such runs whole.
 
-Nulls count as empty texts. Repeated rows give repeated rows, a null id stays null, an empty table gives an empty table.
+Nulls count as empty texts. Repeated rows give repeated rows, a null id stays null, an empty table gives an empty table. Very
+long texts are counted whole, piece by piece. Columns beside id and text, those with names used here included, are not read.
 """
 
 from __future__ import annotations

@@ -6,7 +6,9 @@ File format. A table of chunks in Parquet; each row holds whole documents, in or
 many ids of which width it packs; selector 0 is the escape: the next word holds one value of more than 60 bits as it is.
 Blocks begin at a word of their own, so any block can be decoded alone and all of them at once, without a loop over ids.
 
-Rows are written in ascending id order, null ids first, equal ids by text. Null texts hold the end id only.
+Rows are written in ascending id order, null ids first, equal ids by text, repeated rows as often as they come. Null texts hold
+the end id only. A very long text is one document of one chunk. Columns beside id and text, those with names used here
+included, are not read. Empty tables give no rows.
 """
 
 from __future__ import annotations

@@ -1,6 +1,8 @@
 """Each operator on small fixtures, against brute force, a round trip, or known answers."""
 
+import functools
 import hashlib
+import html
 import math
 import random
 import zlib
@@ -17,9 +19,13 @@ ODD = [(1, None), (2, ""), (3, " \n\t "), (None, "a b c"), (None, "a b c"), (4,
 
 def frame(spark, rows, extra=False):
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    if extra:  # columns whose names the operators use themselves
-        df = df.withColumn("rid", F.lit("x")).withColumn("n_words", F.lit(None).cast("int")).withColumn("sid", F.lit(1)).withColumn("component", F.lit(2))
-    return df
+    return clashing(df) if extra else df
+
+
+def clashing(df):
+    """With columns whose names the operators use themselves."""
+    names = ("rid", "n_words", "sid", "component", "n", "vec", "key", "budget", "epochs", "rest", "bits", "h", "range", "edge", "copies", "domain", "score", "kept", "held_out", "_gone_id", "_id", "_doc_id")
+    return df.withColumns({c: F.lit("x") for c in names if c not in df.columns})
 
 
 def rows_of(df):
@@ -62,6 +68,17 @@ def test_mixing_of_an_empty_table(spark):
     assert rows_of(mixing.mix(docs, F.lit("d"), F.lit(1))) == []
 
 
+def test_mixing_in_several_levels(spark, monkeypatch):
+    """Ranges of two rows, found by two bits at first, choose the same documents as one order over each leaf."""
+    docs = mixed_docs(spark).unionByName(spark.createDataFrame([(2000, "w " * 40_000, "en", "src1")], "doc_id long, text string, lang string, source string"))
+    run = lambda d: rows_of(mixing.mix(d, F.lit("d"), F.lit(1), 0.4, 3, 5))
+    want = run(docs)
+    assert run(clashing(docs)) == want and len(want) > 50
+    monkeypatch.setattr(mixing, "RANGE_ROWS", 2)
+    monkeypatch.setattr(mixing, "LEVEL_BITS", 2)
+    assert run(docs) == want
+
+
 # --- 2 substring dedup
 
 
@@ -93,6 +110,20 @@ def test_substring_dedup_against_brute_force(spark, monkeypatch, most):
         assert rows_of(substring_dedup.remove(frame(spark, docs, True), length)) == brute_windows(docs, length)
 
 
+def test_windows_of_one_text_in_pieces(monkeypatch):
+    """Every window has the same anchor, at the same place, whether a text is sought through at once or in pieces."""
+    words = np.random.default_rng(3).integers(0, 50, 400).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+
+    def windows():
+        found = substring_dedup.segments(words, np.array([len(words)]), 20)
+        rows = zip(*(found[c].tolist() for c in ("start", "count", "off", "anchor")))
+        return [(start + j, start + off, anchor) for start, count, off, anchor in rows for j in range(count)]
+
+    whole = windows()
+    monkeypatch.setattr(substring_dedup, "PIECE_WINDOWS", 50)
+    assert windows() == whole and len(whole) == 381
+
+
 def test_removed_spans_and_text(spark):
     same = " ".join(f"s{k}" for k in range(35))
     out = substring_dedup.remove(frame(spark, [(1, "a b " + same + " c"), (2, same + " d")]), with_text=True)
@@ -131,6 +162,66 @@ def test_html(spark):
     assert rows_of(html_text.main_text(pages.limit(0))) == []
 
 
+BODY = "<h1>The title</h1><p>One two three four five six seven</p><p>end</p>"
+TEXT = "The title\n\nOne two three four five six seven\n\nend"
+LONG = "<p>" + "word " * 90 + "</p>"
+
+
+@pytest.mark.parametrize(
+    "page, want",
+    [
+        (f'<body><div class="layout has-sidebar">{BODY}</div></body>', TEXT),
+        (f'<body><div id="post-with-comments">{BODY}</div></body>', TEXT),
+        (f'<body><div class="sidebar">{BODY}</div></body>', TEXT),
+        (f'<body><div data-class="ad">{BODY}</div></body>', TEXT),
+        (f'<body><div title="x class=ad">{BODY}</div></body>', TEXT),
+        (f"<body><header><h1>The site</h1>of some people</header><div>{BODY}</div></body>", TEXT),
+        (f'<body><div class="masthead">Our site of old</div><div>{BODY}</div></body>', TEXT),
+        ('<body><article><div class="entry-header"><h1>My title</h1></div><p>one two three four</p></article></body>', "My title\n\none two three four"),
+        ("<body><article><header><h1>My title</h1></header><p>one two three four</p><footer>shared by many</footer></article></body>", "My title\n\none two three four"),
+        ("<table><tr><td>a</td><td>b</td></tr></table>", "a\n\nb"),
+        (f"<form><nav>Menu of the site</nav><div>{BODY}</div></form>", TEXT),
+        (f'<body><div class="content">{BODY}</div><div class="comments">{LONG}</div></body>', TEXT),
+        (f'<body><div class="content">{BODY}</div><section id="siteComments">{LONG}</section></body>', TEXT),
+        (f"<body><ul><li><a>Home</a></li><li><a>About us</a></li></ul>{BODY}<ul><li>x</li><li>y</li></ul></body>", TEXT + "\n\nx\n\ny"),
+        (f'<body><div class="cookie-notice">We use some of them</div><main>{BODY}<div class="ads">Buy now</div></main><form>Your name</form></body>', TEXT),
+    ],
+)
+def test_pages_of_many_kinds(page, want):
+    assert html_text.extract(page, {}) == want
+    assert html_text.extract(page, html_text.learn([PAGE])) == want
+
+
+def test_html_against_generated_pages(spark):
+    """Pages put together from known parts: what is asked for is what was put in."""
+    rng = random.Random(12)
+    words = lambda a, b: " ".join(rng.choice(["sol", "luna", "mar &amp; cielo", "x", "5 &lt; 6", "r&eacute;el", "fin."]) for _ in range(rng.randint(a, b)))
+    noise = [
+        lambda: f"<nav><ul><li><a href=/>{words(1, 3)}</a></li></ul></nav>", lambda: f"<aside><p>{words(1, 30)}</p></aside>", lambda: f'<div class="ad">{words(1, 20)}</div>', lambda: f"<header><p>{words(1, 6)}</p></header>",
+        lambda: f"<footer>&copy; {words(1, 20)}</footer>", lambda: f"<form><p>{words(1, 5)}</p><button>go</button></form>", lambda: f'<div id="comments"><p>{words(1, 60)}</p><p>{words(1, 40)}</p></div>', lambda: "<script>if (a < b) c('<p>no</p>')</script>", lambda: f"<!-- {words(1, 4)} -->",
+    ]
+    pages = []
+    for k in range(60):
+        blocks = [words(3, 40) for _ in range(rng.randint(1, 6))]
+        body = "".join(f"<p>{b}</p>" if j else f"<h1>{b}</h1>" for j, b in enumerate(blocks))
+        inside = ("<article>%s</article>", "<main>%s</main>", '<div class="post">%s</div>', "<div class='wrap'><div>%s</div></div>")[k % 4] % body
+        around = lambda: "".join(rng.choice(noise)() for _ in range(rng.randint(0, 4)))
+        page = f"<html><head><title>t</title></head><body>{around()}{inside}{around()}</body></html>"
+        pages.append((k, page, "\n\n".join(html.unescape(" ".join(b.split())) for b in blocks)))
+    df = spark.createDataFrame([(k, "u", p) for k, p, _ in pages] + [(99, "u", "<p>" + "long " * 60_000)], "page_id long, url string, html string")
+    got = {r.page_id: r for r in html_text.main_text(clashing(df)).collect()}
+    for k, page, want in pages:
+        assert got[k].text == want, page
+        assert got[k].n_chars == len(want)
+    assert got[99].n_chars == 5 * 60_000 - 1
+
+
+def test_sample_of_labelled_pages(spark):
+    pages = spark.range(2000).select(F.col("id").alias("page_id"), F.concat(F.lit("<article>"), F.col("id").cast("string")).alias("html"))
+    assert 50 < len(html_text.labelled_sample(pages, 100)) < 150
+    assert len(html_text.labelled_sample(pages, 5000)) == 2000
+
+
 def test_best_stretch_is_the_maximum():
     rng, weights = random.Random(2), {"o:p": -1.5, "c:p": -0.5}
     for _ in range(200):
@@ -146,21 +237,46 @@ def test_best_stretch_is_the_maximum():
 def test_forward_sums_all_segmentations():
     pieces = language_id.Pieces("piece_bpe_32k.model")
     rng = np.random.default_rng(1)
-    p = np.append(rng.random(len(pieces)) / 100, 0)
-    for word in ("▁the", "▁q日x", "▁"):
-
-        def brute(a):
+    p = rng.random(len(pieces)) / 100
+    tool = token_counts.library("piece_bpe_32k.model")
+    names = [tool.id_to_piece(k) for k in range(tool.get_piece_size()) if not (tool.is_control(k) or tool.is_unknown(k) or tool.is_byte(k))]
+    assert len(pieces) == len(names) + 1
+    number = {x: k for k, x in enumerate(names)}
+    for word in ("▁the", "▁q日x", "▁", "▁" + "straßenbahnhaltestelle"):
+
+        @functools.cache
+        def brute(a, word=word):
             if a == len(word):
                 return 1.0
-            ends = range(a + 1, len(word) + 1)
-            number = lambda x: pieces.number.get(x, pieces.other if len(x) == 1 else -1)
-            return sum(p[number(word[a:b])] * brute(b) for b in ends if number(word[a:b]) >= 0)
+            parts = {b: number.get(word[a:b], pieces.other if b == a + 1 else -1) for b in range(a + 1, len(word) + 1)}
+            return sum(p[k] * brute(b) for b, k in parts.items() if k >= 0)
 
         lattice = pieces.lattice([word])
-        assert language_id.forward(lattice, p)[-1][0] == pytest.approx(brute(0))
-        counts = np.zeros(len(pieces) + 1)
+        assert language_id.log_probability(lattice, p)[0] == pytest.approx(math.log(brute(0)))
+        tiny = language_id.log_probability(lattice, p * 1e-40)  # by way of logarithms
+        cuts = language_id.log_probability(lattice, np.ones(len(pieces)))
+        assert cuts[0] == pytest.approx(math.log(sum_of_cuts(word, number)))
+        assert tiny[0] < language_id.log_probability(lattice, p)[0] - 40
+        counts = np.zeros(len(pieces))
         language_id.expected(lattice, p, np.array([2.0]), counts)
-        assert sum(counts[k] * len(x) for x, k in pieces.number.items()) + counts[pieces.other] == pytest.approx(2 * len(word))
+        assert sum(counts[k] * len(x) for x, k in number.items()) + counts[pieces.other] == pytest.approx(2 * len(word))
+
+
+def sum_of_cuts(word, number):
+    ways = [1] + [0] * len(word)
+    for b in range(1, len(word) + 1):
+        ways[b] = sum(ways[a] for a in range(b) if word[a:b] in number or b == a + 1)
+    return ways[-1]
+
+
+def test_long_words_do_not_tie(spark):
+    """Probabilities as a very large corpus leaves them: a word's sum is below the least positive number."""
+    pieces = language_id.Pieces("piece_bpe_32k.model")
+    p = np.full((len(pieces), 2), [1e-15, 2e-15], np.float32)
+    found = language_id.Scorer(pieces, p).score([["qzx" * 10], ["日" * 200]])
+    assert np.isfinite(found).all() and (found[:, 1] > found[:, 0] + 5).all()
+    docs = spark.createDataFrame([(k, "the house " * 3 + "日本" * 4000, "en") for k in range(4)] + [(9, "q" * 30_000, "de")], "doc_id long, text string, lang string")
+    assert len(rows_of(language_id.identify(clashing(docs)))) == 5
 
 
 def test_language_id(spark):
@@ -213,6 +329,7 @@ def test_decontamination_against_brute_force(spark, monkeypatch):
     assert rows_of(decontamination.judge(index, bench).select(*columns)) == sorted(want, key=repr)
     monkeypatch.setattr(decontamination, "BLOCK_CHARS", 100)  # several blocks of items
     assert rows_of(decontamination.judge(index, bench).select(*columns)) == sorted(want, key=repr)
+    assert rows_of(decontamination.decontaminate(frame(spark, docs, True), bench).select(*columns)) == sorted(want, key=repr)
     assert rows_of(decontamination.judge(index, bench.limit(0)).where("n_hit > 0")) == []
 
 
@@ -256,10 +373,76 @@ def test_kneser_ney_sums_to_one(spark):
     scorer = quality.Scorer(order, tables["en"])
     code, _ = quality.grams(*quality.folded(["the", "qx"]))
     for k in range(len(code)):  # in each context, seen or not
-        every = (code[k] >> 6 << 6 | np.arange(64)).astype(np.int64)
+        every = (code[k] >> 16 << 16 | np.arange(1 << 16)).astype(np.int64)
         assert np.exp(scorer.log_probabilities(every)).sum() == pytest.approx(1, abs=1e-5)
 
 
+def brute_kneser_ney(words):
+    """log p of a symbol after three others, by dictionaries of tuples: modified Kneser-Ney with the counts of counts of each size."""
+    top = Counter()
+    for w, n in words.items():
+        s = ["<", "<", "<", *w, ">"]
+        for a in range(len(s) - 3):
+            top[tuple(s[a : a + 4])] += n
+    counts = {4: top}
+    for size in (3, 2, 1):
+        counts[size] = Counter(g[1:] for g in counts[size + 1])
+    cuts = {}
+    for size, c in counts.items():
+        n = Counter(c.values())
+        y = n[1] / (n[1] + 2 * n[2]) if n[1] else None
+        cuts[size] = [min(k, max(0.05 * k, k - (k + 1) * y * n[k + 1] / n[k])) if y is not None and n[k] else 0.5 * k for k in (1, 2, 3)]
+    total, spare = defaultdict(float), defaultdict(float)
+    for size, c in counts.items():
+        for g, n in c.items():
+            total[g[:-1]] += n
+            spare[g[:-1]] += min(n, cuts[size][min(n, 3) - 1])
+
+    def p(gram):
+        if not gram:
+            return 1 / (1 << 16)
+        low, context = p(gram[1:]), gram[:-1]
+        if context not in total:
+            return low
+        n = counts[len(gram)][gram]
+        return ((n - min(n, cuts[len(gram)][min(n, 3) - 1]) if n else 0) + spare[context] * low) / total[context]
+
+    return lambda gram: math.log(p(tuple(gram)))
+
+
+def test_model_against_another_kneser_ney(spark):
+    texts = {"en": "the then than them these there theme thin thing the the of off often a an and at", "ja": "日本 日本語 本日 語学 学日 日日 本 語", "de": "straße strasse Straßen groß größe"}
+    texts["xx"] = "aaaa " * 9
+    docs = spark.createDataFrame([(t, lang) for lang, t in texts.items()], "text string, lang string")
+    _, tables = quality.load(quality.train(docs))
+    for lang, text in texts.items():
+        other = brute_kneser_ney(Counter(w.lower() for w in text.split()))
+        scorer = quality.Scorer(4, tables[lang])
+        for word in {*text.split(), "tho", "日語", "zzz", "thé"}:
+            s = ["<", "<", "<", *word.lower(), ">"]
+            want = sum(other(s[a : a + 4]) for a in range(len(s) - 3))
+            assert scorer._score([word])[0] == pytest.approx(want, rel=1e-5), (lang, word)
+
+
+def test_scripts_keep_their_letters():
+    symbols, first = quality.folded(["Ab3", "日本", "ж", "\U00020000x", "É"])
+    assert symbols.tolist() == [0, 0, 0, 97, 98, 48, 1, 0, 0, 0, 0x65E5, 0x672C, 1, 0, 0, 0, 0x436, 1, 0, 0, 0, 0xD800 + 0x20000 % 2048, 120, 1, 0, 0, 0, 0xE9, 1]
+    assert first.tolist() == [0, 7, 13, 18, 24]
+
+
+def test_both_bands_reject(spark):
+    """Texts of one very common word in many guises lie below the band, those of rare letters above."""
+    rng = random.Random(21)
+    syllables = ["th", "an", "er", "on", "in", "re", "st", "al", "lo", "mi", "qua", "fre", "spo", "bri"]
+    word = lambda: "".join(rng.choice(syllables) for _ in range(rng.randint(2, 4)))
+    common = [word() for _ in range(12)]
+    docs = [(k, " ".join(rng.choice(common) if rng.random() < 0.5 else word() for _ in range(120))) for k in range(300)]
+    docs += [(1000, " ".join(rng.choice(common) for _ in range(120))), (1001, " ".join(rng.choice("qxzkvw") * 2 + rng.choice("#%") for _ in range(120)))]
+    got = {r.doc_id: r for r in quality.assess(frame(spark, docs, True).withColumn("lang", F.lit("en")), below=4.0).collect()}
+    assert got[1000].score < got[1000].low and not got[1000].kept and got[1001].score > got[1001].high and not got[1001].kept
+    assert sum(r.kept for r in got.values()) > 0.95 * 300
+
+
 def test_moderate_junk_is_rejected_in_every_language(spark):
     """Junk at 8 deviations above and 11 below, in languages whose scores scatter differently."""
     rows = []
@@ -335,7 +518,13 @@ def brute_components(docs, size=4, per_cent=85):
     return sorted(((i, len(s), min((x for x in least[z] if x is not None), default=None)) for (i, _), s, z in zip(docs, sets, label)), key=repr)
 
 
-def test_ngram_join_against_brute_force(spark):
+@pytest.mark.parametrize("block, leaf, marks", [(4000, 32, True), (5, 2, True), (5, 2, False)])
+def test_ngram_join_against_brute_force(spark, monkeypatch, block, leaf, marks):
+    """Also with large groups cut in blocks, trees of small leaves, and nothing joined beforehand."""
+    monkeypatch.setattr(ngram_join, "BLOCK", block)
+    monkeypatch.setattr(ngram_join, "LEAF", leaf)
+    if not marks:
+        monkeypatch.setattr(ngram_join, "_first_links", lambda rows, *_: rows.sparkSession.createDataFrame([], "src long, dst long"))
     rng, docs = random.Random(7), []
     names = [f"w{k}" for k in range(500)]
     boiler = [rng.choice(names) for _ in range(30)]
@@ -394,6 +583,7 @@ def test_sharding(spark):
     want = lambda i: table[int(hashlib.md5(("null" if i is None else str(i)).encode()).hexdigest()[:15], 16) % 1009]
     assert len(got) == len(ODD) and all(r.shard == want(r.doc_id) for r in got)
     assert rows_of(sharding.place(docs.limit(0), shards, 1009)) == []
+    assert {r.shard for r in sharding.lookup_table(spark, {"a\tb": 1, 'c"d': 1}, 101).collect()} == {"a\tb", 'c"d'}
     with pytest.raises(ValueError):
         sharding.fill(shards, 1008)
 

@@ -30,6 +30,25 @@ def test_stages(spark, tmp_path):
     assert sum(r.n_tokens for r in out) == max(r.start + r.n_tokens for r in out)
 
 
+def test_odd_tables(spark, tmp_path):
+    """Empty tables, clashing names, null and very long texts."""
+    schema = "doc_id long, text string, lang string, source string, n_chars long, _gone_id long, _id string, _rid string, _x int, x int, rid string, component int, copies int, domain string"
+    rng = random.Random(5)
+    long_ = " ".join(rng.choice(["stone", "river", "cloud", "amber", "north"]) + str(rng.randint(0, 999)) for _ in range(60_000))
+    more = (1, 7, "i", "r", 3, 4, "q", 5, 6, "d")
+    rows = [(1, long_, "en", "src1", *more), (2, None, None, None, *more), (3, "", "en", "src1", *more), (None, long_ + " end", "en", None, *more)]
+    bench = spark.createDataFrame([(1, "some words of a test that nobody has ever copied from anywhere at all")], "item_id long, text string")
+    for name, part in (("some", rows), ("none", [])):
+        at = f"file://{tmp_path}/{name}"
+        bench.write.parquet(f"{at}/benchmark.parquet")
+        spark.createDataFrame(part, schema).write.parquet(f"{at}/documents.parquet")
+        docs = spark.read.parquet(f"{at}/documents.parquet")
+        for stage, f in corpus_pipeline.STAGES[:-1]:
+            docs = f(spark, docs, at)
+            assert docs.columns == [c.split()[0] for c in schema.split(", ")], stage
+        assert {r.doc_id for r in corpus_pipeline.run(spark, at).collect()} <= {1, None}
+
+
 def test_near_copies_at_five_words(spark, tmp_path):
     """Four of 200 words differ: 176 of 216 shingles of five words (0.81), but 181 of 213 of four words (0.8498)."""
     first = [f"w{k}" for k in range(200)]
