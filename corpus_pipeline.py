@@ -2,6 +2,10 @@
 
 Each stage is one operator of netan.llm over all rows that the stage before it has kept. All stages but the last return the
 columns of documents; the last returns what it has read back from the token files.
+
+Empty tables give empty tables. Columns beyond doc_id, text, lang and source go along unread, those with names that stages use
+themselves included. Null and wordless texts fail the quality rules; a null language or source is one named "null". Very long
+texts are documents like any other. Rows that repeat are one document from the second stage on.
 """
 
 from __future__ import annotations
@@ -12,7 +16,7 @@ from pyspark.sql import functions as F
 from netan.llm import decontamination, mixing, ngram_join, quality, token_files
 from netan.llm.common import table
 from netan.llm.queries import node_weight, source_domain
-from netan.storage import written
+from netan.storage import drop, lasting, scratch
 
 
 def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
@@ -73,5 +77,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages, from the documents table on."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = written(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        before = docs
+        with scratch():
+            docs = lasting(stage(spark, before, sf_dir), name.replace(" ", "-"))
+        drop(before)
     return docs

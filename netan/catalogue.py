@@ -9,8 +9,11 @@ from pyspark.sql import functions as F
 
 from netan import clustering, communities, components, measures, oracle, pagerank, partition, relational, stats
 from netan.baselines import shared_memory
+from netan.engines import bsp as bsp_engine
+from netan.engines import gas as gas_engine
 from netan.derive import DIRECTED, NAMES, network
 from netan.measures import RunLedger
+from netan.ordering import ranked
 from netan.streaming import replays
 
 
@@ -37,12 +40,14 @@ COMPONENT_METHODS = {
     "block": lambda n: components.block(n, partition.by_modulo(n, 4)),
     "msr": lambda n: components.msr(n),
     "contract": lambda n: components.contract(n),
+    "bsp_uncombined": lambda n: components.bsp(n, combiner=False),
     "async": lambda n: components.gas(n, mode="async", classes=2),
+    "delta_async": lambda n: components.gas(n, "delta", "async", classes=2),
     "message_async": lambda n: components.gas(n, "message", "async", classes=2),
     "shm": lambda n: shared_memory.components(n),
     "sql": lambda n: components.sql(n),
 }
-COMPONENT_FIXTURES = {"bsp": ("sharedline", "colink", "chat"), "sql": ("chat", "geo"), "contract": ("sharedline", "colink", "copurchase2", "geo"), "msr": ("colink", "covalue"), "async": ("colink", "geo"), "message_async": ("colink", "geo")}
+COMPONENT_FIXTURES = {"bsp": ("sharedline", "colink", "chat"), "sql": ("chat", "geo"), "contract": ("sharedline", "colink", "copurchase2", "geo"), "msr": ("colink", "covalue"), "async": ("colink", "geo"), "message_async": ("colink", "geo"), "delta_async": ("colink", "geo")}
 
 
 def _cc(method, name, spark, sf_dir):
@@ -65,8 +70,14 @@ LPA = {
     "lpa_random_tie_colink": (lambda n: communities.bsp(n, 4, tie="random", halt="fixed"), oracle.communities("colink", 4, tie="random")),
     "lpa_random_init_colink": (lambda n: communities.bsp(n, 4, init="random_neighbour", halt="fixed"), oracle.communities("colink", 4, init="random_neighbour")),
     "lpa_keep_tie_sharedline": (lambda n: communities.bsp(n, 4, tie="keep", halt="fixed"), oracle.communities("sharedline", 4, tie="keep")),
-    "lpa_sweep_sharedline": (lambda n: communities.sweep(n, 3), oracle.sweeps("sharedline", 3)),
-    "lpa_sweep_supply": (lambda n: communities.sweep(n, 2), oracle.sweeps("supply", 2)),
+    "lpa_bsp_min_copurchase": (lambda n: communities.bsp(n, 10), oracle.communities("copurchase", 10)),
+    "lpa_bsp_min_nearest": (lambda n: communities.bsp(n, 10), oracle.communities("nearest", 10)),
+    "lpa_bsp_min_chat": (lambda n: communities.bsp(n, 10, halt="fixed"), oracle.communities("chat", 10)),
+    "lpa_weighted_copurchase2": (lambda n: communities.bsp(n, 5, weighted=True, halt="fixed"), oracle.communities("copurchase2", 5, count="sum(e.weight)")),
+    "lpa_sweep_sharedline": (lambda n: communities.sweep(n, 4), oracle.sweeps("sharedline", 4)),
+    "lpa_sweep_supply": (lambda n: communities.sweep(n, 4), oracle.sweeps("supply", 4)),
+    "lpa_sides_supply": (lambda n: communities.sweep(n, 4, sides=(F.col("id") >= 10_000_000).cast("int")), oracle.sweeps("supply", 4, side="(e.dst >= 10000000)::INT")),
+    "lpa_colours_colink": (lambda n: communities.unstable(n, communities.sweep(n, 50, tie="keep", colours=partition.colouring(n))), oracle._with("colink") + " SELECT count(*) AS vertices, 0::BIGINT AS unstable FROM v"),
     "lpa_block_colink": (lambda n: communities.block(n, partition.by_modulo(n, 4), 5), None),
     "lpa_gas_async_colink": (lambda n: communities.gas(n, 10, "async"), None),
     "lpa_shm_colink": (lambda n: shared_memory.communities(n), None),
@@ -79,6 +90,78 @@ def _oscillation(name, spark, sf_dir):
     return _changes(ledger, spark, 8)
 
 
+def _period(name, spark, sf_dir):
+    """The period of synchronous propagation after ten steps, and how many vertices flip."""
+    history = []
+    communities.bsp(_net(spark, sf_dir, name), 10, halt="fixed", history=history)
+    return spark.createDataFrame([communities.oscillation(history)], "period int, flipping long")
+
+
+def _inside(spark, sf_dir):
+    """Of methods whose labels no SQL gives: vertices, and those whose community lies in another component (none may)."""
+    net = _net(spark, sf_dir, "colink")
+    known = components.contract(net)
+    out = None
+    for method in ("lpa_block_colink", "lpa_gas_async_colink", "lpa_shm_colink"):
+        found = LPA[method][0](net).join(known, "id").join(known.toDF("community", "other"), "community", "left")
+        row = found.agg(F.count("*").alias("vertices"), F.count_if(~F.col("component").eqNullSafe(F.col("other"))).alias("outside")).select(F.lit(method).alias("method"), "vertices", "outside")
+        out = row if out is None else out.union(row)
+    return out
+
+
+def _lp_blocks(net):
+    """Blocks by label propagation against blocks by hash: as balanced as the slack allows, and cut through fewer edges."""
+    found = partition.by_label_propagation(net, 4)
+    cut = partition.edge_cut(net, found).crossJoin(partition.edge_cut(net, partition.by_hash(net, 4)).select(F.col("cross").alias("by_hash")))
+    return cut.crossJoin(partition.balance(found)).select("edges", (F.col("cross") < F.col("by_hash")).alias("fewer"), (F.col("ratio") <= 1.25).alias("balanced"))
+
+
+def _greatest_reached(net):
+    """Pull over edges that go out, signal over those that come in."""
+    arcs = net.arcs().select("src", "dst")
+    state = net.vertices().select("id", F.col("id").alias("value"))
+    out = gas_engine.run(arcs, state, F.col("value"), F.max, F.greatest("value", F.coalesce("msg", "value")), pull_over="out", notify_over="in", max_steps=1000)
+    return out.select("id", F.col("value").alias("reached"))
+
+
+STEPS = 14
+
+
+def _messages(spark, sf_dir):
+    ledger = RunLedger("bsp", messages=True, apart=F.pmod("src", F.lit(4)) != F.pmod("dst", F.lit(4)))
+    components.bsp(_net(spark, sf_dir, "sharedline"), ledger=ledger)
+    rows = {s.superstep: (s.messages_raw, s.messages_combined, s.messages_cross) for s in ledger.steps}
+    return spark.createDataFrame([(k, *rows.get(k, (0, 0, 0))) for k in range(1, STEPS + 1)], "superstep int, raw long, combined long, cross long")
+
+
+def _aggregators(spark, sf_dir):
+    """A sum over all vertices that the engine gathers in each superstep; it stays when the run has ended."""
+    net = _net(spark, sf_dir, "sharedline")
+    arcs = net.mirrored().select("src", "dst")
+    ledger = RunLedger("bsp")
+    least = F.least(F.col("value"), F.coalesce("msg", "value"))
+    bsp_engine.run(arcs, net.vertices().select("id", F.col("id").alias("value")), F.col("value"), F.min, least, max_supersteps=STEPS, ledger=ledger, aggregators={"labels": F.sum("value")})
+    seen = [int(x["labels"]) for x in ledger.aggregates]
+    return spark.createDataFrame([(k, seen[min(k, len(seen)) - 1]) for k in range(1, STEPS + 1)], "superstep int, labels long")
+
+
+def _variants(spark, sf_dir):
+    rows = []
+    for fixture in ("covalue", "sharedline"):
+        net = _net(spark, sf_dir, fixture)
+        for variant in ("standard", "message", "delta"):
+            ledger = RunLedger(variant, messages=True)
+            components.gas(net, variant, ledger=ledger)
+            rows.append((fixture, variant, int(ledger.total("updates")), int(ledger.total("messages_raw"))))
+    return spark.createDataFrame(rows, "fixture string, variant string, updates long, messages long")
+
+
+def _shm_sampled(spark, sf_dir):
+    net, samples = _net(spark, sf_dir, "colink"), 100_000
+    found, exact = shared_memory.approx_average_local(net, samples), clustering.average_local(net).first()[0]
+    return spark.createDataFrame([(samples, abs(found - exact) <= _epsilon(samples))], "samples long, within boolean")
+
+
 def _restart(net):
     return net.vertices().where("id % 2 = 0").select("id", F.lit(1.0).alias("r"))
 
@@ -90,6 +173,7 @@ POWER = {
     "gas_fixed": lambda n: pagerank.gas(n, -1.0, max_steps=10),
     "msr": lambda n: pagerank.msr(n),
     "delta": lambda n: pagerank.gas(n, -1.0, variant="delta", max_steps=10),
+    "gas_salted": lambda n: pagerank.gas(n, -1.0, max_steps=10, salt=4),
 }
 POWER_FIXTURES = {"power": ("handoff", "trade", "hyperlink"), "dataflow": ("handoff", "hyperlink")}
 LIMIT = {
@@ -108,10 +192,7 @@ def _top(spark, sf_dir):
 
 
 def _rank(spark, sf_dir):
-    from pyspark.sql import Window
-
-    scores = _rounded(pagerank.power(_net(spark, sf_dir, "handoff")))
-    return scores.select("id", F.rank().over(Window.orderBy(F.col("score").desc())).cast("long").alias("rank"))
+    return ranked(_rounded(pagerank.power(_net(spark, sf_dir, "handoff"))), "score", "rank").select("id", "rank")
 
 
 def _residual(spark, sf_dir):
@@ -125,11 +206,14 @@ def _deltas(spark, sf_dir):
     return spark.createDataFrame([(s.superstep, round(s.delta_max, 6)) for s in ledger.steps], "iteration int, delta_max double")
 
 
+SAMPLES = (100, 1000, 10_000, 100_000)
+
+
 def _approx_error(spark, sf_dir):
     net = _net(spark, sf_dir, "colink")
     exact = clustering.average_local(net).select(F.col("coefficient").alias("exact"))
     out = None
-    for k in (100, 1000, 10_000):
+    for k in SAMPLES:
         row = clustering.approx_average_local(net, k).crossJoin(exact).select("samples", F.round(F.abs(F.col("coefficient") - F.col("exact")), 6).alias("error"))
         out = row if out is None else out.union(row)
     return out
@@ -138,7 +222,7 @@ def _approx_error(spark, sf_dir):
 def _approx_error_sql():
     one = lambda k: f"SELECT samples, coefficient FROM ({oracle.sampled('colink', k)})"
     exact = oracle.clustering("colink", oracle.AVERAGE)
-    return "SELECT samples, round(abs(a.coefficient - x.coefficient), 6) AS error FROM (" + " UNION ALL ".join(one(k) for k in (100, 1000, 10_000)) + f") a, ({exact}) x"
+    return "SELECT samples, round(abs(a.coefficient - x.coefficient), 6) AS error FROM (" + " UNION ALL ".join(one(k) for k in SAMPLES) + f") a, ({exact}) x"
 
 
 def _epsilon(samples):
@@ -206,13 +290,9 @@ def _registry():
             o[name] = sql
 
     for name in NAMES:
-        if name != "nearest":
-            q[f"fixture_{name}"] = lambda spark, sf_dir, n=name: network(spark, sf_dir, n).edges
-            o[f"fixture_{name}"] = oracle.edges(name)
-        else:
-            q["fixture_nearest"] = lambda spark, sf_dir: network(spark, sf_dir, "nearest").edges
-        if name not in ("nearest", "cosupply", "coactivity"):
-            add(f"stats_overview_{name}", name, stats.overview, oracle.overview(name))
+        q[f"fixture_{name}"] = lambda spark, sf_dir, n=name: network(spark, sf_dir, n).edges
+        o[f"fixture_{name}"] = oracle.edges(name)
+        add(f"stats_overview_{name}", name, stats.overview, oracle.overview(name))
     for method in COMPONENT_METHODS:
         for f in COMPONENT_FIXTURES.get(method, ("colink", "copurchase2")):
             q[f"cc_{method}_{f}"] = partial(_cc, method, f)
@@ -228,7 +308,24 @@ def _registry():
     for f in ("supply", "geo", "hyperlink"):
         q[f"lpa_oscillation_{f}"], o[f"lpa_oscillation_{f}"] = partial(_oscillation, f), oracle.label_changes(f, 8)
     add("lpa_sizes", "colink", lambda n: communities.sizes(communities.bsp(n, 6)), oracle.communities("colink", 6, select="SELECT l AS community, count(*) AS size FROM s6 GROUP BY 1"))
+    for f in ("supply", "geo", "hyperlink", "chat"):
+        q[f"lpa_period_{f}"], o[f"lpa_period_{f}"] = partial(_period, f), oracle.label_period(f, 10)
+    q["lpa_inside_components"] = _inside
+    o["lpa_inside_components"] = oracle._with("colink") + " " + " UNION ALL ".join(f"SELECT '{m}' AS method, count(*) AS vertices, 0::BIGINT AS outside FROM v" for m in ("lpa_block_colink", "lpa_gas_async_colink", "lpa_shm_colink"))
     q["lpa_label_purity"] = _purity
+    best = "SELECT sum(n)::BIGINT AS vertices, round(sum(top) / sum(n), 6) AS purity FROM (SELECT sum(c) AS n, max(c) AS top FROM (SELECT l, label, count(*) AS c FROM {last} JOIN embeddings ON vec_id = id GROUP BY 1, 2) GROUP BY l)"
+    o["lpa_label_purity"] = oracle.sweeps("nearest", 6, select=best)
+    add("part_lp_blocks", "colink", _lp_blocks, oracle._with("colink") + " SELECT count(*) AS edges, true AS fewer, true AS balanced FROM e0")
+    add("part_colouring", "colink", lambda n: partition.clashes(n, partition.colouring(n)), oracle._with("colink") + " SELECT count(*) AS vertices, 0::BIGINT AS clashes FROM v")
+    for f in ("trade", "handoff"):
+        add(f"net_greatest_reached_{f}", f, _greatest_reached, oracle.greatest_reached(f))
+    add("net_min_degree", "colink", lambda n: n.min_degree(12).edges.select("src", "dst"), oracle._with("colink", "k AS (SELECT src AS id FROM e GROUP BY 1 HAVING count(*) >= 12)") + " SELECT src, dst FROM e0 WHERE src IN (SELECT id FROM k) AND dst IN (SELECT id FROM k)")
+    q["msgs_per_superstep"], o["msgs_per_superstep"] = _messages, oracle.component_messages("sharedline", STEPS)
+    q["bsp_aggregators"], o["bsp_aggregators"] = _aggregators, oracle.label_sums("sharedline", STEPS)
+    q["ledger_variants"] = _variants
+    o["ledger_variants"] = " UNION ALL ".join(f"(SELECT * FROM ({oracle.variant_counts(f, STEPS)}))" for f in ("covalue", "sharedline"))
+    for f in ("sharedline_star",):
+        add(f"cc_contract_{f}", f, components.contract, oracle.components(f))
     mod = "SELECT round((SELECT count(*) FROM e JOIN s6 a ON a.id = e.src JOIN s6 b ON b.id = e.dst WHERE a.l = b.l) / (SELECT count(*) FROM e) - (SELECT sum(d::DOUBLE * d) FROM (SELECT l, count(*) AS d FROM e JOIN s6 ON s6.id = e.src GROUP BY 1)) / ((SELECT count(*) FROM e)::DOUBLE * (SELECT count(*) FROM e)), 6) AS modularity"
     add("lpa_modularity", "colink", lambda n: communities.modularity(n, communities.bsp(n, 6)), oracle.communities("colink", 6, select=mod))
     add("lpa_partition_cut", "colink", lambda n: partition.edge_cut(n, partition.by_label_propagation(n, 4)))
@@ -258,6 +355,13 @@ def _registry():
         add(f"clu_approx_global_{f}", f, lambda n: clustering.approx_global(n, 10_000), oracle.sampled(f, 10_000, weight="degree * (degree - 1)", epsilon=_epsilon(10_000)))
         add(f"clu_approx_bsp_{f}", f, lambda n: clustering.approx_bsp(n, 10_000), oracle.sampled(f, 10_000, epsilon=_epsilon(10_000)))
         add(f"clu_approx_fixed_pairs_{f}", f, clustering.approx_fixed_pairs, oracle.fixed_pairs(f, 4))
+        for name, make in (("dataflow", clustering.approx_dataflow), ("gas", clustering.approx_gas), ("block", clustering.approx_block)):
+            add(f"clu_approx_{name}_{f}", f, lambda n, make=make: make(n, 10_000), oracle.sampled(f, 10_000, epsilon=_epsilon(10_000)))
+    for f in ("colink", "cosupply", "coactivity"):
+        add(f"clu_approx_100k_{f}", f, clustering.approx_average_local, oracle.sampled(f, 100_000, epsilon=_epsilon(100_000)))
+    q["clu_approx_shm"], o["clu_approx_shm"] = _shm_sampled, "SELECT 100000::BIGINT AS samples, true AS within"
+    for f in ("colink", "sharedline", "copurchase"):
+        add(f"tri_per_vertex_{f}", f, lambda n: clustering.local(n).select("id", "triangles"), oracle.clustering(f, "SELECT id, triangles FROM c"))
     q["clu_approx_error"], o["clu_approx_error"] = _approx_error, _approx_error_sql()
     for f in ("copurchase", "handoff"):
         head = ("u AS MATERIALIZED (SELECT DISTINCT src, dst FROM e)", "d AS (SELECT src, count(*) AS degree FROM u GROUP BY 1)")
@@ -271,6 +375,7 @@ def _registry():
     add("net_subgraph", "handoff", lambda n: n.subgraph(F.col("id") % 2 == 0).edges.select("src", "dst"), oracle._with("handoff") + " SELECT src, dst FROM e0 WHERE src % 2 = 0 AND dst % 2 = 0")
     add("net_k_hop", "colink", lambda n: _k_hop(n, 0, 2), oracle._with("colink") + " SELECT id, min(h)::INTEGER AS hops FROM (SELECT 0 AS id, 0 AS h UNION ALL SELECT dst, 1 FROM e WHERE src = 0 UNION ALL SELECT b.dst, 2 FROM e a JOIN e b ON a.dst = b.src WHERE a.src = 0) GROUP BY 1")
     q["net_compare"], q["net_attributes"] = _compare, _attributes
+    o["net_compare"] = oracle.agreement("colink", 6)
     o["net_attributes"] = oracle.components("sharedline", "SELECT component, count(*) AS labelled, round(avg(quality), 6) AS quality FROM cc JOIN labels ON labels.doc_id = cc.id GROUP BY 1")
     q["ledger_sync_async"] = _ledger
     for part in (relational, replays):

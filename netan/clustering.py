@@ -4,11 +4,16 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from netan.engines import gas as gas_engine
+from netan.engines.dataflow import Plan
 from netan.engines.loop import draw
 from netan.network import Network
+from netan.ordering import running
 from netan.partition import by_modulo
 from netan.stats import degrees
 from netan.storage import written
@@ -45,14 +50,7 @@ def _corners(net: Network, method: str) -> DataFrame:
         common = edges.join(a, "src").join(b, "dst").select("src", "dst", F.size(F.array_intersect("x", "y")).alias("c"))
         return common.select(F.explode(F.array("src", "dst")).alias("id"), "c").groupBy("id").agg(F.expr("sum(c) div 2").alias("t")).where("t > 0")
     if method == "block":
-        # edges inside a block see both neighbourhoods where they are; across blocks one end's list is sent
-        blocks = by_modulo(net, 4)
-        placed = edges.join(blocks.toDF("src", "s"), "src").join(blocks.toDF("dst", "d"), "dst")
-        a, b = lists.toDF("src", "x"), lists.toDF("dst", "y")
-        inside = placed.where("s = d").join(a, "src").join(b, "dst")
-        across = placed.where("s <> d").join(a, "src").join(b, "dst")
-        common = inside.unionByName(across).select("src", "dst", F.size(F.array_intersect("x", "y")).alias("c"))
-        return common.select(F.explode(F.array("src", "dst")).alias("id"), "c").groupBy("id").agg(F.expr("sum(c) div 2").alias("t")).where("t > 0")
+        return _block_corners(net, by_modulo(net, 4))
     if method == "msr":
         # round 1: pairs of neighbours with their centre, and edges, meet by key; round 2: sums by centre
         pairs = lists.select("id", F.explode("nbrs").alias("u"), "nbrs").select("id", "u", F.explode("nbrs").alias("w")).where("u < w")
@@ -66,6 +64,37 @@ def _corners(net: Network, method: str) -> DataFrame:
     raise ValueError(method)
 
 
+def _block_corners(net: Network, blocks: DataFrame) -> DataFrame:
+    """(id, t) in two parts: a triangle with an edge inside a block is found there, where both ends' neighbours are known; one whose
+    corners lie in three blocks is found by joins over the edges between blocks."""
+    arcs = net.mirrored().select("src", "dst").join(blocks.toDF("src", "s"), "src").join(blocks.toDF("dst", "d"), "dst")
+
+    def inside(rows: pa.Table) -> pa.Table:
+        src, dst = rows.column("src").to_numpy(), rows.column("dst").to_numpy()
+        mine = rows.column("s").to_numpy() == rows.column("d").to_numpy()
+        order = np.lexsort((dst, src))
+        src, dst, mine = src[order], dst[order], mine[order]
+        ids, first = np.unique(src, return_index=True)
+        near = dict(zip(ids.tolist(), np.split(dst, first[1:])))
+        own = dict(zip(ids.tolist(), np.split(mine, first[1:])))
+        corners = []
+        for u, v in zip(src[mine & (src < dst)].tolist(), dst[mine & (src < dst)].tolist()):
+            third, at, _ = np.intersect1d(near[u], near[v], assume_unique=True, return_indices=True)
+            third = third[~own[u][at] | (third > v)]  # inside the block, by the two lower corners only
+            if len(third):
+                corners += [np.full(len(third), u), np.full(len(third), v), third]
+        ids, t = np.unique(np.concatenate(corners) if corners else src[:0], return_counts=True)
+        return pa.table({"id": ids, "t": t.astype(np.int64)})
+
+    local = arcs.groupBy("s").applyInArrow(inside, "id long, t long")
+    cross = arcs.where("s <> d AND src < dst").select("src", "dst", "s", "d")
+    first, second = cross.toDF("a", "b", "p", "q"), cross.toDF("b", "c", "q2", "r")
+    wedges = first.join(second, "b").where("p <> r").select("a", "b", "c")
+    closed = wedges.join(cross.select(F.col("src").alias("a"), F.col("dst").alias("c")), ["a", "c"], "left_semi")
+    apart = closed.select(F.explode(F.array("a", "b", "c")).alias("id")).groupBy("id").agg(F.count("*").alias("t"))
+    return local.union(apart).groupBy("id").agg(F.sum("t").alias("t"))
+
+
 def local(net: Network, method: str = "ordered") -> DataFrame:
     """(id, degree, triangles, coefficient): the coefficient is null below degree 2."""
     rows = degrees(net).join(_corners(net, method), "id", "left")
@@ -94,22 +123,14 @@ def samples_for(epsilon: float, delta: float) -> int:
 
 
 def _numbered(net: Network, weight: Column) -> DataFrame:
-    """(id, degree, before, weight): vertices of positive weight by id, with the sum of the weights before; two-level sums."""
-    rows = degrees(net).where("degree >= 2").withColumn("weight", weight)
-    rows = written(rows.repartitionByRange("id").sortWithinPartitions("id").withColumn("p", F.spark_partition_id()), "weights")
-    parts = rows.groupBy("p").agg(F.sum("weight").alias("s"))
-    base = parts.select("p", F.coalesce(F.sum("s").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("p").orderBy("id").rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("inner", F.coalesce(F.sum("weight").over(inside), F.lit(0))).join(F.broadcast(base), "p")
-    return written(rows.select("id", "degree", (F.col("base") + F.col("inner")).cast("long").alias("before"), F.col("weight").cast("long").alias("weight")), "numbered")
+    """(id, degree, before, weight): vertices of degree 2 or more by id, with the sum of the weights before."""
+    rows = degrees(net).where("degree >= 2").withColumn("weight", weight.cast("long"))
+    return written(running(rows, [F.col("id").asc()], F.col("weight"), "before").select("id", "degree", F.col("before").cast("long").alias("before"), "weight"), "numbered")
 
 
 def _closed(net: Network, drawn: DataFrame, seed: int) -> DataFrame:
     """(k, id, closed): for drawn (k, id, degree), two different neighbours by hash, and whether they are linked."""
-    d = F.col("degree")
-    i = F.pmod(draw(seed, F.col("k"), F.lit("i")), d).cast("int")
-    j = F.pmod(draw(seed, F.col("k"), F.lit("j")), d - 1).cast("int")
-    drawn = drawn.select("k", "id", i.alias("i"), (j + F.when(j >= i, 1).otherwise(0)).alias("j"))
+    drawn = _asked(drawn, seed)
     wanted = drawn.select("id").distinct()
     lists = net.undirected().mirrored().join(wanted.toDF("src"), "src", "left_semi").groupBy(F.col("src").alias("id")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))
     pairs = drawn.join(lists, "id").select("k", "id", F.col("nbrs")[F.col("i")].alias("a"), F.col("nbrs")[F.col("j")].alias("b"))
@@ -151,6 +172,75 @@ def approx_global(net: Network, samples: int = 100_000, seed: int = 1) -> DataFr
     return _estimate(_closed(net, _draws(net, F.expr("degree * (degree - 1)"), samples, seed), seed), samples)
 
 
+def _asked(drawn: DataFrame, seed: int) -> DataFrame:
+    """drawn (k, id, degree) with i and j, the places of two different neighbours in the sorted list."""
+    d = F.col("degree")
+    i = F.pmod(draw(seed, F.col("k"), F.lit("i")), d).cast("int")
+    j = F.pmod(draw(seed, F.col("k"), F.lit("j")), d - 1).cast("int")
+    return drawn.select("k", "id", i.alias("i"), (j + F.when(j >= i, 1).otherwise(0)).alias("j"))
+
+
+def approx_dataflow(net: Network, samples: int = 100_000, seed: int = 1, weight: Column | None = None) -> DataFrame:
+    """The draws as an operator graph: joined with grouped neighbour lists, mapped to pairs, joined with the edges."""
+    net = net.undirected()
+    drawn = Plan.source(_asked(_draws(net, F.lit(1) if weight is None else weight, samples, seed), seed))
+    arcs = Plan.map(Plan.source(net.mirrored()), F.col("src").alias("id"), "dst")
+    lists = Plan.group(arcs, ["id"], F.array_sort(F.collect_list("dst")).alias("nbrs"))
+    pairs = Plan.map(Plan.join(drawn, lists, "id"), F.col("nbrs")[F.col("i")].alias("a"), F.col("nbrs")[F.col("j")].alias("b"))
+    pairs = Plan.map(pairs, F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
+    edges = Plan.map(Plan.source(net.edges), "src", "dst", F.lit(True).alias("hit"))
+    found = Plan.map(Plan.join(pairs, edges, ["src", "dst"], "left"), F.coalesce("hit", F.lit(False)).alias("closed"))
+    return _estimate(Plan.result(found), samples)
+
+
+def approx_gas(net: Network, samples: int = 100_000, seed: int = 1, weight: Column | None = None) -> DataFrame:
+    """Drawn vertices pull their neighbours' ids, unfolded; then each pair is looked for among the edges' ends."""
+    net = net.undirected()
+    drawn = written(_draws(net, F.lit(1) if weight is None else weight, samples, seed), "draws")
+    arcs = net.mirrored().select("src", "dst").join(drawn.select(F.col("id").alias("dst")).distinct(), "dst", "left_semi")
+    state = net.vertices().select("id", F.lit(None).cast("array<bigint>").alias("value"))
+    lists = gas_engine.run(arcs, state, F.col("src"), None, F.col("msg"), signal=F.lit(False), max_steps=1)
+    pairs = _asked(drawn, seed).join(lists, "id").select(F.col("value")[F.col("i")].alias("src"), F.col("value")[F.col("j")].alias("dst"))
+    hits = pairs.join(net.mirrored().select("src", "dst").withColumn("hit", F.lit(True)), ["src", "dst"], "left")
+    return _estimate(hits.select(F.coalesce("hit", F.lit(False)).alias("closed")), samples)
+
+
+def approx_block(net: Network, samples: int = 100_000, seed: int = 1, blocks: DataFrame | None = None, weight: Column | None = None) -> DataFrame:
+    """In two supersteps of blocks: the block that holds a drawn vertex names two of its neighbours and answers itself if it holds the
+    first; other pairs go by message to the block that does."""
+    net = net.undirected()
+    blocks = by_modulo(net, 4) if blocks is None else blocks
+    drawn = _asked(_draws(net, F.lit(1) if weight is None else weight, samples, seed), seed)
+    arcs = net.mirrored().select("src", "dst").join(blocks.toDF("src", "block"), "src")
+    asks = drawn.join(blocks, "id").select("block", "k", "id", "i", "j")
+
+    def lists(rows: pa.Table) -> dict:
+        src, dst = rows.column("src").to_numpy(), rows.column("dst").to_numpy()
+        order = np.lexsort((dst, src))
+        ids, first = np.unique(src[order], return_index=True)
+        return dict(zip(ids.tolist(), np.split(dst[order], first[1:]))) if len(ids) else {}
+
+    def linked(near: np.ndarray, b: int) -> bool:
+        at = int(np.searchsorted(near, b))
+        return at < len(near) and int(near[at]) == b
+
+    def first(asks: pa.Table, arcs: pa.Table) -> pa.Table:
+        near, out = lists(arcs), []
+        for k, v, i, j in zip(*(asks.column(c).to_pylist() for c in ("k", "id", "i", "j"))):
+            a, b = int(near[v][i]), int(near[v][j])
+            out.append((k, a, b, linked(near[a], b) if a in near else None))
+        return pa.table(dict(zip(("k", "a", "b", "closed"), map(list, zip(*out)))) if out else {c: [] for c in ("k", "a", "b", "closed")}, pa.schema([("k", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("closed", pa.bool_())]))
+
+    def second(asks: pa.Table, arcs: pa.Table) -> pa.Table:
+        near = lists(arcs)
+        return pa.table({"closed": pa.array([linked(near[a], b) for a, b in zip(asks.column("a").to_pylist(), asks.column("b").to_pylist())], pa.bool_())})
+
+    met = written(asks.groupBy("block").cogroup(arcs.groupBy("block")).applyInArrow(first, "k long, a long, b long, closed boolean"), "asked")
+    sent = met.where("closed IS NULL").join(blocks.withColumnRenamed("id", "a"), "a").select("block", "a", "b")
+    told = sent.groupBy("block").cogroup(arcs.groupBy("block")).applyInArrow(second, "closed boolean")
+    return _estimate(met.where("closed IS NOT NULL").select("closed").union(told), samples)
+
+
 def approx_bsp(net: Network, samples: int = 100_000, seed: int = 1) -> DataFrame:
     """In two supersteps: vertices learn how many pairs fall to them and send these; receivers look for them in their lists."""
     drawn = _draws(net, F.lit(1), samples, seed)

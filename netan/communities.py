@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from netan.engines import block as block_engine
 from netan.engines import gas as gas_engine
 from netan.engines.dataflow import Plan
-from netan.engines.loop import cut, draw, sweep_class
+from netan.engines.loop import cut, draw, placed_arcs, slim, sweep_class
 from netan.measures import RunLedger
 from netan.network import Network
 from netan.storage import drop, written
@@ -19,7 +19,7 @@ from netan.storage import drop, written
 
 def start(net: Network, init: str = "self", seed: int = 1) -> tuple[DataFrame, DataFrame]:
     """Arcs both ways, and the first labels: "self", "random_neighbour" or "min_neighbour"."""
-    arcs = written(net.undirected().mirrored().select("src", "dst", "weight"), "arcs")
+    arcs = placed_arcs(net.undirected().mirrored().select("src", "dst", "weight"))
     if init == "self":
         state = arcs.select(F.col("src").alias("id")).distinct().select("id", F.col("id").alias("value"))
     elif init == "min_neighbour":
@@ -51,45 +51,46 @@ def _told(arcs: DataFrame, state: DataFrame, tie: str) -> DataFrame:
 
 def bsp(net: Network, steps: int = 10, init: str = "self", tie: str = "min", seed: int = 1, weighted: bool = False, halt: str = "no_change", theta: float = 0.0, ledger: RunLedger | None = None, history: list | None = None, on_cycle: str = "stop") -> DataFrame:
     """Synchronous propagation. halt: "fixed"; "no_change"; "share" (at most theta of the vertices change); or "cycle", which
-    also ends when the labels are those of two steps before (on_cycle "sweep" then goes on in class sweeps)."""
+    also ends when the labels are those of any step before (on_cycle "sweep" then goes on in class sweeps)."""
     arcs, state = start(net, init, seed)
     ledger = ledger or RunLedger("lpa-bsp")
-    state = written(state, "lpa-0")
-    prints: list = []
+    state, first = cut(state, "lpa-0", arcs, print=F.bit_xor(F.xxhash64("id", "value")))
+    prints: list = [first["print"]]
     for k in range(1, steps + 1):
         heard = best_label(tie, seed, k, weighted)(_told(arcs, state, tie))
         after = state.join(heard, "id", "left").select("id", F.coalesce("msg", "value").alias("value"), (F.coalesce("msg", "value") != F.col("value")).alias("diff"))
-        after, seen = cut(after, f"lpa-{k}", changed=F.count_if("diff"), all=F.count("*"), print=F.bit_xor(F.xxhash64("id", "value")))
+        after, seen = cut(after, f"lpa-{k}", arcs, changed=F.count_if("diff"), all=F.count("*"), print=F.bit_xor(F.xxhash64("id", "value")))
         ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"])
         if history is None:
             drop(state)
         else:
-            history.append((state.select("id", "value"), seen["changed"]))
-        state = after.select("id", "value")
-        state._netan_path = after._netan_path
+            history.append((after.select("id", "value"), seen["changed"]))
+        state = slim(after, "id", "value")
         prints.append(seen["print"])
         if halt != "fixed" and seen["changed"] <= (theta * seen["all"] if halt == "share" else 0):
-            ledger.close()
+            ledger.close("converged")
             break
-        if halt == "cycle" and len(prints) > 2 and prints[-1] == prints[-3]:
+        if halt == "cycle" and prints[-1] in prints[:-1]:
             ledger.close("oscillating")
             if on_cycle == "sweep":
                 return sweep(net, sweeps=50, tie="keep", seed=seed, state=state)
             break
+    else:
+        ledger.close("fixed" if halt == "fixed" else "cut off")
     return state.select("id", F.col("value").alias("community"))
 
 
 def dataflow(net: Network, iterations: int = 10, init: str = "self", seed: int = 1) -> DataFrame:
     """Join; group by vertex and label and sum; reduce each vertex's group to its best label, in an operator graph."""
     arcs, state = start(net, init, seed)
-    state = written(state, "lpa-flow-0")
+    state, _ = cut(state, "lpa-flow-0", arcs)
     for k in range(1, iterations + 1):
         labels = Plan.source(state)
         pairs = Plan.map(Plan.join(Plan.map(labels, F.col("id").alias("src"), "value"), Plan.source(arcs), "src"), F.col("dst").alias("id"), "value")
         counts = Plan.group(pairs, ["id", "value"], F.count("*").alias("c"))
         first = Window.partitionBy("id").orderBy(F.col("c").desc(), F.col("value"))
         best = Plan.reduce(counts, ["id"], lambda df: df.withColumn("r", F.row_number().over(first)).where("r = 1").select("id", "value"))
-        after = written(Plan.result(best), f"lpa-flow-{k}")
+        after, _ = cut(Plan.result(best), f"lpa-flow-{k}", arcs)
         drop(state)
         state = after
     return state.select("id", F.col("value").alias("community"))
@@ -109,28 +110,33 @@ def gas(net: Network, steps: int = 10, mode: str = "sync", classes: int = 2, see
     return out.select("id", F.col("value").alias("community"))
 
 
-def sweep(net: Network, sweeps: int = 10, classes: int = 2, seed: int = 7, tie: str = "min", init: str = "self", sides: Column | None = None, state: DataFrame | None = None, ledger: RunLedger | None = None) -> DataFrame:
-    """Class sweeps: classes (hashed anew in each sweep, or fixed `sides`) run one after another and see each other's labels."""
+def sweep(net: Network, sweeps: int = 10, classes: int = 2, seed: int = 7, tie: str = "min", init: str = "self", sides: Column | None = None, colours: DataFrame | None = None, weighted: bool = False, state: DataFrame | None = None, ledger: RunLedger | None = None) -> DataFrame:
+    """Class sweeps: classes run one after another and see each other's labels. They are hashed anew in each sweep; or fixed, by
+    `sides` (a column over id, from 0 on) or by `colours` (id, colour). With a proper colouring, as of partition.colouring, no two
+    neighbours move at once, so that the run is one that some order of single vertices gives."""
     arcs, first = start(net, init, seed)
     ledger = ledger or RunLedger("lpa-sweep")
-    state = written(first if state is None else state.select("id", "value"), "lpa-sweep-0")
+    state, _ = cut(first if state is None else state.select("id", "value"), "lpa-sweep-0", arcs)
+    if colours is not None:
+        classes = (colours.agg(F.max("colour")).first()[0] or 0) + 1
     for s in range(1, sweeps + 1):
-        changed = 0
+        changed = updates = 0
         for k in range(classes):
             which = sweep_class(seed, s, classes) if sides is None else sides
-            mine = state.where(which == k)
-            heard = _told(arcs, state, tie).join(mine.select("id"), "id", "left_semi")
-            heard = best_label(tie, seed, s)(heard)
+            mine = state.select("id").where(which == k) if colours is None else colours.where(F.col("colour") == k).select("id")
+            heard = _told(arcs, state, tie).join(mine, "id", "left_semi")
+            heard = best_label(tie, seed, s, weighted)(heard)
             after = state.join(heard, "id", "left").select("id", F.coalesce("msg", "value").alias("value"), (F.coalesce("msg", "value") != F.col("value")).alias("diff"), F.col("msg").isNotNull().alias("turn"))
-            after, seen = cut(after, f"lpa-sweep-{s}-{k}", changed=F.count_if("diff"), updates=F.count_if("turn"))
+            after, seen = cut(after, f"lpa-sweep-{s}-{k}", arcs, changed=F.count_if("diff"), updates=F.count_if("turn"))
             drop(state)
-            state = after.select("id", "value")
-            state._netan_path = after._netan_path
-            changed += seen["changed"]
-        ledger.note(changed=changed, updates=seen["updates"])
+            state = slim(after, "id", "value")
+            changed, updates = changed + seen["changed"], updates + seen["updates"]
+        ledger.note(changed=changed, updates=updates)
         if not changed:
-            ledger.close()
+            ledger.close("converged")
             break
+    else:
+        ledger.close("cut off")
     return state.select("id", F.col("value").alias("community"))
 
 
@@ -177,13 +183,17 @@ def msr(net: Network, rounds: int = 10, init: str = "self", ledger: RunLedger |
 
 
 def oscillation(history: list) -> tuple[int, int]:
-    """(period, vertices that flip) from bsp()'s history with labels of each step; (1, 0) at rest, (0, changed) if neither is seen."""
+    """(period, vertices that flip) from bsp()'s history with labels of each step; (1, 0) at rest, (0, changed) if no period is seen.
+
+    The period is the least number of steps after which the newest labels have stood before.
+    """
     if not history or history[-1][1] == 0:
         return 1, 0
-    if len(history) >= 3:
-        now, before = history[-1][0], history[-3][0].withColumnRenamed("value", "old")
-        if not now.join(before, "id").where("value <> old").count():
-            return 2, history[-1][1]
+    now = history[-1][0]
+    for period in range(2, len(history)):
+        before = history[-1 - period][0].withColumnRenamed("value", "old")
+        if now.join(before, "id").where("value <> old").isEmpty():
+            return period, history[-1][1]
     return 0, history[-1][1]
 
 
@@ -204,3 +214,12 @@ def modularity(net: Network, labels: DataFrame) -> DataFrame:
     per = arcs.groupBy("a").agg(F.count_if(F.col("a") == F.col("b")).alias("i"), F.count("*").alias("d"))
     all_ = per.agg(F.sum("i").alias("i"), F.sum("d").alias("m"), F.sum(F.col("d").cast("double") * F.col("d")).alias("q"))
     return all_.select(F.round(F.col("i") / F.col("m") - F.col("q") / (F.col("m").cast("double") * F.col("m")), 6).alias("modularity"))
+
+
+def unstable(net: Network, labels: DataFrame) -> DataFrame:
+    """(vertices, unstable): how many vertices there are, and how many hold a label that is not one of their neighbours' most frequent."""
+    arcs = net.undirected().mirrored().select("src", "dst")
+    told = arcs.join(labels.toDF("src", "msg"), "src").groupBy(F.col("dst").alias("id"), "msg").agg(F.count("*").alias("c"))
+    top = told.groupBy("id").agg(F.max("c").alias("top"))
+    own = labels.join(told, (labels["id"] == told["id"]) & (labels["community"] == told["msg"]), "left").select(labels["id"], F.coalesce("c", F.lit(0)).alias("c"))
+    return own.join(top, "id").agg(F.count("*").alias("vertices"), F.count_if(F.col("c") < F.col("top")).alias("unstable"))

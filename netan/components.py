@@ -11,16 +11,17 @@ from netan.engines import bsp as bsp_engine
 from netan.engines import gas as gas_engine
 from netan.engines import msr as msr_engine
 from netan.engines.dataflow import Plan
-from netan.engines.loop import cut
+from netan.engines.loop import cut, placed_arcs, slim, sweep_class
 from netan.measures import RunLedger
 from netan.network import Network
+from netan.recovery import Checkpointer
 from netan.storage import drop, written
 
 
 def _start(net: Network) -> tuple[DataFrame, DataFrame]:
     """Arcs both ways, and each vertex as its own component."""
     net = net.undirected()
-    arcs = written(net.mirrored().select("src", "dst"), "arcs")
+    arcs = placed_arcs(net.mirrored().select("src", "dst"))
     ids = arcs.select(F.col("src").alias("id")).distinct() if net.isolated is None else net.vertices()
     return arcs, ids.select("id", F.col("id").alias("value"))
 
@@ -29,17 +30,18 @@ def _done(state: DataFrame) -> DataFrame:
     return state.select("id", F.col("value").alias("component"))
 
 
-def bsp(net: Network, max_supersteps: int = 1000, ledger: RunLedger | None = None) -> DataFrame:
+def bsp(net: Network, max_supersteps: int = 1000, combiner: bool = True, ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
+    """Each vertex sends its label when it has changed and takes the least that comes; without combiner, every message travels."""
     arcs, state = _start(net)
     least = F.least(F.col("value"), F.coalesce("msg", "value"))
-    return _done(bsp_engine.run(arcs, state, F.col("value"), F.min, least, max_supersteps=max_supersteps, ledger=ledger))
+    return _done(bsp_engine.run(arcs, state, F.col("value"), F.min, least, max_supersteps=max_supersteps, combiner=combiner, ledger=ledger, keeper=keeper))
 
 
 def dataflow(net: Network, workset: bool = False, max_rounds: int = 1000, ledger: RunLedger | None = None) -> DataFrame:
     """Join labels to edges, least per vertex, join to the old ones; with workset, only labels that have just changed are joined."""
     arcs, state = _start(net)
     ledger = ledger or RunLedger("dataflow-workset" if workset else "dataflow")
-    state = written(state.withColumn("moved", F.lit(True)), "flow-0")
+    state, _ = cut(state.withColumn("moved", F.lit(True)), "flow-0", arcs)
     for k in range(1, max_rounds + 1):
         labels = Plan.source(state)
         sent = Plan.map(labels, F.col("id").alias("src"), "value", where=F.col("moved") if workset else None)
@@ -48,49 +50,61 @@ def dataflow(net: Network, workset: bool = False, max_rounds: int = 1000, ledger
         both = Plan.join(labels, least, "id", "left")
         new = F.least("value", F.coalesce("msg", "value"))
         step = Plan.map(both, "id", new.alias("value"), (new < F.col("value")).alias("moved"))
-        after, seen = cut(Plan.result(step), f"flow-{k}", changed=F.count_if("moved"), all=F.count("*"))
+        after, seen = cut(Plan.result(step), f"flow-{k}", arcs, changed=F.count_if("moved"), all=F.count("*"))
         ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"])
         drop(state)
         state = after
         if not seen["changed"]:
-            ledger.close()
+            ledger.close("converged")
             break
+    else:
+        ledger.close("cut off")
     return _done(state)
 
 
-def gas(net: Network, variant: str = "standard", mode: str = "sync", classes: int = 4, seed: int = 7, ledger: RunLedger | None = None) -> DataFrame:
-    """variant: "standard", "message" or "delta"; mode: "sync", or "async" by class sweeps (standard only pulls fresh labels)."""
+def gas(net: Network, variant: str = "standard", mode: str = "sync", classes: int = 4, seed: int = 7, ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
+    """variant: "standard", "message" or "delta"; mode: "sync", or "async" by class sweeps."""
     arcs, state = _start(net)
     least = F.least(F.col("value"), F.coalesce("msg", "value"))
     if variant != "standard" and mode == "async":
-        return _done(_message_sweeps(arcs, state, classes, seed, ledger))
-    out = gas_engine.run(arcs, state, F.col("value"), F.min, least, mode=variant, classes=classes if mode == "async" else 1, seed=seed, max_steps=1000, change=F.col("value"), merge=F.least, ledger=ledger)
+        return _done(_sweeps(arcs, state, variant == "delta", classes, seed, ledger))
+    out = gas_engine.run(arcs, state, F.col("value"), F.min, least, mode=variant, classes=classes if mode == "async" else 1, seed=seed, max_steps=1000, change=F.col("value"), merge=F.least, ledger=ledger, keeper=keeper)
     return _done(out)
 
 
-def _message_sweeps(arcs: DataFrame, state: DataFrame, classes: int, seed: int, ledger: RunLedger | None) -> DataFrame:
-    """Messages are kept at the receiver until its class has its turn: `inbox` is the least that has come."""
-    from netan.engines.loop import sweep_class
+def _sweeps(arcs: DataFrame, state: DataFrame, cached: bool, classes: int, seed: int, ledger: RunLedger | None) -> DataFrame:
+    """Class sweeps in which values are sent, not pulled; `inbox` holds the least that has come to a vertex.
 
-    ledger = ledger or RunLedger("gas-message-async")
-    state = written(state.select("id", "value", F.col("value").alias("inbox"), F.lit(True).alias("tells")), "sweep-0")
+    With messages, a vertex takes its turn whenever one waits for it, and its inbox is empty afterwards. With a cache, the inbox
+    stays, and only a neighbour's change that lowers it calls the vertex up.
+    """
+    ledger = ledger or RunLedger("gas-delta-async" if cached else "gas-message-async")
+    none = F.lit(None).cast("long")
+    state, _ = cut(state.select("id", "value", none.alias("inbox"), F.lit(True).alias("tells")), "sweep-0", arcs)
+    calls = (F.coalesce(F.col("inbox") < F.col("value"), F.lit(False)) if cached else F.col("inbox").isNotNull()) | F.col("tells")
     for sweep in range(1, 1000):
-        updates = changed = left = 0
+        sums = {c: 0 for c in ("updates", "changed", "messages_raw", "messages_combined", "messages_cross")}
         for k in range(classes):
-            turn = (F.col("tells") | (F.col("inbox") < F.col("value"))) & (sweep_class(seed, sweep, classes) == k)
-            new = F.when(turn, F.least("value", "inbox")).otherwise(F.col("value"))
-            moved = state.select("id", new.alias("value"), "inbox", (F.col("tells") & ~turn).alias("tells"), turn.alias("turn"), (turn & (F.col("tells") | (new < F.col("value")))).alias("fires"), (new < F.col("value")).alias("diff"))
-            told = moved.where("fires").join(arcs, F.col("id") == arcs["src"]).groupBy(arcs["dst"].alias("id")).agg(F.min("value").alias("msg"))
-            after = moved.join(told, "id", "left").select("id", "value", F.least("inbox", F.coalesce("msg", "inbox")).alias("inbox"), "tells", "turn", "diff")
-            after, seen = cut(after, f"sweep-{sweep}-{k}", updates=F.count_if("turn"), changed=F.count_if("diff"), left=F.count_if(F.col("tells") | (F.col("inbox") < F.col("value"))))
+            turn = calls & (sweep_class(seed, sweep, classes) == k)
+            moved = state.withColumn("turn", turn).withColumn("new", F.when(F.col("turn"), F.least("value", F.coalesce("inbox", "value"))).otherwise(F.col("value")))
+            moved = moved.withColumn("fires", F.col("turn") & (F.col("tells") | (F.col("new") < F.col("value"))))
+            sent = moved.where("fires").join(arcs, F.col("id") == arcs["src"]).select(arcs["dst"].alias("id"), F.col("new").alias("msg"), arcs["src"].alias("from"))
+            kept = F.col("inbox") if cached else F.when(~F.col("turn"), F.col("inbox"))
+            met = moved.join(bsp_engine.inbox(sent, F.min, False, ledger), "id", "left")
+            counted = ["raw", "cross"] if ledger.messages else []
+            after = met.select("id", F.col("new").alias("value"), F.least(kept, "msg").alias("inbox"), (F.col("tells") & ~F.col("turn")).alias("tells"), "turn", (F.col("new") < F.col("value")).alias("diff"), F.col("msg").isNotNull().alias("got"), *counted)
+            counters = {c: F.sum(c) for c in counted}
+            after, seen = cut(after, f"sweep-{sweep}-{k}", arcs, updates=F.count_if("turn"), n_changed=F.count_if("diff"), combined=F.count_if("got"), left=F.count_if(calls), **counters)
             drop(state)
-            state = after.drop("turn", "diff")
-            state._netan_path = after._netan_path
-            updates, changed, left = updates + seen["updates"], changed + seen["changed"], seen["left"]
-        ledger.note(active=updates, updates=updates, changed=changed)
-        if not left:
-            ledger.close()
+            state = slim(after, "id", "value", "inbox", "tells")
+            for name, of in (("updates", "updates"), ("changed", "n_changed"), ("messages_combined", "combined"), ("messages_raw", "raw"), ("messages_cross", "cross")):
+                sums[name] += seen.get(of, 0)
+        ledger.note(active=sums["updates"], **sums)
+        if not seen["left"]:
+            ledger.close("converged")
             break
+    else:
+        ledger.close("cut off")
     return state
 
 

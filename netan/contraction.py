@@ -36,6 +36,8 @@ def contract(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
         state = _fingerprint(now)
         if state == before:
             break
+    else:
+        raise RuntimeError(f"components are not known after {max_rounds} rounds")
     hung = now.select(F.col("u").alias("id"), F.col("v").alias("component"))
     tops = now.select(F.col("v").alias("id")).union(loops).distinct().join(hung, "id", "left_anti")
     return hung.unionByName(tops.select("id", F.col("id").alias("component")))

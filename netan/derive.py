@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from netan.network import Network
+from netan.ordering import numbered
 
 DIRECTED = {"trade", "handoff", "hyperlink"}
-NAMES = ("copurchase", "copurchase2", "supply", "trade", "cosupply", "handoff", "coactivity", "covalue", "chat", "geo", "sharedline", "hyperlink", "colink", "nearest")
+NAMES = ("copurchase", "copurchase2", "supply", "trade", "cosupply", "handoff", "coactivity", "covalue", "chat", "geo", "sharedline", "hyperlink", "colink", "nearest", "sharedline_star")
 #: Keeps suppliers' ids apart from parts' and customers'.
 OFFSET = 10_000_000
 
@@ -49,10 +53,13 @@ def cosupply(spark, sf_dir):
 
 
 def handoff(spark, sf_dir):
-    # one order over all events by definition; at scale ranges of time are ordered apart and their borders stitched
-    rows = _read(spark, sf_dir, "events", "ts", "event_id", "user_id")
-    after = F.lead("user_id").over(Window.orderBy("ts", "event_id"))
-    return rows.select(F.col("user_id").alias("src"), after.alias("dst")).where("dst IS NOT NULL AND src <> dst").distinct()
+    """The event after the next is sought within each hour; the last of an hour is followed by the first of the next hour with events."""
+    rows = _read(spark, sf_dir, "events", "ts", "event_id", "user_id").withColumn("hour", F.date_trunc("hour", "ts"))
+    firsts = rows.groupBy("hour").agg(F.min(F.struct("ts", "event_id", "user_id")).alias("e"))
+    later = firsts.select("hour", F.lead(F.col("e.user_id")).over(Window.orderBy("hour")).alias("later"))  # a row for each hour
+    after = F.lead("user_id").over(Window.partitionBy("hour").orderBy("ts", "event_id"))
+    rows = rows.withColumn("after", after).join(later, "hour").select(F.col("user_id").alias("src"), F.coalesce("after", "later").alias("dst"))
+    return rows.where("dst IS NOT NULL AND src <> dst").distinct()
 
 
 def coactivity(spark, sf_dir):
@@ -80,14 +87,28 @@ def geo(spark, sf_dir):
     return rows.union(edge(supplier, F.col("s_nationkey") + 1000, F.col("s_suppkey") + 50_000_000))
 
 
-def sharedline(spark, sf_dir):
+def _lines(spark, sf_dir):
+    """(doc_id, line): different trimmed lines of 20 characters or more."""
     docs = _read(spark, sf_dir, "documents", "doc_id", "text")
     lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))
-    lines = lines.where(F.length("line") >= 20).distinct()
+    return lines.where(F.length("line") >= 20).distinct()
+
+
+def sharedline(spark, sf_dir):
+    """Lines that more documents share tie nobody here, by definition; sharedline_star has them all."""
+    lines = _lines(spark, sf_dir)
     some = lines.groupBy("line").count().where("count BETWEEN 2 AND 50").select("line")
     return _pairs(lines.join(some, "line"), "doc_id", "line")
 
 
+def sharedline_star(spark, sf_dir):
+    """Every line ties its documents to the least of them: the components of all pairs, whatever a line's documents number."""
+    lines = _lines(spark, sf_dir)
+    hubs = lines.groupBy("line").agg(F.min("doc_id").alias("src"))
+    rows = lines.join(hubs, "line").where("src <> doc_id")
+    return rows.groupBy("src", F.col("doc_id").alias("dst")).agg(F.count("*").cast("double").alias("weight"))
+
+
 def _links(spark, sf_dir):
     pages = _read(spark, sf_dir, "pages", "page_id", "html")
     return pages.select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), 1)).alias("link")).distinct()
@@ -95,24 +116,39 @@ def _links(spark, sf_dir):
 
 def hyperlink(spark, sf_dir):
     links = _links(spark, sf_dir)
-    names = links.select("link").distinct().select("link", (F.dense_rank().over(Window.orderBy("link")) + 1_000_000).alias("dst"))
-    return links.join(names, "link").select(F.col("page_id").alias("src"), F.col("dst").cast("long").alias("dst")).distinct()
+    names = numbered(links, "link", "k")
+    return links.join(names, "link").select(F.col("page_id").alias("src"), (F.col("k") + 1_000_000).alias("dst")).distinct()
 
 
 def colink(spark, sf_dir):
     return _pairs(_links(spark, sf_dir), "page_id", "link")
 
 
-def nearest(spark, sf_dir, k: int = 8):
-    """Each vector's k nearest by cosine; the vectors are the queries, in blocks of one broadcast side."""
-    rows = _read(spark, sf_dir, "embeddings", "vec_id", "embedding")
-    norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x))
-    rows = rows.select("vec_id", F.transform("embedding", lambda x: x / norm).alias("e"))
-    dot = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
-    pairs = rows.join(rows.select(F.col("vec_id").alias("other"), F.col("e").alias("f")), F.col("vec_id") != F.col("other"))
-    best = pairs.select("vec_id", F.struct((-F.round(dot, 9)).alias("d"), "other").alias("n"))
-    best = best.groupBy("vec_id").agg(F.slice(F.array_sort(F.collect_list("n")), 1, k).alias("near"))
-    return best.select(F.col("vec_id").alias("src"), F.explode("near").alias("n")).select("src", F.col("n.other").alias("dst"))
+def nearest(spark, sf_dir, k: int = 8, block_rows: int = 2000):
+    """Each vector's k nearest by cosine, ties by id. Vectors are the queries, in blocks; each pair of blocks is one task's group and
+    gives k of each query, so a vector travels as often as there are blocks and nothing grows with the number of pairs."""
+    rows = _read(spark, sf_dir, "embeddings", "vec_id", "embedding").where("embedding IS NOT NULL")
+    blocks = max(1, -(-rows.count() // block_rows))
+    own, every = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    rows = rows.withColumn("own", own)
+    asks = rows.select("vec_id", "embedding", F.lit(True).alias("asks"), F.col("own").alias("q"), every.alias("d"))
+    has = rows.select("vec_id", "embedding", F.lit(False).alias("asks"), every.alias("q"), F.col("own").alias("d"))
+
+    def best(part: pa.Table) -> pa.Table:
+        part = part.sort_by("vec_id")
+        e = np.array(part.column("embedding").to_pylist(), np.float64)
+        e /= np.linalg.norm(e, axis=1, keepdims=True)
+        ids, mine = part.column("vec_id").to_numpy(), part.column("asks").to_numpy()
+        q, d = np.flatnonzero(mine), np.flatnonzero(~mine)
+        near = np.round(e[q] @ e[d].T, 9)
+        near[ids[q][:, None] == ids[d][None]] = -2
+        top = np.argsort(-near, axis=1, kind="stable")[:, :k]
+        out = pa.table({"src": np.repeat(ids[q], top.shape[1]), "dst": ids[d][top].ravel(), "near": np.take_along_axis(near, top, 1).ravel()})
+        return out.filter(pa.compute.greater(out.column("near"), -2))
+
+    found = asks.unionByName(has).groupBy("q", "d").applyInArrow(best, "src long, dst long, near double")
+    order = Window.partitionBy("src").orderBy(F.col("near").desc(), "dst")
+    return found.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).select("src", "dst")
 
 
 def network(spark: SparkSession, sf_dir: str, name: str) -> Network:

@@ -11,8 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.engines.loop import cut
+from netan.engines.loop import cut, slim
 from netan.measures import RunLedger
+from netan.recovery import Checkpointer
 from netan.storage import drop
 
 
@@ -43,7 +44,7 @@ def local_components(net_arcs: DataFrame) -> DataFrame:
     return inside.groupBy("block").applyInArrow(solve, T.StructType([T.StructField("id", T.LongType()), T.StructField("label", T.LongType())]))
 
 
-def run(arcs: DataFrame, state: DataFrame, kernel: Callable, schema: str, max_supersteps: int, tolerance: float = 0.0, ledger: RunLedger | None = None) -> DataFrame:
+def run(arcs: DataFrame, state: DataFrame, kernel: Callable, schema: str, max_supersteps: int, tolerance: float = 0.0, ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
     """State (id, block, value) after the supersteps.
 
     arcs (src, dst, share, sblock, dblock). kernel(ids, values, src, dst, share, outside) gets one block: its internal vertices
@@ -51,7 +52,8 @@ def run(arcs: DataFrame, state: DataFrame, kernel: Callable, schema: str, max_su
     new values. Boundary values are those of the superstep before.
     """
     ledger = ledger or RunLedger("block")
-    for k in range(1, max_supersteps + 1):
+    done, state = keeper.begin(state) if keeper else (0, state)
+    for k in range(done + 1, max_supersteps + 1):
         values = state.select(F.col("id").alias("src"), "value")
         inflow = arcs.join(values, "src").select(F.col("dblock").alias("block"), "src", "dst", "share", (F.col("sblock") == F.col("dblock")).alias("inside"), "value")
         # one group for both: a block's vertices as rows without src
@@ -71,11 +73,14 @@ def run(arcs: DataFrame, state: DataFrame, kernel: Callable, schema: str, max_su
 
         after = inflow.unionByName(vertices).groupBy("block").applyInArrow(solve, schema)
         after, seen = cut(after, f"block-{k}", all=F.count("*"), changed=F.count_if(F.col("value") != F.col("old")), dmax=F.max(F.abs(F.col("value") - F.col("old"))))
-        ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"], delta_max=float(seen["dmax"]))
+        ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"], delta_max=seen["dmax"])
         drop(state)
-        state = after.select("id", "block", "value")
-        state._netan_path = after._netan_path
+        state = slim(after, "id", "block", "value")
+        if keeper:
+            keeper.after(state, k)
         if seen["dmax"] <= tolerance:
+            ledger.close("converged")
             break
-    ledger.close()
+    else:
+        ledger.close("cut off")
     return state

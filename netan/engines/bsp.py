@@ -7,11 +7,26 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from netan.engines.loop import cut
+from netan.engines.loop import cut, slim
 from netan.measures import RunLedger
+from netan.recovery import Checkpointer
 from netan.storage import drop
 
 
+def inbox(sent: DataFrame, fold: Callable, fold_rows: bool, ledger: RunLedger) -> DataFrame:
+    """(id, msg[, raw, cross]): what each receiver gets of (id, msg, from); counted one by one if the ledger asks for it."""
+    if not ledger.messages:
+        return fold(sent.select("id", "msg")) if fold_rows else sent.groupBy("id").agg(fold(F.col("msg")).alias("msg"))
+    cross = F.lit(0).cast("long")
+    if ledger.apart is not None:
+        sent = sent.withColumnsRenamed({"from": "src"}).withColumn("dst", F.col("id"))
+        cross = F.count_if(ledger.apart)
+    counts = (F.count("*").alias("raw"), cross.alias("cross"))
+    if fold_rows:
+        return fold(sent.select("id", "msg")).join(sent.groupBy("id").agg(*counts), "id")
+    return sent.groupBy("id").agg(fold(F.col("msg")).alias("msg"), *counts)
+
+
 def run(
     arcs: DataFrame,
     state: DataFrame,
@@ -24,33 +39,52 @@ def run(
     tolerance: float = 0.0,
     ledger: RunLedger | None = None,
     fold_rows: bool = False,
-    blocks: DataFrame | None = None,
+    combiner: bool = True,
+    aggregators: dict[str, Column] | None = None,
+    master: Callable[[int, dict], bool] | None = None,
+    keeper: Checkpointer | None = None,
 ) -> DataFrame:
     """State after the run.
 
     arcs (src, dst, ...), state (id, value, ...); send is computed on a sender's state and arc, combine folds `msg` (or, with
     fold_rows, all rows (id, msg) to one per id), commit gives the new value from value and msg (null: none came). A vertex
     stays active if `wake` holds on value and new; without it, if its value has changed. halt: "no_active", "fixed" (all
-    supersteps, all active), or "tolerance" (all active until the largest change is below it).
+    supersteps, all active), or "tolerance" (all active until the largest change is below it). Without combiner, messages
+    travel one by one. aggregators: named aggregates over (id, value, active, changed) of all vertices, kept in the ledger and
+    shown to the master after each superstep, who may end the run. keeper: keeps checkpoints, and goes on from the newest it has.
     """
     ledger = ledger or RunLedger("bsp")
     more = [c for c in state.columns if c not in ("id", "value", "active")]
     if "active" not in state.columns:
         state = state.withColumn("active", F.lit(True))
-    state, seen = cut(state, "bsp-0", active=F.count_if("active"))
-    for k in range(1, max_supersteps + 1):
-        sent = state.where("active").join(arcs, F.col("id") == arcs["src"]).select(arcs["dst"].alias("id"), send.alias("msg"))
-        inbox = combine(sent) if fold_rows else sent.groupBy("id").agg(combine(F.col("msg")).alias("msg"))
-        after = state.join(inbox, "id", "left").withColumn("new", commit)
+    done, state = keeper.begin(state) if keeper else (0, state)
+    state, seen = cut(state, "bsp-0", arcs, active=F.count_if("active"))
+    named = {f"agg_{k}": c for k, c in (aggregators or {}).items()}
+    for k in range(done + 1, max_supersteps + 1):
+        sent = state.where("active").join(arcs, F.col("id") == arcs["src"]).select(arcs["dst"].alias("id"), send.alias("msg"), arcs["src"].alias("from"))
+        if not combiner:
+            sent = sent.repartition("id")
+        got = inbox(sent, combine, fold_rows, ledger)
+        after = state.join(got, "id", "left").withColumn("new", commit)
         changed = ~F.col("new").eqNullSafe(F.col("value"))
         stay = F.lit(True) if halt in ("fixed", "tolerance") else changed if wake is None else wake
-        after = after.select("id", *more, F.col("new").alias("value"), stay.alias("active"), changed.alias("_changed"), (F.col("new") - F.col("value")).cast("double").alias("_d"), F.col("msg").isNotNull().alias("_got"))
-        after, now = cut(after, f"bsp-{k}", active=F.count_if("active"), changed=F.count_if("_changed"), got=F.count_if("_got"), dmax=F.max(F.abs("_d")), dsum=F.sum(F.abs("_d")), all=F.count("*"))
-        ledger.note(active=seen["active"], changed=now["changed"], updates=now["got"], messages_combined=now["got"], delta_max=now["dmax"], delta_l1=now["dsum"])
+        counted = ["raw", "cross"] if ledger.messages else []
+        after = after.select("id", *more, F.col("new").alias("value"), stay.alias("active"), changed.alias("changed"), (F.col("new") - F.col("value")).cast("double").alias("_d"), F.col("msg").isNotNull().alias("_got"), *counted)
+        counters = {c: F.sum(c) for c in counted} | named
+        after, now = cut(after, f"bsp-{k}", arcs, active=F.count_if("active"), n_changed=F.count_if("changed"), got=F.count_if("_got"), dmax=F.max(F.abs("_d")), dsum=F.sum(F.abs("_d")), all=F.count("*"), **counters)
+        ledger.note(active=seen["active"], changed=now["n_changed"], updates=now["got"], messages_raw=now.get("raw", 0), messages_combined=now["got"], messages_cross=now.get("cross", 0), delta_max=now["dmax"], delta_l1=now["dsum"])
         drop(state)
-        state, seen = after.drop("_changed", "_d", "_got"), now
-        state._netan_path = after._netan_path
+        state, seen = slim(after, "id", *more, "value", "active"), now
+        if keeper:
+            keeper.after(state, k)
+        if named:
+            ledger.aggregates.append({c[4:]: now[c] for c in named})
+        if master is not None and master(k, ledger.aggregates[-1] if named else {}):
+            ledger.close("converged")
+            break
         if halt == "no_active" and not now["active"] or halt == "tolerance" and now["dmax"] < tolerance:
+            ledger.close("converged")
             break
-    ledger.close("converged" if halt != "no_active" or not seen["active"] else "cut off")
+    else:
+        ledger.close("fixed" if halt == "fixed" else "cut off")
     return state

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from netan.engines.loop import cut
+from netan.engines.loop import cut, slim
 from netan.measures import RunLedger
 from netan.storage import drop
 
@@ -24,8 +24,10 @@ def iterate(state: DataFrame, emit: Column, fold: Callable[[Column], Column], co
         after, seen = cut(after, f"msr-{k}", changed=F.count_if("diff"), all=F.count("*"), raw=F.sum("n"))
         ledger.note(active=seen["all"], changed=seen["changed"], updates=seen["all"], messages_raw=seen["raw"], messages_combined=seen["raw"] + seen["all"])
         drop(state)
-        state = after.select("id", "value", "nbrs")
-        state._netan_path = after._netan_path
+        state = slim(after, "id", "value", "nbrs")
         if until_stable and not seen["changed"]:
+            ledger.close("converged")
             break
+    else:
+        ledger.close("cut off" if until_stable else "fixed")
     return state

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -28,10 +29,12 @@ class Network:
     def spark(self):
         return self.edges.sparkSession
 
-    def kept(self) -> "Network":
-        """The same network with its edges as a written table, so that loops don't derive them again."""
+    def kept(self, storage: StorageLevel | None = None) -> "Network":
+        """The same network with its edges as a written table, so that loops don't derive them again; or, with a storage level, as
+        blocks that executors hold in memory, on their disks or both, and make again if they are lost."""
         out = object.__new__(Network)
-        out.edges, out.directed, out.isolated = written(self.edges, "edges"), self.directed, self.isolated
+        out.edges = written(self.edges, "edges") if storage is None else self.edges.persist(storage)
+        out.directed, out.isolated = self.directed, self.isolated
         return out
 
     def vertices(self) -> DataFrame:
@@ -64,6 +67,13 @@ class Network:
             rows = rows.join(keep.toDF("src"), "src", "left_semi").join(keep.toDF("dst"), "dst", "left_semi").select("src", "dst", "weight")
         return Network(rows, self.directed)
 
+    def min_degree(self, k: int) -> "Network":
+        """The edges both of whose ends have k neighbours or more in this network; taken once, not until nothing more falls."""
+        degree = self.undirected().mirrored().groupBy(F.col("src").alias("id")).agg(F.count("*").alias("d"))
+        keep = degree.where(F.col("d") >= k).select("id")
+        rows = self.edges.join(keep.toDF("src"), "src", "left_semi").join(keep.toDF("dst"), "dst", "left_semi")
+        return Network(rows.select("src", "dst", "weight"), self.directed)
+
     def adjacency(self) -> DataFrame:
         """(id, nbrs): sorted lists, for methods that intersect them."""
         return self.arcs().groupBy(F.col("src").alias("id")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))

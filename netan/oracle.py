@@ -15,6 +15,8 @@ FIXTURES = {
     "geo": "SELECT n_regionkey::BIGINT AS src, n_nationkey::BIGINT + 1000 AS dst, 1.0::DOUBLE AS weight FROM nation UNION ALL SELECT c_nationkey + 1000, c_custkey + 1000000, 1.0 FROM customer UNION ALL SELECT s_nationkey + 1000, s_suppkey + 50000000, 1.0 FROM supplier",
     "sharedline": "WITH l AS (SELECT DISTINCT doc_id, trim(x, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(trim(x, ' ')) >= 20), k AS (SELECT line FROM l GROUP BY 1 HAVING count(*) BETWEEN 2 AND 50) SELECT a.doc_id AS src, b.doc_id AS dst, count(*)::DOUBLE AS weight FROM l a JOIN k USING (line) JOIN l b ON b.line = a.line AND a.doc_id < b.doc_id GROUP BY 1, 2",
     "hyperlink": "WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS link FROM pages), r AS (SELECT link, dense_rank() OVER (ORDER BY link) + 1000000 AS dst FROM (SELECT DISTINCT link FROM l)) SELECT page_id AS src, dst::BIGINT AS dst, 1.0::DOUBLE AS weight FROM l JOIN r USING (link)",
+    "nearest": "WITH n AS (SELECT a.vec_id AS a, b.vec_id AS b, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_dot_product(a.e, b.e) / (a.n * b.n), 9) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS e, sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])) AS n FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e, sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])) AS n FROM embeddings) b ON a.vec_id <> b.vec_id) SELECT least(a, b) AS src, greatest(a, b) AS dst, count(*)::DOUBLE AS weight FROM n WHERE r <= 8 GROUP BY 1, 2",
+    "sharedline_star": "WITH l AS (SELECT DISTINCT doc_id, trim(x, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(trim(x, ' ')) >= 20), h AS (SELECT line, min(doc_id) AS hub FROM l GROUP BY 1) SELECT hub AS src, doc_id AS dst, count(*)::DOUBLE AS weight FROM l JOIN h USING (line) WHERE hub <> doc_id GROUP BY 1, 2",
     "colink": "WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS link FROM pages) SELECT a.page_id AS src, b.page_id AS dst, count(*)::DOUBLE AS weight FROM l a JOIN l b ON a.link = b.link AND a.page_id < b.page_id GROUP BY 1, 2",
 }
 
@@ -50,31 +52,31 @@ def _hash(*parts: str) -> str:
     return "('0x' || substr(md5(concat_ws(':', " + ", ".join(parts) + ")), 1, 8))::BIGINT"
 
 
-def labels(name: str, steps: int, tie: str = "min", init: str = "self", seed: int = 1) -> list[str]:
+def labels(name: str, steps: int, tie: str = "min", init: str = "self", seed: int = 1, count: str = "count(*)") -> list[str]:
     """CTEs s0..sn of synchronous label propagation."""
     first = {"self": "SELECT id, id AS l FROM v", "min_neighbour": "SELECT src AS id, min(dst) AS l FROM e GROUP BY 1", "random_neighbour": f"SELECT src AS id, arg_min(dst, {{'h': {_hash(repr(str(seed)), 'src', 'dst')}, 'd': dst}}) AS l FROM e GROUP BY 1"}[init]
     ctes = [f"s0 AS MATERIALIZED ({first})"]
     for k in range(1, steps + 1):
         key = {"min": "struct_pack(c := c, n := -l)", "random": f"struct_pack(c := c, h := {_hash(repr(str(seed)), repr(str(k)), 'id', 'l')}, n := -l)", "keep": "struct_pack(c := c, k := (l = own)::INT, n := -l)"}[tie]
-        ctes.append(f"h{k} AS MATERIALIZED (SELECT e.dst AS id, q.l, o.l AS own, count(*) AS c FROM e JOIN s{k - 1} q ON q.id = e.src JOIN s{k - 1} o ON o.id = e.dst GROUP BY 1, 2, 3)")
+        ctes.append(f"h{k} AS MATERIALIZED (SELECT e.dst AS id, q.l, o.l AS own, {count} AS c FROM e JOIN s{k - 1} q ON q.id = e.src JOIN s{k - 1} o ON o.id = e.dst GROUP BY 1, 2, 3)")
         ctes.append(f"s{k} AS MATERIALIZED (SELECT id, arg_max(l, {key}) AS l FROM h{k} GROUP BY id)")
     return ctes
 
 
-def communities(name: str, steps: int, tie: str = "min", init: str = "self", seed: int = 1, select: str | None = None, extra: tuple[str, ...] = ()) -> str:
-    return _with(name, *labels(name, steps, tie, init, seed), *extra) + "\n" + (select or f"SELECT id, l AS community FROM s{steps}")
+def communities(name: str, steps: int, tie: str = "min", init: str = "self", seed: int = 1, select: str | None = None, extra: tuple[str, ...] = (), count: str = "count(*)") -> str:
+    return _with(name, *labels(name, steps, tie, init, seed, count), *extra) + "\n" + (select or f"SELECT id, l AS community FROM s{steps}")
 
 
-def sweeps(name: str, count: int, classes: int = 2, seed: int = 7) -> str:
-    """Class sweeps with least-label ties."""
+def sweeps(name: str, count: int, classes: int = 2, seed: int = 7, side: str | None = None, select: str = "SELECT id, l AS community FROM {last}") -> str:
+    """Class sweeps with least-label ties; side: the class of a vertex, where it is not by hash."""
     ctes, last = ["s0 AS MATERIALIZED (SELECT id, id AS l FROM v)"], "s0"
     for s in range(1, count + 1):
         for c in range(classes):
             now = f"s{s}_{c}"
-            ctes.append(f"h{now} AS MATERIALIZED (SELECT e.dst AS id, q.l, count(*) AS c FROM e JOIN {last} q ON q.id = e.src WHERE {_hash(repr(str(seed)), repr(str(s)), 'e.dst')} % {classes} = {c} GROUP BY 1, 2)")
+            ctes.append(f"h{now} AS MATERIALIZED (SELECT e.dst AS id, q.l, count(*) AS c FROM e JOIN {last} q ON q.id = e.src WHERE {side or f"{_hash(repr(str(seed)), repr(str(s)), 'e.dst')} % {classes}"} = {c} GROUP BY 1, 2)")
             ctes.append(f"{now} AS MATERIALIZED (SELECT p.id, coalesce(b.l, p.l) AS l FROM {last} p LEFT JOIN (SELECT id, arg_max(l, struct_pack(c := c, n := -l)) AS l FROM h{now} GROUP BY id) b USING (id))")
             last = now
-    return _with(name, *ctes) + f"\nSELECT id, l AS community FROM {last}"
+    return _with(name, *ctes) + "\n" + select.replace("{last}", last)
 
 
 def label_changes(name: str, steps: int) -> str:
@@ -146,3 +148,52 @@ def fixed_pairs(name: str, pairs: int, seed: int = 1) -> str:
 def overview(name: str) -> str:
     ctes = ("u AS MATERIALIZED (SELECT DISTINCT src, dst FROM e)", "d AS (SELECT src, count(*) AS d FROM u GROUP BY 1)")
     return _with(name, *ctes) + "\nSELECT count(*) AS n, (SELECT count(*) FROM e0) AS m, max(d) AS dmax, sum(d * (d - 1) // 2)::BIGINT AS wedges FROM d"
+
+
+def _steps(steps: int) -> list[str]:
+    """CTEs s0..sn of least labels, and fk: the vertices whose label has changed in step k (f0: all)."""
+    ctes = ["s0 AS MATERIALIZED (SELECT id, id AS l FROM v)", "f0 AS MATERIALIZED (SELECT id FROM v)"]
+    for k in range(1, steps + 1):
+        ctes.append(f"s{k} AS MATERIALIZED (SELECT p.id, least(p.l, min(q.l)) AS l FROM s{k - 1} p JOIN e ON e.dst = p.id JOIN s{k - 1} q ON q.id = e.src GROUP BY p.id, p.l)")
+        ctes.append(f"f{k} AS MATERIALIZED (SELECT a.id FROM s{k - 1} a JOIN s{k} b USING (id) WHERE a.l <> b.l)")
+    return ctes
+
+
+def component_messages(name: str, steps: int, blocks: int = 4) -> str:
+    """(superstep, raw, combined, cross): messages of synchronous components, by those who have changed; blocks: id modulo their number."""
+    one = [f"SELECT {k} AS superstep, count(*) AS raw, count(DISTINCT dst) AS combined, count(*) FILTER (src % {blocks} <> dst % {blocks}) AS cross FROM e JOIN f{k - 1} f ON f.id = e.src" for k in range(1, steps + 1)]
+    return _with(name, *_steps(steps)) + "\n" + " UNION ALL ".join(one)
+
+
+def label_sums(name: str, steps: int) -> str:
+    """(superstep, labels): sum of all labels after each step."""
+    return _with(name, *_steps(steps)) + "\n" + " UNION ALL ".join(f"SELECT {k} AS superstep, sum(l)::BIGINT AS labels FROM s{k}" for k in range(1, steps + 1))
+
+
+def variant_counts(name: str, steps: int) -> str:
+    """(fixture, variant, updates, messages) of synchronous pull, message and delta runs for components."""
+    updates = "(SELECT count(*) FROM v) + " + " + ".join(f"(SELECT count(DISTINCT dst) FROM e JOIN f{k} f ON f.id = e.src)" for k in range(1, steps))
+    pulled = "(SELECT count(*) FROM e) + " + " + ".join(f"(SELECT count(*) FROM e WHERE dst IN (SELECT dst FROM e JOIN f{k} f ON f.id = e.src))" for k in range(1, steps))
+    sent = "(SELECT count(*) FROM e) + " + " + ".join(f"(SELECT count(*) FROM e JOIN f{k} f ON f.id = e.src)" for k in range(1, steps))
+    rows = [f"SELECT '{name}' AS fixture, '{variant}' AS variant, {updates} AS updates, {messages} AS messages" for variant, messages in (("standard", pulled), ("message", sent), ("delta", sent))]
+    return _with(name, *_steps(steps)) + "\n" + " UNION ALL ".join(rows)
+
+
+def label_period(name: str, steps: int) -> str:
+    """(period, flipping) of synchronous label propagation: the least number of steps after which the last labels have stood before."""
+    differ = lambda k: f"(SELECT count(*) FROM s{k} a JOIN s{steps} b USING (id) WHERE a.l <> b.l)"
+    cases = " ".join(f"WHEN {differ(steps - p)} = 0 THEN {p}" for p in range(1, steps))
+    return communities(name, steps, select=f"SELECT CASE {cases} ELSE 0 END AS period, {differ(steps - 1)} AS flipping")
+
+
+def greatest_reached(name: str) -> str:
+    """(id, reached): the greatest id that a vertex reaches along its edges, its own included."""
+    top = "top(id, reached) USING KEY (id) AS (SELECT id, id FROM v UNION SELECT e0.src, max(top.reached) FROM top JOIN e0 ON top.id = e0.dst JOIN recurring.top AS r ON r.id = e0.src WHERE top.reached > r.reached GROUP BY e0.src)"
+    return _with(name, top, recursive=True) + "\nSELECT id, reached FROM top"
+
+
+def agreement(name: str, steps: int) -> str:
+    """(vertices, same_both, rand) of components and communities after so many steps."""
+    both = "m AS MATERIALIZED (SELECT component AS a, l AS b, count(*) AS c FROM cc JOIN s%d USING (id) GROUP BY 1, 2)" % steps
+    pairs = "x AS (SELECT (SELECT sum(c) FROM m) AS n, (SELECT sum(c * (c - 1) / 2) FROM m) AS ab, (SELECT sum(c * (c - 1) / 2) FROM (SELECT sum(c) AS c FROM m GROUP BY a)) AS pa, (SELECT sum(c * (c - 1) / 2) FROM (SELECT sum(c) AS c FROM m GROUP BY b)) AS pb)"
+    return _with(name, COMPONENTS, *labels(name, steps), both, pairs, recursive=True) + "\nSELECT n::BIGINT AS vertices, ab::BIGINT AS same_both, round((n * (n - 1) / 2 + 2 * ab - pa - pb) / (n * (n - 1) / 2), 6) AS rand FROM x"

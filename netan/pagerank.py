@@ -11,9 +11,10 @@ from netan.engines import bsp as bsp_engine
 from netan.engines import gas as gas_engine
 from netan.engines import msr as msr_engine
 from netan.engines.dataflow import Plan
-from netan.engines.loop import cut
+from netan.engines.loop import cut, placed_arcs, slim
 from netan.measures import RunLedger
 from netan.network import Network
+from netan.recovery import Checkpointer
 from netan.storage import drop, written
 
 JUMP = 0.15
@@ -23,7 +24,7 @@ def shares(net: Network, degree: str = "out") -> DataFrame:
     """Arcs with share = 1 / degree of src: its out-degree, or with "total" its number of neighbours in the undirected view."""
     arcs = (net if degree == "out" else net.undirected()).arcs().select("src", "dst")
     d = arcs.groupBy("src").agg((1.0 / F.count("*")).alias("share"))
-    return written(arcs.join(d, "src"), "shares")
+    return placed_arcs(arcs.join(d, "src"), "shares")
 
 
 def _start(net: Network, degree: str) -> tuple[DataFrame, DataFrame]:
@@ -46,20 +47,21 @@ def power(net: Network, iterations: int = 10, jump: float = JUMP, degree: str =
     ends = arcs.select(F.col("src").alias("id")).distinct().withColumn("gives", F.lit(True))
     state = state.join(ends, "id", "left").select("id", "value", F.coalesce("gives", F.lit(False)).alias("gives"))
     state = state.withColumn("r", F.lit(1.0)) if restart is None else state.join(restart, "id", "left").withColumn("r", F.coalesce("r", F.lit(0.0)))
-    state, seen = cut(state, "power-0", lost=F.sum(F.when(~F.col("gives"), F.col("value"))), n=F.count("*"))
+    state, seen = cut(state, "power-0", arcs, lost=F.sum(F.when(~F.col("gives"), F.col("value"))), n=F.count("*"))
     for k in range(1, iterations + 1):
         got = state.join(arcs, F.col("id") == arcs["src"]).groupBy(arcs["dst"].alias("id")).agg(F.sum(F.col("value") * F.col("share")).alias("msg"))
         extra = seen["lost"] / seen["n"] if dangling == "spread" else 0.0
         new = jump * F.col("r") + (1 - jump) * (F.coalesce("msg", F.lit(0.0)) + extra)
         after = state.join(got, "id", "left").select("id", new.alias("value"), "gives", "r", F.abs(new - F.col("value")).alias("d"))
-        after, seen = cut(after, f"power-{k}", lost=F.sum(F.when(~F.col("gives"), F.col("value"))), n=F.count("*"), dmax=F.max("d"), dsum=F.sum("d"))
+        after, seen = cut(after, f"power-{k}", arcs, lost=F.sum(F.when(~F.col("gives"), F.col("value"))), n=F.count("*"), dmax=F.max("d"), dsum=F.sum("d"))
         ledger.note(active=seen["n"], updates=seen["n"], delta_max=seen["dmax"], delta_l1=seen["dsum"])
         drop(state)
-        state = after.drop("d")
-        state._netan_path = after._netan_path
+        state = slim(after, "id", "value", "gives", "r")
         if tolerance is not None and seen["dmax"] <= tolerance:
+            ledger.close("converged")
             break
-    ledger.close()
+    else:
+        ledger.close("fixed" if tolerance is None else "cut off")
     return _done(state)
 
 
@@ -80,22 +82,23 @@ def dataflow(net: Network, iterations: int = 10, jump: float = JUMP, degree: str
     return _done(state)
 
 
-def gas(net: Network, tolerance: float = 1e-3, jump: float = JUMP, degree: str = "out", mode: str = "sync", variant: str = "standard", classes: int = 4, seed: int = 7, max_steps: int = 200, ledger: RunLedger | None = None) -> DataFrame:
+def gas(net: Network, tolerance: float = 1e-3, jump: float = JUMP, degree: str = "out", mode: str = "sync", variant: str = "standard", classes: int = 4, seed: int = 7, max_steps: int = 200, salt: int = 1, ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
     """Pull over in-arcs; a vertex that moves by more than tolerance signals its out-neighbours. variant "delta": a vertex's sum
-    is kept, and neighbours send what their share has changed by. A negative tolerance runs all max_steps."""
+    is kept, and neighbours send what their share has changed by. A negative tolerance runs all max_steps. salt: parts in which
+    the sums of vertices with many in-arcs are made first."""
     arcs, state = _start(net, degree)
     out = gas_engine.run(
         arcs, state, F.col("value") * F.col("share"), F.sum, _rule(jump), F.abs(F.col("new") - F.col("value")) > tolerance,
         mode=variant, classes=classes if mode == "async" else 1, seed=seed, max_steps=max_steps,
-        change=(F.col("value") - F.col("old")) * F.col("share"), merge=lambda a, b: a + b, ledger=ledger,
+        change=(F.col("value") - F.col("old")) * F.col("share"), merge=lambda a, b: a + b, salt=salt, ledger=ledger, keeper=keeper,
     )
     return _done(out)
 
 
-def bsp(net: Network, iterations: int = 10, halt: str = "fixed", tolerance: float = 1e-3, jump: float = JUMP, degree: str = "out", ledger: RunLedger | None = None) -> DataFrame:
+def bsp(net: Network, iterations: int = 10, halt: str = "fixed", tolerance: float = 1e-3, jump: float = JUMP, degree: str = "out", ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
     """All vertices stay active until the global criterion holds: a number of supersteps, or the largest change."""
     arcs, state = _start(net, degree)
-    return _done(bsp_engine.run(arcs, state, F.col("value") * F.col("share"), F.sum, _rule(jump), halt=halt, max_supersteps=iterations, tolerance=tolerance, ledger=ledger))
+    return _done(bsp_engine.run(arcs, state, F.col("value") * F.col("share"), F.sum, _rule(jump), halt=halt, max_supersteps=iterations, tolerance=tolerance, ledger=ledger, keeper=keeper))
 
 
 def _sweep_kernel(jump: float):
@@ -118,29 +121,31 @@ def _sweep_kernel(jump: float):
     return kernel
 
 
-def block(net: Network, blocks: DataFrame, supersteps: int = 50, tolerance: float = 1e-9, jump: float = JUMP, degree: str = "out", ledger: RunLedger | None = None) -> DataFrame:
-    """Fresh scores inside a block, those of the superstep before from other blocks."""
+def block(net: Network, blocks: DataFrame, supersteps: int = 1000, tolerance: float = 1e-9, jump: float = JUMP, degree: str = "out", ledger: RunLedger | None = None, keeper: Checkpointer | None = None) -> DataFrame:
+    """Fresh scores inside a block, those of the superstep before from other blocks; ends when no score moves by more than tolerance."""
     arcs, state = _start(net, degree)
     placed = written(block_engine.arcs_by_block(arcs, blocks), "block-shares")
     state = written(state.join(blocks, "id").select("id", "block", "value"), "block-0")
-    return _done(block_engine.run(placed, state, _sweep_kernel(jump), "id long, block int, value double, old double", supersteps, tolerance, ledger))
+    return _done(block_engine.run(placed, state, _sweep_kernel(jump), "id long, block int, value double, old double", supersteps, tolerance, ledger, keeper))
 
 
 def accumulative(net: Network, tolerance: float = 1e-9, jump: float = JUMP, degree: str = "out", max_steps: int = 300, ledger: RunLedger | None = None) -> DataFrame:
     """Scores grow by residuals: each step adds a vertex's residual and passes on its damped shares, until little is left."""
     arcs, state = _start(net, degree)
     ledger = ledger or RunLedger("pagerank-accumulative")
-    state = written(state.select("id", F.lit(0.0).alias("value"), F.lit(jump).alias("rest")), "rest-0")
+    state, _ = cut(state.select("id", F.lit(0.0).alias("value"), F.lit(jump).alias("rest")), "rest-0", arcs)
     for k in range(1, max_steps + 1):
         got = state.where("rest > 0").join(arcs, F.col("id") == arcs["src"]).groupBy(arcs["dst"].alias("id")).agg(F.sum(F.col("rest") * F.col("share")).alias("msg"))
         after = state.join(got, "id", "left").select("id", (F.col("value") + F.col("rest")).alias("value"), ((1 - jump) * F.coalesce("msg", F.lit(0.0))).alias("rest"))
-        after, seen = cut(after, f"rest-{k}", rest=F.sum("rest"), n=F.count("*"), active=F.count_if(F.col("rest") > 0))
+        after, seen = cut(after, f"rest-{k}", arcs, rest=F.sum("rest"), n=F.count("*"), active=F.count_if(F.col("rest") > 0))
         ledger.note(active=seen["active"], updates=seen["active"], delta_l1=seen["rest"])
         drop(state)
         state = after
         if seen["rest"] < tolerance * seen["n"]:
+            ledger.close("converged")
             break
-    ledger.close()
+    else:
+        ledger.close("cut off")
     return _done(state.withColumn("value", F.col("value") + F.col("rest")))
 
 

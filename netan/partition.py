@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from netan.engines.loop import cut, draw
+from netan.engines.loop import cut, draw, placed_arcs, slim
 from netan.network import Network
 from netan.storage import drop, written
 
@@ -42,8 +42,7 @@ def by_label_propagation(net: Network, k: int, slack: float = 0.1, rounds: int =
         go = moves.join(free, "to").where(draw(seed, F.lit(-r), "id") < F.col("chance") * (1 << 32)).select("id", "to")
         after, seen = cut(state.join(go, "id", "left").select("id", F.coalesce("to", "block").alias("block"), F.col("to").isNotNull().alias("moved")), f"blocks-{r}", moved=F.count_if("moved"))
         drop(state)
-        state = after.select("id", "block")
-        state._netan_path = after._netan_path
+        state = slim(after, "id", "block")
         if not seen["moved"]:
             break
     return state
@@ -79,3 +78,28 @@ def messages(net: Network, blocks: DataFrame) -> DataFrame:
     arcs = net.undirected().mirrored().join(blocks.toDF("src", "s"), "src").join(blocks.toDF("dst", "d"), "dst")
     per = arcs.groupBy("s", "dst").agg(F.count("*").alias("c"), F.count_if(F.col("s") != F.col("d")).alias("x"))
     return per.agg(F.sum("c").alias("raw"), F.count("*").alias("combined"), F.sum("x").alias("cross"))
+
+
+def colouring(net: Network, seed: int = 5, max_rounds: int = 1000) -> DataFrame:
+    """(id, colour): no two neighbours have one colour. In each round, open vertices whose hash is above those of all their open
+    neighbours take the round's colour; so two neighbours never take it together."""
+    arcs = placed_arcs(net.undirected().mirrored().select("src", "dst"))
+    state, seen = cut(net.vertices().select("id", F.lit(None).cast("int").alias("colour")), "colours-0", arcs, open=F.count("*"))
+    for k in range(max_rounds):
+        if not seen["open"]:
+            return state
+        rank = F.struct(draw(seed, F.lit(k), "id"), F.col("id"))
+        open_ = state.where("colour IS NULL").select("id", rank.alias("rank"))
+        above = open_.join(arcs, open_["id"] == arcs["src"]).groupBy(arcs["dst"].alias("id")).agg(F.max("rank").alias("top"))
+        wins = F.col("colour").isNull() & (F.col("top").isNull() | (rank > F.col("top")))
+        after = state.join(above, "id", "left").select("id", F.when(wins, k).otherwise(F.col("colour")).cast("int").alias("colour"))
+        after, seen = cut(after, f"colours-{k + 1}", arcs, open=F.count_if(F.col("colour").isNull()))
+        drop(state)
+        state = after
+    raise RuntimeError(f"vertices are left without a colour after {max_rounds} rounds")
+
+
+def clashes(net: Network, colours: DataFrame) -> DataFrame:
+    """(vertices, clashes): vertices that have a colour, and edges whose ends have the same."""
+    ends = net.undirected().edges.join(colours.toDF("src", "a"), "src").join(colours.toDF("dst", "b"), "dst")
+    return colours.agg(F.count("colour").alias("vertices")).crossJoin(ends.agg(F.count_if(F.col("a") == F.col("b")).alias("clashes")))

@@ -65,7 +65,10 @@ SQL: dict[str, str | tuple[str, str]] = {
     "rel_null": "SELECT c_custkey, nullif(c_mktsegment, 'BUILDING') AS seg, coalesce(nullif(c_nationkey, 3), -1) AS k FROM customer",
     "rel_case": "SELECT CASE WHEN p_size < 10 THEN 'small' WHEN p_size < 30 THEN 'medium' ELSE 'large' END AS kind, count(*) AS c FROM part GROUP BY 1",
     "rel_cast": "SELECT s_suppkey, cast(s_nationkey AS DOUBLE) AS d, cast(s_suppkey AS VARCHAR(20)) AS t FROM supplier",
-    "rel_array": ("SELECT doc_id, array_distinct(slice(split(text, ' '), 1, 5)) AS w FROM documents WHERE doc_id < 100", None),
+    "rel_array": ("SELECT doc_id, array_join(array_sort(array_distinct(split(text, ' '))), ' ') AS words FROM documents", "SELECT doc_id, array_to_string(list_sort(list_distinct(string_split(text, ' '))), ' ') AS words FROM documents"),
+    "rel_agg_approx_distinct": ("SELECT count(*) AS suppliers, count_if(abs(approx - exact) <= 0.2 * exact) AS within FROM (SELECT l_suppkey, approx_count_distinct(l_partkey, 0.02) AS approx, count(DISTINCT l_partkey) AS exact FROM lineitem GROUP BY 1)", "SELECT count(DISTINCT l_suppkey) AS suppliers, count(DISTINCT l_suppkey) AS within FROM lineitem"),
+    "rel_agg_approx_percentile": ("SELECT a.o_orderpriority, abs(a.p - b.p) <= 0.02 * b.p AS within FROM (SELECT o_orderpriority, percentile_approx(o_totalprice, 0.5, 10000) AS p FROM orders GROUP BY 1) a JOIN (SELECT o_orderpriority, percentile(o_totalprice, 0.5) AS p FROM orders GROUP BY 1) b ON a.o_orderpriority = b.o_orderpriority", "SELECT DISTINCT o_orderpriority, true AS within FROM orders"),
+    "rel_join_skewed": ("SELECT /*+ MERGE(c) */ e.event_type, count(*) AS pairs, sum(c.n) AS weight FROM events e JOIN (SELECT event_type, user_id % 7 AS g, count(*) AS n FROM events GROUP BY 1, 2) c ON e.event_type = c.event_type GROUP BY 1", "SELECT e.event_type, count(*) AS pairs, sum(c.n)::BIGINT AS weight FROM events e JOIN (SELECT event_type, user_id % 7 AS g, count(*) AS n FROM events GROUP BY 1, 2) c ON e.event_type = c.event_type GROUP BY 1"),
     "rel_map": ("SELECT l_orderkey, size(map_from_entries(collect_list(struct(l_partkey, c)))) AS parts FROM (SELECT l_orderkey, l_partkey, count(*) AS c FROM lineitem GROUP BY 1, 2) GROUP BY 1", "SELECT l_orderkey, count(DISTINCT l_partkey)::INT AS parts FROM lineitem GROUP BY 1"),
     "rel_struct": ("SELECT o_custkey, max(struct(o_totalprice, o_orderkey)).o_orderkey AS best FROM orders GROUP BY 1", "SELECT o_custkey, arg_max(o_orderkey, struct_pack(a := o_totalprice, b := o_orderkey)) AS best FROM orders GROUP BY 1"),
     "rel_explode": ("SELECT w, count(*) AS c FROM (SELECT explode(split(text, ' ')) AS w FROM documents) GROUP BY 1 HAVING count(*) > 200", "SELECT w, count(*) AS c FROM (SELECT unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY 1 HAVING count(*) > 200"),
@@ -163,6 +166,27 @@ def udf_table(spark, sf_dir):
     return spark.sql("SELECT * FROM netan_runs(TABLE(SELECT user_id, event_type, ts, event_id FROM events) PARTITION BY user_id ORDER BY (ts, event_id))")
 
 
+def udf_grouped_aggregate(spark, sf_dir):
+    """A grouped aggregate in Arrow: the spread of a user's values."""
+
+    @F.arrow_udf("double")
+    def spread(values: pa.Array) -> float:
+        return pa.compute.max(values).as_py() - pa.compute.min(values).as_py()
+
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").groupBy("user_id").agg(spread("value").alias("s"))
+    return rows.select("user_id", F.round("s", 6).alias("spread"))
+
+
+def salted_join(spark, sf_dir):
+    """Events with their type's number of events: a type may hold a third of all rows, so its rows are dealt over salts, and the
+    small side is there once for each."""
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", "event_type")
+    counts = events.groupBy("event_type").agg(F.count("*").alias("n"))
+    many = counts.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(15))))
+    rows = events.withColumn("salt", F.pmod(F.xxhash64("event_id"), F.lit(16)).cast("int")).join(many.hint("merge"), ["event_type", "salt"])
+    return rows.select("event_id", "n")
+
+
 def udf_sql(spark, sf_dir):
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION netan_share(a DOUBLE, b DOUBLE) RETURNS DOUBLE RETURN CASE WHEN b = 0 THEN 0 ELSE a / b END")
     spark.read.parquet(f"{sf_dir}/lineitem.parquet").createOrReplaceTempView("lineitem")
@@ -177,6 +201,8 @@ OTHERS = {
     "udf_grouped": (udf_grouped, "SELECT event_type, round(max(value) - min(value), 6) AS spread FROM events GROUP BY 1"),
     "udf_cogrouped": (udf_cogrouped, "SELECT k, sum(c)::BIGINT AS customers, sum(s)::BIGINT AS suppliers FROM (SELECT c_nationkey AS k, 1 AS c, 0 AS s FROM customer UNION ALL SELECT s_nationkey, 0, 1 FROM supplier) GROUP BY 1"),
     "udf_table": (udf_table, "WITH a AS (SELECT user_id, event_type, ts, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - row_number() OVER (PARTITION BY user_id, event_type ORDER BY ts, event_id) AS g FROM events) SELECT user_id, max(c)::INT AS longest FROM (SELECT user_id, event_type, g, count(*) AS c FROM a GROUP BY 1, 2, 3) GROUP BY 1"),
+    "udf_grouped_aggregate": (udf_grouped_aggregate, "SELECT user_id, round(max(value) - min(value), 6) AS spread FROM events GROUP BY 1"),
+    "rel_join_salted": (salted_join, "SELECT event_id, count(*) OVER (PARTITION BY event_type) AS n FROM events"),
     "udf_sql": (udf_sql, "SELECT l_suppkey, round(sum(l_discount) / sum(l_tax), 6) AS s FROM lineitem GROUP BY 1"),
 }
 

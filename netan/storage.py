@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: dict[str, str] = {}
 _WRITTEN: list[tuple[SparkSession, str]] = []
+_TABLES: dict[str, str] = {}
 _SCRATCH: list[set[str]] = []
 
 
@@ -43,13 +44,30 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def lasting(df: DataFrame, name: str) -> DataFrame:
-    """`written`, but the table outlives the scratch block."""
+    """`written`, but the table outlives the innermost scratch block; one around that will drop it."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/netan/{uuid.uuid4().hex}-{name}"
     _WRITTEN.append((spark, path))
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._netan_path = path
+    if len(_SCRATCH) > 1:
+        _SCRATCH[-2].add(path)
+    return out
+
+
+def bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
+    """`written` in so many buckets by the key: a join or group on it with another such table needs no exchange."""
+    spark, number = df.sparkSession, uuid.uuid4().hex
+    path, table = f"{shared_dir(spark)}/netan/{number}-{name}", f"netan_{number}"
+    _WRITTEN.append((spark, path))
+    _TABLES[path] = table
+    df.write.format("parquet").bucketBy(buckets, key).option("path", path).saveAsTable(table)
+    out = spark.table(table)
+    out._netan_path = path
+    out._netan_buckets = buckets
+    if _SCRATCH:
+        _SCRATCH[-1].add(path)
     return out
 
 
@@ -76,6 +94,8 @@ def drop(*tables: DataFrame) -> None:
 
 
 def _delete(spark: SparkSession, path: str) -> None:
+    if path in _TABLES:
+        spark.sql(f"DROP TABLE IF EXISTS {_TABLES.pop(path)}")
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from netan.contraction import contract
-from netan.storage import shared_dir, written
+from netan.storage import drop, shared_dir, written
 
 
 def read_events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,22 +20,43 @@ def read_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def replay(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """The stream's whole output as a table. Append goes to files; complete and update are kept batch by batch."""
-    spark, at = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/netan/stream-{uuid.uuid4().hex}"
+def replay(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = (), at: str | None = None) -> DataFrame:
+    """The stream's whole output as a table. Append goes to files; of complete mode the last batch counts, of update mode the last row
+    of each of the keys. at: the folder of an earlier run of the same stream, which this one carries on."""
+    spark = stream.sparkSession
+    at = at or f"{shared_dir(spark)}/netan/stream-{uuid.uuid4().hex}"
     writer = stream.writeStream.option("checkpointLocation", f"{at}/state").trigger(availableNow=True).outputMode(mode)
     if mode == "append":
         query = writer.format("parquet").option("path", f"{at}/out").start()
         query.awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{at}/out")
-    last = {}
+    if mode == "update" and not keys:
+        raise ValueError("rows of update mode need keys")
+    held = _HELD.setdefault(at, {"table": spark.createDataFrame([], stream.schema)})
 
     def keep(batch: DataFrame, number: int) -> None:
-        last["table"] = written(batch, f"batch-{number}")
+        before = held["table"]
+        rows = batch if mode == "complete" else batch.unionByName(before.join(batch, list(keys), "left_anti"))
+        held["table"] = written(rows, f"batch-{number}")
+        drop(before)
 
     query = writer.foreachBatch(keep).start()
     query.awaitTermination()
-    return last["table"]
+    return held["table"]
+
+
+#: What runs that write batch by batch have so far, by their folder.
+_HELD: dict[str, dict[str, DataFrame]] = {}
+
+
+def in_parts(spark: SparkSession, parts: list[DataFrame], build: Callable[[DataFrame], DataFrame], mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Events that come in parts: after each, the stream is started again and carries on from its checkpoint."""
+    at, out = f"{shared_dir(spark)}/netan/stream-{uuid.uuid4().hex}", None
+    for part in parts:
+        part.write.mode("append").parquet(f"{at}/in")
+        rows = spark.readStream.schema(part.schema).parquet(f"{at}/in").withColumn("ts", F.col("ts").cast("timestamp"))
+        out = replay(build(rows), mode, keys, at)
+    return out
 
 
 def window_counts(stream: DataFrame, size: str, slide: str | None = None, late: str = "10 minutes") -> DataFrame:
@@ -110,6 +133,60 @@ def incremental_components(spark, sf_dir):
     return held["labels"]
 
 
+def _events(spark, sf_dir):
+    return spark.read.parquet(f"{sf_dir}/events.parquet")
+
+
+def _by_time(events: DataFrame, parts: int = 3) -> list[DataFrame]:
+    """The events in so many stretches of time of one length."""
+    span = events.agg(F.min("ts").alias("a"), F.max("ts").alias("b")).first()
+    cuts = [span["a"] + (span["b"] - span["a"]) * k / parts for k in range(1, parts)]
+    place = sum((F.col("ts") >= F.lit(c)).cast("int") for c in cuts) if cuts else F.lit(0)
+    return [events.where(place == k) for k in range(parts)]
+
+
+def late(spark, sf_dir):
+    """(start, n) by hours; events older than ten days come after the newest ones and are dropped as late."""
+    events = _events(spark, sf_dir)
+    newest = events.agg(F.max("ts").alias("m")).first()["m"]
+    recent = F.col("ts") >= F.lit(newest) - F.expr("INTERVAL 10 DAYS")
+    parts = [events.where(recent & (F.col("event_id") % 2 == 0)), events.where(recent & (F.col("event_id") % 2 == 1)), events.where(~recent)]
+    hours = lambda rows: rows.withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n")
+    return _ntz(in_parts(spark, parts, hours, "update", ("start",)), "start")
+
+
+def handed_on(stream: DataFrame) -> DataFrame:
+    """(event_type, src, dst): users of two events of a type, one after the other; the last user of a type is its state."""
+
+    def follow(key, batches, state):
+        import pandas as pd
+
+        rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
+        users = ([state.get[0]] if state.exists else []) + rows["user_id"].tolist()
+        state.update((users[-1],))
+        pairs = [(key[0], a, b) for a, b in zip(users, users[1:]) if a != b]
+        yield pd.DataFrame(pairs, columns=["event_type", "src", "dst"]).astype({"src": "int64", "dst": "int64"})
+
+    rows = stream.select("event_type", "ts", "event_id", "user_id").groupBy("event_type")
+    return rows.applyInPandasWithState(follow, "event_type string, src long, dst long", "user long", "append", GroupStateTimeout.NoTimeout)
+
+
+def stateful_handoff(spark, sf_dir):
+    return in_parts(spark, _by_time(_events(spark, sf_dir)), handed_on)
+
+
+def incremental_degree(spark, sf_dir):
+    """(user_id, events, types): running numbers of each user's events, and of their types."""
+    totals = lambda rows: rows.groupBy("user_id").agg(F.count("*").alias("events"), F.size(F.collect_set("event_type")).cast("long").alias("types"))
+    return in_parts(spark, _by_time(_events(spark, sf_dir)), totals, "update", ("user_id",))
+
+
+def restarted(spark, sf_dir):
+    """(event_type, n, last): a stream that is stopped and started again counts no event twice and none too few."""
+    totals = lambda rows: rows.groupBy("event_type").agg(F.count("*").alias("n"), F.max("event_id").alias("last"))
+    return in_parts(spark, _by_time(_events(spark, sf_dir), 2), totals, "complete")
+
+
 QUERIES = {
     "str_tumbling": (tumbling, "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
     "str_sliding": (sliding, "SELECT start, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 30 MINUTE, ts), time_bucket(INTERVAL 30 MINUTE, ts) - INTERVAL 30 MINUTE]) AS start FROM events) GROUP BY 1, 2"),
@@ -117,6 +194,10 @@ QUERIES = {
     "str_dedupe": (dedupe, "SELECT DISTINCT user_id, event_type, date_trunc('second', ts) AS ts FROM events"),
     "str_stream_static": (stream_static, "SELECT event_id, user_id, (SELECT count(*) FROM events i WHERE i.user_id = e.user_id) AS events FROM events e WHERE event_type = 'error'"),
     "str_stream_stream": (stream_stream, "SELECT a.event_id AS view, b.event_id AS click FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR"),
+    "str_late": (late, "SELECT date_trunc('hour', ts) AS start, count(*) AS n FROM events WHERE ts >= (SELECT max(ts) FROM events) - INTERVAL 10 DAY GROUP BY 1"),
+    "str_handoff": (stateful_handoff, "SELECT event_type, src, dst FROM (SELECT event_type, user_id AS src, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS dst FROM events) WHERE dst IS NOT NULL AND src <> dst"),
+    "str_degree": (incremental_degree, "SELECT user_id, count(*) AS events, count(DISTINCT event_type) AS types FROM events GROUP BY 1"),
+    "str_restart": (restarted, "SELECT event_type, count(*) AS n, max(event_id) AS last FROM events GROUP BY 1"),
     "str_incremental_cc": (incremental_components, None),
 }
 

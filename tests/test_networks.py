@@ -2,11 +2,17 @@
 
 import numpy as np
 import pytest
+from pyspark import StorageLevel
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from netan import clustering, communities, components, measures, pagerank, partition, stats
+from netan import clustering, communities, components, measures, ordering, pagerank, partition, stats, storage
 from netan.baselines import shared_memory
 from netan.catalogue import COMPONENT_METHODS
+from netan.engines import bsp as bsp_engine
+from netan.engines import gas as gas_engine
+from netan.engines import loop
+from netan.engines.dataflow import BrokenContract, Plan
 from netan.engines.loop import bulk
 from netan.generate import edge_attachment
 from netan.measures import RunLedger
@@ -159,12 +165,20 @@ def test_generator(spark):
 
 
 def test_run_resumes_after_a_fault(spark, tmp_path):
-    n = net(spark, [(k, k + 1) for k in range(12)]).kept()
-    keeper = Checkpointer(f"file://{tmp_path}/run", every=2)
+    n = net(spark, [(k, k + 1) for k in range(8)]).kept()
+    want = [(k, 0) for k in range(9)]
+    for name, run in (("bsp", components.bsp), ("gas", components.gas), ("delta", lambda n, **o: components.gas(n, "delta", **o))):
+        path, whole = f"file://{tmp_path}/{name}", RunLedger()
+        with pytest.raises(RuntimeError):
+            run(n, keeper=Checkpointer(path, every=2, fail_at=5))
+        assert Checkpointer(path).resume_point(spark)[0] == 4
+        assert rows(run(n, keeper=Checkpointer(path, every=2), ledger=whole)) == want
+        assert whole.steps[-1].status == "converged" and len(whole.steps) <= 6  # what was kept is not done again
+    ring = net(spark, [(1, 2), (2, 3), (3, 1), (1, 3)], True).kept()
+    blocks, path = partition.by_modulo(ring, 2), f"file://{tmp_path}/block"
     with pytest.raises(RuntimeError):
-        keeper.components(n, fail_at=5)
-    assert keeper.resume_point()[0] == 4
-    assert rows(keeper.components(n)) == [(k, 0) for k in range(13)]
+        pagerank.block(ring, blocks, keeper=Checkpointer(path, every=2, fail_at=3))
+    assert measures.score_distance(pagerank.block(ring, blocks, keeper=Checkpointer(path)), shared_memory.pagerank(ring, 1e-12)).first()["delta_max"] < 1e-7
     again = snapshot(n, f"file://{tmp_path}/snap")
     assert rows(again.edges) == rows(n.edges)
 
@@ -181,6 +195,180 @@ def test_budget_marks_a_run_infeasible(spark):
     assert ledger.steps[-1].status == "infeasible"
 
 
+def test_no_run_that_was_cut_off_calls_itself_converged(spark):
+    path = net(spark, [(k, k + 1) for k in range(6)]).kept()
+    square = net(spark, [(1, 2), (2, 3), (3, 4), (1, 4)]).kept()
+    runs = {
+        "bsp": lambda x: components.bsp(path, max_supersteps=2, ledger=x), "dataflow": lambda x: components.dataflow(path, max_rounds=2, ledger=x), "msr": lambda x: components.msr(path, 2, ledger=x),
+        "power": lambda x: pagerank.power(path, 2, tolerance=1e-9, ledger=x), "bsp ranks": lambda x: pagerank.bsp(path, 2, "tolerance", 1e-9, ledger=x), "gas": lambda x: pagerank.gas(path, 1e-9, max_steps=2, ledger=x),
+        "block": lambda x: pagerank.block(path, partition.by_modulo(path, 2), 2, ledger=x), "accumulative": lambda x: pagerank.accumulative(path, max_steps=2, ledger=x),
+        "labels": lambda x: communities.bsp(square, 3, ledger=x), "sweep": lambda x: communities.sweep(path, 1, ledger=x), "labels by block": lambda x: communities.block(path, partition.by_modulo(path, 2), 1, ledger=x),
+    }
+    for name, run in runs.items():
+        ledger = RunLedger(name)
+        run(ledger)
+        assert ledger.steps[-1].status == "cut off", name
+        assert ledger.df(spark).count() == len(ledger.steps)
+    ledger = RunLedger()
+    pagerank.power(path, 2, ledger=ledger)
+    assert ledger.steps[-1].status == "fixed"
+    ledger = RunLedger()
+    ledger.note(active=None, delta_max=0, updates=0.0, delta_l1=None)
+    assert ledger.df(spark).first()["delta_max"] == 0.0
+
+
+def test_period_of_labels(spark):
+    history = []
+    communities.bsp(net(spark, [(0, k) for k in range(1, 6)]), 6, halt="fixed", history=history)
+    assert communities.oscillation(history) == (2, 6)
+    communities.bsp(net(spark, TWO[:3]), 6, history=(history := []))
+    assert communities.oscillation(history) == (1, 0)
+
+
+def test_colours_and_sides(spark):
+    rng = np.random.default_rng(6)
+    n = net(spark, [(int(a), int(b)) for a, b in rng.integers(0, 20, (60, 2))]).kept()
+    colours = partition.colouring(n)
+    assert rows(partition.clashes(n, colours)) == [(n.vertices().count(), 0)]
+    ledger = RunLedger()
+    found = communities.sweep(n, 50, tie="keep", colours=colours, ledger=ledger)
+    assert ledger.steps[-1].status == "converged" and communities.unstable(n, found).first()["unstable"] == 0
+    star = net(spark, [(0, k) for k in range(1, 6)])
+    assert {c for _, c in rows(communities.sweep(star, 9, sides=(F.col("id") > 0).cast("int"), tie="keep"))} == {1}
+
+
+def test_pulling_over_either_side(spark):
+    arcs = spark.createDataFrame([(1, 2), (2, 3), (4, 2)], "src long, dst long")
+    state = spark.createDataFrame([(k, k) for k in range(1, 5)], "id long, value long")
+    best = F.greatest("value", F.coalesce("msg", "value"))
+    run = lambda **o: rows(gas_engine.run(arcs, state, F.col("value"), F.max, best, **o))
+    assert run() == [(1, 1), (2, 4), (3, 4), (4, 4)]
+    assert run(pull_over="out", notify_over="in") == [(1, 3), (2, 3), (3, 3), (4, 4)]
+    assert run(pull_over="out", notify_over="in", mode="message") == [(1, 3), (2, 3), (3, 3), (4, 4)]
+    assert run(pull_over="both", notify_over="both") == [(k, 4) for k in range(1, 5)]
+    lists = gas_engine.run(arcs, state.withColumn("value", F.array("value")), F.col("src"), None, F.col("msg"), max_steps=1)
+    assert {r.id: r.value for r in lists.collect()} == {1: None, 2: [1, 4], 3: [2], 4: None}
+    with pytest.raises(ValueError):
+        run(pull_over="out", mode="message")
+
+
+def test_salted_folds_give_the_same(spark):
+    star = net(spark, [(k, 0) for k in range(1, 40)] + [(0, 1)], True).kept()
+    assert rows(pagerank.gas(star, -1.0, max_steps=4).withColumn("score", F.round("score", 9))) == rows(pagerank.gas(star, -1.0, max_steps=4, salt=5).withColumn("score", F.round("score", 9)))
+
+
+def test_aggregators_and_master(spark):
+    path = net(spark, [(k, k + 1) for k in range(6)]).kept()
+    ledger, arcs = RunLedger(), path.mirrored().select("src", "dst")
+    state = path.vertices().select("id", F.col("id").alias("value"))
+    bsp_engine.run(arcs, state, F.col("value"), F.min, F.least("value", F.coalesce("msg", "value")), ledger=ledger, aggregators={"total": F.sum("value")}, master=lambda k, seen: seen["total"] < 12)
+    assert [x["total"] for x in ledger.aggregates] == [15, 10] and ledger.steps[-1].status == "converged"
+
+
+def test_messages_are_counted(spark):
+    star = net(spark, [(0, k) for k in range(1, 5)]).kept()
+    ledger = RunLedger(messages=True, apart=F.pmod("src", F.lit(2)) != F.pmod("dst", F.lit(2)))
+    components.bsp(star, ledger=ledger)
+    assert [(s.messages_raw, s.messages_combined, s.messages_cross) for s in ledger.steps] == [(8, 5, 4), (4, 1, 2)]
+    for variant, mode in (("standard", "sync"), ("message", "sync"), ("delta", "sync"), ("message", "async"), ("delta", "async")):
+        ledger = RunLedger(messages=True)
+        components.gas(star, variant, mode, ledger=ledger)
+        assert ledger.total("messages_raw") >= ledger.total("messages_combined") > 0
+
+
+def exchanges(plan):
+    return [x.strip() for x in plan.splitlines() if "Exchange hashpartitioning" in x or "BroadcastExchange" in x]
+
+
+def test_supersteps_deal_out_messages_only(spark, monkeypatch):
+    """With arcs and states in buckets, one exchange is left in a superstep: that of combined messages."""
+    monkeypatch.setattr(loop, "BUCKETED_ROWS", 0)
+    monkeypatch.setattr(gas_engine, "SENT_VERTICES", 0)
+    plans, store = {}, loop.bucketed
+
+    def spy(df, name, key, buckets):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        return store(df, name, key, buckets)
+
+    monkeypatch.setattr(loop, "bucketed", spy)
+    n = net(spark, TWO).kept()
+    want = rows(components.contract(n))
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        assert rows(components.bsp(n)) == rows(components.gas(n)) == rows(components.gas(n, "message", "async")) == rows(components.dataflow(n)) == want
+        ranks = rows(pagerank.power(n, 2, degree="total").withColumn("score", F.round("score", 9)))
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    for name in ("bsp-1", "gas-1-0", "gas-1-0-signals", "flow-1", "power-1", "sweep-1-0"):
+        assert len(exchanges(plans[name])) == 1, (name, plans[name])
+    assert ranks == rows(pagerank.power(n, 2, degree="total").withColumn("score", F.round("score", 9)))
+
+
+def test_contracts_are_held(spark):
+    df = spark.createDataFrame([(1, 2), (1, 3), (2, 5)], "k long, v long")
+    node = Plan.source(df)
+    good = Plan.reduce(node, ["k"], lambda x: x.groupBy("k").agg(F.sum("v").alias("v")))
+    assert rows(Plan.result(good, checked=True)) == [(1, 5), (2, 5)]
+    window = Plan.reduce(node, ["k"], lambda x: x.withColumn("r", F.row_number().over(Window.partitionBy("k").orderBy("v"))).where("r = 1").drop("r"))
+    assert rows(Plan.result(window, checked=True)) == [(1, 2), (2, 5)]
+    for bad in (Plan.reduce(node, ["k"], lambda x: x.groupBy("v").count()), Plan.map(node, F.sum("v")), Plan.reduce(node, ["k"], lambda x: x.distinct())):
+        with pytest.raises(BrokenContract):
+            Plan.result(bad, checked=True)
+    kept = Plan.stored(good.keeps("k"))
+    assert rows(kept) == [(1, 5), (2, 5)]
+    assert not exchanges(kept.groupBy("k").agg(F.max("v"))._jdf.queryExecution().executedPlan().toString())
+
+
+def test_blocks_of_triangles(spark):
+    rng = np.random.default_rng(9)
+    n = net(spark, [(int(a), int(b)) for a, b in rng.integers(0, 22, (110, 2))]).kept()
+    for k in (1, 2, 5):
+        assert rows(clustering._block_corners(n, partition.by_modulo(n, k))) == rows(clustering._corners(n, "ordered"))
+
+
+def test_meter_and_sizes(spark, tmp_path):
+    with measures.ClusterMeter(spark, 0.2) as meter:
+        spark.range(2_000_000).groupBy(F.col("id") % 7).count().collect()
+    assert meter.use["cpu"] > 0 and meter.use["network_kbs"] > 0 and 0 <= meter.use["evenness"] <= 1
+    spark.range(10).write.parquet(f"file://{tmp_path}/t")
+    assert measures.on_disk(spark, f"file://{tmp_path}/t") > 0
+    assert rows(measures.edge_list_bytes(net(spark, [(1, 20)]).edges)) == [(1, 5)]
+    times = spark.createDataFrame([("f", "a", 2.0), ("f", "b", 6.0)], "fixture string, method string, seconds double")
+    assert rows(measures.factors(times, "a")) == [("f", "a", 2.0, 1.0), ("f", "b", 6.0, 3.0)]
+    runs = spark.createDataFrame([("a", 1, 8.0), ("a", 4, 2.0)], "method string, workers int, seconds double")
+    assert rows(measures.speedups(runs)) == [("a", 1, 8.0, 1.0), ("a", 4, 2.0, 4.0)]
+    assert measures.timed(lambda: (_ for _ in ()).throw(MemoryError()))[1] == "infeasible"
+
+
+def test_storage_levels(spark):
+    n = net(spark, TWO)
+    for level in (StorageLevel.DISK_ONLY, StorageLevel.MEMORY_AND_DISK):
+        held = n.kept(level)
+        assert rows(components.bsp(held)) == rows(components.contract(n))
+        held.edges.unpersist()
+
+
+def test_running_sums_and_ranks(spark):
+    df = spark.createDataFrame([(k, k % 5) for k in range(40)], "id long, v long").repartition(4)
+    sums = dict(rows(ordering.running(df, [F.col("id")], F.col("v"), "s").select("id", "s")))
+    assert all(sums[k] == sum(x % 5 for x in range(k)) for k in range(40))
+    assert rows(ordering.numbered(df, "v", "k")) == [(k, k + 1) for k in range(5)]
+    assert {r.id: r.p for r in ordering.ranked(df, "v", "p").collect()} == {k: 1 + 8 * (4 - k % 5) for k in range(40)}
+
+
+def test_scratch_tables_go(spark):
+    with storage.scratch():
+        inner = storage.written(spark.range(3), "gone")
+        with storage.scratch():
+            outer = storage.lasting(spark.range(4), "gone-later")
+        assert outer.count() == 4
+    out = storage.written(spark.range(5), "stays")
+    for df, there in ((inner, False), (outer, False), (out, True)):
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(df._netan_path)
+        assert where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where) == there
+
+
 def test_plans(spark):
     n = net(spark, TWO).kept()
     plan = n.edges.where("src > 3").select("dst")._jdf.queryExecution().executedPlan().toString()
