@@ -11,6 +11,7 @@ from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from netan.engines.bsp import inbox
 from netan.engines.loop import cut, sweep_class
@@ -28,7 +29,8 @@ def turned(arcs: DataFrame, side: str, same: str) -> DataFrame:
         raise ValueError(side)
     if side == same:
         return arcs
-    swapped = arcs.withColumnsRenamed({"src": "dst", "dst": "src"}).select(*arcs.columns)
+    other = {"src": "dst", "dst": "src"}
+    swapped = arcs.select(*(F.col(other.get(c, c)).alias(c) for c in arcs.columns))
     return swapped if side != "both" else arcs.union(swapped)
 
 
@@ -65,7 +67,8 @@ def run(
     pulls, tells = turned(arcs, pull_over, "in"), turned(arcs, notify_over, "out")
     fold = fold or (lambda msg: F.sort_array(F.collect_list(msg)))
     more = [c for c in state.columns if c not in ("id", "value")]
-    old = [F.col("value").alias("old"), F.lit(None).cast(state.schema["value"].dataType).alias("cache")] if mode == "delta" else []
+    kind = state.schema["value"].dataType
+    old = [F.col("value").alias("old"), F.lit(None).cast(kind).alias("cache")] if mode == "delta" else []
     state = state.select("id", *more, "value", F.lit(False).alias("fired"), F.lit(True).alias("signalled"), *old)
     extra = ["old", "cache"] if mode == "delta" else []
     done, state = keeper.begin(state) if keeper else (0, state)
@@ -101,8 +104,9 @@ def run(
             fires = F.col("turn") & (~F.col("new").eqNullSafe(F.col("value")) if signal is None else signal)
             changed = ~F.col("new").eqNullSafe(F.col("value"))
             keep = [F.col("value").alias("old"), "cache"] if mode == "delta" else []
+            moved = F.abs(F.col("new") - F.col("value")).cast("double") if isinstance(kind, T.NumericType) else F.lit(0.0)
             counted = [F.when(F.col("got"), F.col(c)).alias(c) for c in ("raw", "cross")] if ledger.messages else []
-            after = after.select("id", *more, F.col("new").alias("value"), fires.alias("fired"), (F.col("signalled") & ~F.col("turn")).alias("waits"), "turn", "got", changed.alias("diff"), F.abs(F.col("new") - F.col("value")).cast("double").alias("d"), *keep, *counted)
+            after = after.select("id", *more, F.col("new").alias("value"), fires.alias("fired"), (F.col("signalled") & ~F.col("turn")).alias("waits"), "turn", "got", changed.alias("diff"), moved.alias("d"), *keep, *counted)
             counters = {"raw": F.sum("raw"), "cross": F.sum("cross")} if ledger.messages else {}
             after, seen = cut(after, f"gas-{step}-{k}", arcs, updates=F.count_if("turn"), n_changed=F.count_if("diff"), combined=F.count_if("got"), dmax=F.max("d"), **counters)
             woken = tells.join(after.where("fired").select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct().withColumn("woken", F.lit(True))
