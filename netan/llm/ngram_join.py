@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from netan.contraction import contract
-from netan.llm.common import arrow_map, by_bytes, fields, give_back, keyed, row_key, same_row
+from netan.llm.common import arrow_map, by_bytes, fields, keyed, row_key, same_row
 from netan.llm.substring_dedup import BASE, WordHashes, mixed
 from netan.storage import drop, lasting, scratch, written
 
@@ -165,18 +165,17 @@ def _levels(sketches: DataFrame) -> np.ndarray:
     part = arrow_map(sketches, summed, schema)
 
     def met(found: pa.Table) -> pa.Table:
+        """A block's sum, and the logarithm of each counter, in quarters of a power of two."""
         total = sum(np.frombuffer(x, "<u8") for x in found.column("counts").to_pylist())
-        return pa.table({"block": pa.array([found.column("block")[0].as_py()], pa.int32()), "counts": pa.array([total.astype("<u8").tobytes()], pa.binary())})
-
-    out = np.zeros(1 << SKETCH_BITS, np.float32)
-    for r in part.groupBy("block").applyInArrow(met, schema).toArrow().to_pylist():
-        out[r["block"] * SKETCH_BLOCK : (r["block"] + 1) * SKETCH_BLOCK] = np.frombuffer(r["counts"], "<u8")
-    np.maximum(out, 1, out=out)
-    out /= 2 * float(out.mean(dtype=np.float64)) + 8
-    np.ceil(np.log2(out, out=out), out=out)
-    levels = np.clip(out, 0, 60, out=out).astype(np.uint8)
-    give_back()
-    return levels
+        size = np.round(4 * np.log2(np.maximum(total, 1))).astype(np.uint8)
+        return pa.table({"block": pa.array([found.column("block")[0].as_py()], pa.int32()), "sum": pa.array([int(total.sum())], pa.int64()), "sizes": pa.array([size.tobytes()], pa.binary())})
+
+    sizes, total = np.zeros(1 << SKETCH_BITS, np.uint8), 0
+    for r in part.groupBy("block").applyInArrow(met, "block int, sum long, sizes binary").collect():
+        sizes[r["block"] * SKETCH_BLOCK : (r["block"] + 1) * SKETCH_BLOCK] = np.frombuffer(r["sizes"], np.uint8)
+        total += r["sum"]
+    table = np.clip(np.ceil(np.arange(256) / 4 - np.log2(2 * total / len(sizes) + 8)), 0, 60).astype(np.uint8)
+    return table[sizes]
 
 
 def route(rows: DataFrame, levels: np.ndarray, size: int, per_cent: int) -> DataFrame:

@@ -19,7 +19,7 @@ some at a time. Columns beside id, text and lang, those with names used here inc
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -29,9 +29,9 @@ from netan.storage import lasting, scratch, written
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
 START, END, ORDER, BITS = 0, 1, 4, 16
-#: Rows of the model that are sent to the executors at once, if more than one language's: 12 bytes each of order 4, else 16.
+#: Rows of counts whose model is sent to the executors at once, if more than one language's; a row is about 30 bytes of model.
 MOST_ROWS = 8_000_000
-#: Rows of the model that are fetched at once.
+#: Rows of counts that are fetched at once.
 FETCHED_ROWS = 4_000_000
 #: Different words of all languages that a task holds at most before it hands on its n-gram counts, or forgets their scores.
 KEPT_WORDS = 200_000
@@ -40,6 +40,8 @@ KEPT_WORDS = 200_000
 ABOVE, BELOW = 5.0, 10.0
 #: Width of a bin of scores.
 BIN = 0.001
+#: Bins of a language at most.
+MOST_BINS = 1 << 16
 
 
 def fold_table() -> np.ndarray:
@@ -122,50 +124,52 @@ def _words(text: str) -> list[str]:
 
 
 def train(docs: DataFrame) -> DataFrame:
-    """Modified Kneser-Ney: (lang, size, gram, log_p, log_back) of each n-gram of size 1 to 4.
+    """(lang, gram, n): the counts that the model is made of, as a table; docs: (text, lang)."""
+    return written(count_grams(docs), "gram-counts")
 
-    log_p: its interpolated probability given the rest of it; log_back: weight of the next smaller size in its context (0 if it
-    is no context). Size 0 holds the weight of the uniform distribution; log_p is null for what is a context only.
+
+def estimate(gram: np.ndarray, n: np.ndarray) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Modified Kneser-Ney from sorted codes of 4-grams and their counts: by size, sorted codes, log_p and log_back of each.
+
+    log_p: a gram's interpolated probability given the rest of it (nan for what is a context only); log_back: weight of the next
+    smaller size in its context (0 if it is no context; none are kept at the highest size). Sizes below the highest count how
+    many different symbols stand before a gram. Size 0 holds the weight of the uniform distribution.
     """
-    counts = {ORDER: written(count_grams(docs), "gram-counts")}
-    for size in range(ORDER - 1, 0, -1):  # how many different symbols stand before it
-        cut = F.col("gram").bitwiseAND((1 << BITS * size) - 1).alias("gram")
-        counts[size] = written(counts[size + 1].select("lang", cut).groupBy("lang", "gram").agg(F.count("*").alias("n")), f"gram-counts-{size}")
-    model = None
+    counts = {ORDER: (gram, n)}
+    for size in range(ORDER - 1, 0, -1):
+        counts[size] = np.unique(counts[size + 1][0] & _mask(size), return_counts=True)
+    shares: dict[int, np.ndarray] = {}
+    backs: dict[int, tuple[np.ndarray, np.ndarray]] = {}
     for size in range(1, ORDER + 1):
-        c = counts[size]
-        ones = c.groupBy("lang").agg(*(F.count_if(F.col("n") == k).cast("double").alias(f"n{k}") for k in (1, 2, 3, 4)))
-        y = F.nullif(F.col("n1"), F.lit(0.0)) / (F.col("n1") + 2 * F.col("n2"))  # null: no discount can be told, half is taken
-        found = [k - (k + 1) * y * F.col(f"n{k + 1}") / F.nullif(F.col(f"n{k}"), F.lit(0.0)) for k in (1, 2, 3)]
-        cut = [F.when(d.isNull(), 0.5 * k).otherwise(F.least(F.lit(float(k)), F.greatest(F.lit(0.05 * k), d))) for k, d in enumerate(found, 1)]
-        ones = ones.select("lang", *(d.alias(f"d{k}") for k, d in enumerate(cut, 1)))
-        c = c.join(ones, "lang")
-        off = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-        c = c.select("lang", "gram", "n", F.least(off, F.col("n").cast("double")).alias("off"), F.shiftrightunsigned("gram", BITS).alias("context"))
-        contexts = c.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("off").alias("spare"))
-        c = c.join(contexts, ["lang", "context"])
-        if size == 1:
-            low = F.lit(1 / (1 << BITS))
-        else:
-            c = c.withColumn("shorter", F.col("gram").bitwiseAND((1 << BITS * (size - 1)) - 1))
-            c = c.join(lower, ["lang", "shorter"])
-            low = F.col("low")
-        p = (F.col("n") - F.col("off") + F.col("spare") * low) / F.col("total")
-        c = written(c.select("lang", "gram", p.alias("p")), f"gram-shares-{size}")  # keeps the driver's plans short
-        lower = c.select("lang", F.col("gram").alias("shorter"), F.col("p").alias("low"))
-        backs = contexts.select("lang", F.col("context").alias("gram"), F.log(F.col("spare") / F.col("total")).alias("log_back"))
-        rows = c.select("lang", F.lit(size).alias("size"), "gram", F.log("p").alias("log_p"), F.lit(0.0).alias("log_back"))
-        backs = backs.select("lang", F.lit(size - 1).alias("size"), "gram", F.lit(None).cast("double").alias("log_p"), "log_back")
-        model = rows if model is None else model.unionByName(rows)
-        model = model.unionByName(backs)
-    return model.groupBy("lang", "size", "gram").agg(F.min("log_p").alias("log_p"), F.min("log_back").alias("log_back"))
-
-
-def lots(model: DataFrame) -> list[list[str]]:
-    """Languages whose tables are sent together: MOST_ROWS rows at most, or one language."""
+        u, c = counts[size]
+        ones = [np.count_nonzero(c == k) for k in (1, 2, 3, 4)]
+        cut = [0.5, 1.0, 1.5]  # half a count, where no discount can be told
+        if ones[0]:
+            y = ones[0] / (ones[0] + 2 * ones[1])
+            cut = [min(k, max(0.05 * k, k - (k + 1) * y * ones[k] / ones[k - 1])) if ones[k - 1] else 0.5 * k for k in (1, 2, 3)]
+        off = np.minimum(np.array(cut)[np.minimum(c, 3) - 1], c)
+        context, which = np.unique(u >> BITS & _mask(size - 1), return_inverse=True)
+        total, spare = np.bincount(which, c), np.bincount(which, off)
+        low = shares[size - 1][np.searchsorted(counts[size - 1][0], u & _mask(size - 1))] if size > 1 else 1 / (1 << BITS)
+        shares[size] = (c - off + spare[which] * low) / total[which]
+        backs[size - 1] = context, np.log(spare / total)
+    out = {ORDER: (gram, np.log(shares[ORDER]).astype(np.float32), np.zeros(0, np.float32))}
+    for size in range(ORDER):
+        u = counts[size][0] if size else np.zeros(0, np.int64)
+        context, weight = backs[size]
+        codes = np.union1d(u, context)
+        log_p, log_back = np.full(len(codes), np.nan, np.float32), np.zeros(len(codes), np.float32)
+        log_p[np.searchsorted(codes, u)] = np.log(shares[size]) if size else 0
+        log_back[np.searchsorted(codes, context)] = weight
+        out[size] = codes, log_p, log_back
+    return out
+
+
+def lots(counts: DataFrame) -> list[list[str]]:
+    """Languages whose tables are sent together: MOST_ROWS rows of counts at most, or one language."""
     out: list[list[str]] = []
     held = MOST_ROWS
-    for lang, n in sorted((r["lang"], r["count"]) for r in model.groupBy("lang").count().collect()):
+    for lang, n in sorted((r["lang"], r["count"]) for r in counts.groupBy("lang").count().collect()):
         if held + n > MOST_ROWS:
             out.append([])
             held = 0
@@ -174,37 +178,29 @@ def lots(model: DataFrame) -> list[list[str]]:
     return out
 
 
-def load(model: DataFrame, langs: list[str] | None = None) -> tuple[int, dict]:
-    """Order, and sorted arrays (codes, log_p, log_back) by language and size, of all languages or some.
-
-    N-grams of the highest size are no contexts, so they have no log_back. Parts of the codes are fetched one after the other.
-    """
+def load(counts: DataFrame, langs: list[str] | None = None) -> tuple[int, dict]:
+    """Order, and the tables of estimate() by language, of all languages or some; counts are fetched part by part."""
     if langs is not None:
-        model = model.where(F.col("lang").isin(langs))
-    fetched = model.select("lang", F.col("size").cast("int"), "gram", F.col("log_p").cast("float"), F.col("log_back").cast("float"))
-    ranges = -(-model.count() // FETCHED_ROWS)
-    parts: dict = {}
+        counts = counts.where(F.col("lang").isin(langs))
+    ranges = -(-counts.count() // FETCHED_ROWS)
+    parts: dict[str, list[tuple[np.ndarray, np.ndarray]]] = {}
     for k in range(ranges):
-        rows = fetched.where(F.pmod(F.xxhash64("gram"), F.lit(ranges)) == k).toArrow()
+        some = counts.where(F.pmod(F.xxhash64("gram"), F.lit(ranges)) == k) if ranges > 1 else counts
+        rows = some.select("lang", "gram", "n").toArrow()
         if not len(rows):
             continue
         named = rows.column("lang").combine_chunks().dictionary_encode()
-        names, which = named.dictionary.to_pylist(), named.indices.to_numpy()
-        size, gram, p, back = (rows.column(c).to_numpy() for c in ("size", "gram", "log_p", "log_back"))
-        order_by = np.lexsort((gram, size, which))
-        key = which[order_by].astype(np.int64) * 8 + size[order_by]
-        for part in np.split(order_by, np.flatnonzero(np.diff(key)) + 1):
-            top = int(size[part[0]])
-            found = (gram[part], p[part], back[part] if top < ORDER else back[:0])
-            parts.setdefault(names[which[part[0]]], {}).setdefault(top, []).append(found)
-    rows = named = which = size = gram = p = back = None
-    for t in parts.values():
-        for top, found in t.items():
-            gram, p, back = map(np.concatenate, zip(*found))
-            order_by = np.argsort(gram) if len(found) > 1 else slice(None)
-            t[top] = gram[order_by], p[order_by], back[order_by] if len(back) else back
+        which, gram, n = named.indices.to_numpy(), rows.column("gram").to_numpy(), rows.column("n").to_numpy()
+        for j, lang in enumerate(named.dictionary.to_pylist()):
+            parts.setdefault(lang, []).append((gram[which == j], n[which == j]))
+    tables = {}
+    for lang, found in parts.items():
+        gram, n = map(np.concatenate, zip(*found))
+        order_by = np.argsort(gram)
+        tables[lang] = estimate(gram[order_by], n[order_by])
+    rows = some = named = which = gram = n = found = parts = None
     give_back()
-    return ORDER, parts
+    return ORDER, tables
 
 
 def _mask(size: int) -> int:
@@ -311,9 +307,9 @@ def measure(docs: DataFrame, model: tuple[int, dict], least: int = 50) -> DataFr
     return arrow_map(docs, work, schema)
 
 
-def measured_in_lots(rows: DataFrame, model: DataFrame, least: int) -> DataFrame:
+def measured_in_lots(rows: DataFrame, counts: DataFrame, least: int) -> DataFrame:
     """measure()'s table, lot by lot of languages; rows of languages without words go with the first lot."""
-    parts = lots(model) or [[]]
+    parts = lots(counts) or [[]]
     out = None
     for k, langs in enumerate(parts):
         if len(parts) == 1:
@@ -322,30 +318,35 @@ def measured_in_lots(rows: DataFrame, model: DataFrame, least: int) -> DataFrame
             mine, some = rows.where(~F.col("lang").isin([x for p in parts[1:] for x in p])), langs
         else:
             mine, some = rows.where(F.col("lang").isin(langs)), langs
-        measured = written(measure(mine, load(model, some), least), f"quality-measures-{k}")
+        measured = written(measure(mine, load(counts, some), least), f"quality-measures-{k}")
         give_back()
         out = measured if out is None else out.unionByName(measured)
     return out
 
 
-def _median(bins: DataFrame, out: str) -> DataFrame:
-    """(lang, out): the bin that holds the middle of each language's counts."""
-    upto = Window.partitionBy("lang").orderBy("bin")
-    all_ = Window.partitionBy("lang")
-    ranked = bins.withColumn("upto", F.sum("n").over(upto)).withColumn("all", F.sum("n").over(all_))
-    return ranked.where(2 * F.col("upto") >= F.col("all")).groupBy("lang").agg(F.min("bin").alias(out))
+def _middle(bins: np.ndarray, n: np.ndarray) -> int:
+    """The bin that holds the middle of the counts; bins ascend."""
+    return int(bins[np.searchsorted(2 * np.cumsum(n), n.sum())])
 
 
 def bands(measured: DataFrame, above: float = ABOVE, below: float = BELOW) -> DataFrame:
-    """(lang, low, high) of the scores of documents that pass the base rule."""
-    binned = measured.where("score IS NOT NULL AND NOT base_failed").select("lang", F.floor(F.col("score") / BIN).alias("bin"))
-    bins = written(binned.groupBy("lang", "bin").agg(F.count("*").alias("n")), "score-bins")
-    both = middle = _median(bins, "mid")
-    off = bins.join(middle, "lang").select("lang", (F.col("bin") - F.col("mid")).alias("off"), "n")
-    for out, side in (("under", -F.col("off")), ("over", F.col("off"))):
-        both = both.join(_median(off.where(side >= 0).select("lang", side.alias("bin"), "n"), out), "lang")
-    width = lambda c, times: F.greatest(F.col(c), F.lit(1)) * F.lit(times)
-    return both.select("lang", ((F.col("mid") - width("under", below)) * BIN).alias("low"), ((F.col("mid") + width("over", above) + 1) * BIN).alias("high"))
+    """(lang, low, high) of the scores of documents that pass the base rule.
+
+    Their numbers by bin come to the driver, MOST_BINS rows of a language at most; scores beyond the last bin count in it.
+    """
+    bin_ = F.least(F.floor(F.col("score") / BIN), F.lit(MOST_BINS - 1)).cast("long").alias("bin")
+    binned = measured.where("score IS NOT NULL AND NOT base_failed").select("lang", bin_)
+    found: dict[str, list[tuple[int, int]]] = {}
+    for r in binned.groupBy("lang", "bin").agg(F.count("*").alias("n")).collect():
+        found.setdefault(r["lang"], []).append((r["bin"], r["n"]))
+    rows = []
+    for lang, pairs in sorted(found.items()):
+        bins, n = np.array(sorted(pairs)).T
+        mid = _middle(bins, n)
+        under, over = bins <= mid, bins >= mid
+        down, up = _middle((mid - bins[under])[::-1], n[under][::-1]), _middle(bins[over] - mid, n[over])
+        rows.append((lang, (mid - max(down, 1) * below) * BIN, (mid + max(up, 1) * above + 1) * BIN))
+    return measured.sparkSession.createDataFrame(rows, "lang string, low double, high double")
 
 
 def assess(docs: DataFrame, above: float = ABOVE, below: float = BELOW, least: int = 50, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
@@ -353,9 +354,9 @@ def assess(docs: DataFrame, above: float = ABOVE, below: float = BELOW, least: i
     text = docs[text_col].cast("string")
     lang = F.coalesce(docs[lang_col].cast("string"), F.lit("null")).alias("lang")
     with scratch():
-        model = written(train(docs.select(text.alias("text"), lang)), "kneser-ney")
+        counts = train(docs.select(text.alias("text"), lang))
         rows = docs.select(docs[id_col].alias("doc_id"), text.alias("text"), lang, F.xxhash64(docs[id_col], text).alias("rid"))
-        measured = measured_in_lots(rows, model, least)
-        out = measured.join(bands(measured, above, below), "lang", "left")
+        measured = measured_in_lots(rows, counts, least)
+        out = measured.join(F.broadcast(bands(measured, above, below)), "lang", "left")
         inside = F.col("score").isNull() | F.col("low").isNull() | F.col("score").between(F.col("low"), F.col("high"))
         return lasting(out.withColumn("kept", ~F.col("base_failed") & inside), "assessed")
