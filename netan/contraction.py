@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from netan.storage import drop, written
@@ -20,9 +20,8 @@ def contract(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
     It ends when every edge leads from a vertex straight to the least one of its component.
     """
     now = edges.select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).where("u > v").distinct()
-    now, rounds = written(now, "contract-0"), 0
+    (now, state), rounds = _cut(now, "contract-0"), 0
     loops = edges.where("src = dst").select(F.col("src").alias("id"))
-    state = _fingerprint(now)
     while rounds < max_rounds:
         rounds += 1
         both = now.union(now.select("v", "u").toDF("u", "v"))
@@ -30,10 +29,9 @@ def contract(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
         large = written(large.where("u > v").distinct(), f"contract-large-{rounds}")
         least = _towards_least(large)
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select(F.col("u"), F.col("m").alias("v")))
-        after = written(small.where("u > v").distinct(), f"contract-{rounds}")
+        after, seen = _cut(small.where("u > v").distinct(), f"contract-{rounds}")
         drop(now, large)
-        now, before = after, state
-        state = _fingerprint(now)
+        now, before, state = after, state, seen
         if state == before:
             break
     else:
@@ -43,5 +41,8 @@ def contract(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
     return hung.unionByName(tops.select("id", F.col("id").alias("component")))
 
 
-def _fingerprint(pairs: DataFrame) -> tuple:
-    return tuple(pairs.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first())
+def _cut(pairs: DataFrame, name: str) -> tuple[DataFrame, tuple]:
+    """pairs as a table, and a fingerprint of them from the same job."""
+    seen = Observation()
+    out = written(pairs.observe(seen, F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")), name)
+    return out, (seen.get["n"], seen.get["x"])

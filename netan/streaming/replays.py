@@ -150,7 +150,7 @@ def late(spark, sf_dir):
     events = _events(spark, sf_dir)
     newest = events.agg(F.max("ts").alias("m")).first()["m"]
     recent = F.col("ts") >= F.lit(newest) - F.expr("INTERVAL 10 DAYS")
-    parts = [events.where(recent & (F.col("event_id") % 2 == 0)), events.where(recent & (F.col("event_id") % 2 == 1)), events.where(~recent)]
+    parts = [events.where(recent), events.where(~recent)]
     hours = lambda rows: rows.withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n")
     return _ntz(in_parts(spark, parts, hours, "update", ("start",)), "start")
 
