@@ -98,11 +98,11 @@ def test_cycle_has_equal_ranks(spark):
 def test_ranks_agree_at_the_fixed_point(spark):
     rng = np.random.default_rng(2)
     n = net(spark, [(int(a), int(b)) for a, b in rng.integers(0, 30, (120, 2))], True).kept()
-    want = shared_memory.pagerank(n, 1e-12)
-    some = (pagerank.power(n, 200, tolerance=1e-10), pagerank.gas(n, 1e-10), pagerank.gas(n, 1e-10, variant="delta"), pagerank.block(n, partition.by_modulo(n, 3)), pagerank.accumulative(n, 1e-11))
+    want = shared_memory.pagerank(n, 1e-12, 0.5)  # with this jump the rest halves in each step
+    some = (pagerank.power(n, 200, 0.5, tolerance=1e-9), pagerank.gas(n, 1e-9, 0.5), pagerank.gas(n, 1e-9, 0.5, variant="delta"), pagerank.block(n, partition.by_modulo(n, 3), jump=0.5), pagerank.accumulative(n, 1e-9, 0.5))
     for found in some:
         assert measures.score_distance(want, found).first()["delta_max"] < 1e-7
-    assert pagerank.residual(n, want).first()[0] == 0
+    assert pagerank.residual(n, want, 0.5).first()[0] == 0
 
 
 def test_dangling_score_is_spread(spark):
