@@ -18,7 +18,8 @@ either holds their whole overlap, so a pair whose rest is too short there is lef
 Count vectors. Shingles are hashed into groups; a class is the point of its group counts. The sum of the coordinates' minima
 of two points is at least their overlap. The points of each dealt shingle make an R-tree (up to LEAF of them are one leaf), which is
 asked for every point; nodes whose bounding box can't reach the bound are left out. Pairs within a component that is
-already known are left out too; what the tree finds is verified on the whole sets. A shingle with more than BLOCK classes is
+already known are left out too; what the tree finds is verified on the whole sets. At first only the best pair of each class
+that is not in its shingle's largest component is, then, with what that has joined, all pairs still apart. A shingle with more than BLOCK classes is
 dealt in blocks: classes of its largest component meet the others only, block by block.
 
 Nulls, and texts without words, have no shingles and link with nothing; fewer words than four make one shingle. Rows that
@@ -273,14 +274,28 @@ def _close(points: np.ndarray, others: np.ndarray, per_cent: int) -> np.ndarray:
 PAIRS = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())])
 
 
-def _tree_pairs(dealt: DataFrame, per_cent: int) -> DataFrame:
-    """(a, b): pairs of different components and sides within each key that pass the bounds; dealt: sorted by key within partitions."""
+def _tree_pairs(dealt: DataFrame, per_cent: int, best: bool = False) -> DataFrame:
+    """(a, b): pairs of different components and sides within each key that pass the bounds; dealt: sorted by key within partitions.
+
+    best: of these, for each class outside the key's largest component only the one with the highest bound.
+    """
 
     def room(n: np.ndarray, at: np.ndarray, i, j) -> np.ndarray:
         """Whether an overlap that begins with this shingle can be large enough."""
         return (100 + per_cent) * np.minimum(n[i] - at[i], n[j] - at[j]) >= per_cent * (n[i] + n[j])
 
-    def pairs(key: np.ndarray, sid: np.ndarray, comp: np.ndarray, side: np.ndarray, n: np.ndarray, at: np.ndarray, points: np.ndarray) -> dict:
+    def nearest(key: np.ndarray, others: np.ndarray, points: np.ndarray, n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Which pairs (a, b) of places are the best of either end, if that is one of the others."""
+        score = np.concatenate([np.minimum(points[a[k : k + 50_000]], points[b[k : k + 50_000]]).sum(axis=1) for k in range(0, len(a), 50_000)])
+        score = score / (n[a] + n[b])
+        end, pair = np.concatenate((a, b)), np.tile(np.arange(len(a)), 2)
+        mine = others[end]
+        end, pair = end[mine], pair[mine]
+        order = np.lexsort((-score[pair], end))
+        first = np.concatenate(([True], np.diff(end[order]) != 0)) if len(order) else np.zeros(0, bool)
+        return np.unique(pair[order][first])
+
+    def pairs(key: np.ndarray, sid: np.ndarray, comp: np.ndarray, side: np.ndarray, n: np.ndarray, at: np.ndarray, others: np.ndarray, points: np.ndarray) -> dict:
         """Trees of one leaf are read side by side, as many as there are."""
         n, at = n.astype(np.int64), at.astype(np.int64)
         first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
@@ -293,24 +308,29 @@ def _tree_pairs(dealt: DataFrame, per_cent: int) -> DataFrame:
                 break
             i = i[room(n, at, i, i + d)]
             i = i[_close(points[i], points[i + d], per_cent)]
-            a.append(sid[i])
-            b.append(sid[i + d])
+            a.append(i)
+            b.append(i + d)
         for start, m in zip(first[sizes > LEAF], sizes[sizes > LEAF]):
             tree = CountTree(points[start : start + m])
             for k in range(start, start + m):
                 near = start + tree.near(points[k], per_cent)
                 near = near[(near > k) & (comp[near] != comp[k]) & (side[near] != side[k])]
                 near = near[room(n, at, k, near)]
-                a.append(np.repeat(sid[k], len(near)))
-                b.append(sid[near])
-        x, y = (np.concatenate(z) if z else sid[:0] for z in (a, b))
+                a.append(np.repeat(k, len(near)))
+                b.append(near)
+        x, y = (np.concatenate(z).astype(np.int64) if z else np.zeros(0, np.int64) for z in (a, b))
+        if best and len(x):
+            some = nearest(key, others, points, n, x, y)
+            x, y = x[some], y[some]
+        x, y = sid[x], sid[y]
         both = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1), axis=0)
         return {"a": both[:, 0], "b": both[:, 1]}
 
     def work(batches):
         held: list[tuple] = []
         for batch in batches:
-            held.append((*(batch.column(c).to_numpy() for c in ("key", "sid", "component", "side", "n", "at")), _points(batch.column("vec"))))
+            others = batch.column("others").to_numpy(zero_copy_only=False)
+            held.append((*(batch.column(c).to_numpy() for c in ("key", "sid", "component", "side", "n", "at")), others, _points(batch.column("vec"))))
             if sum(len(x[0]) for x in held) < 50_000 or held[0][0][0] == held[-1][0][-1]:
                 continue
             rows = [np.concatenate(x) for x in zip(*held)]
@@ -419,7 +439,7 @@ def _first_links(rows: DataFrame, docs: DataFrame, classes: DataFrame, size: int
 
 
 def _in_groups(labelled: DataFrame, classes: DataFrame) -> DataFrame:
-    """(key, sid, component, side, n, at, vec) of keys with several components, each group of a key under a key of its own.
+    """(key, sid, component, side, n, at, others, vec) of keys with several components, each group of a key under a key of its own.
 
     labelled: (key, sid, n, at, component). A key of up to BLOCK classes is one group. In larger ones, the classes of the largest
     component are cut in blocks, those of all others too; groups are one block of the others with each block of either
@@ -444,7 +464,7 @@ def _in_groups(labelled: DataFrame, classes: DataFrame) -> DataFrame:
     alone = ~F.col("large") | (F.col("g.rest") & (F.col("g.x") == F.col("g.y")))
     side = F.when(alone, F.col("sid")).when(F.col("g.rest"), F.col("own")).otherwise(F.col("others").cast("long"))
     key = F.when(F.col("large"), F.xxhash64("key", "g.x", "g.rest", "g.y")).otherwise(F.col("key"))
-    out = mine.select(key.alias("key"), "sid", "component", side.alias("side"), "n", "at")
+    out = mine.select(key.alias("key"), "sid", "component", side.alias("side"), "n", "at", "others")
     return out.join(classes.select("sid", "vec"), "sid").repartition("key").sortWithinPartitions("key", "sid")
 
 
@@ -476,12 +496,15 @@ def links(rows: DataFrame, size: int, per_cent: int) -> tuple[DataFrame, DataFra
     known = _first_links(rows, docs, classes, size, per_cent)
     comp = contract(known).withColumnsRenamed({"id": "sid"})
     dealt = _dealt(rows, levels, size, per_cent)
-    labelled = dealt.join(comp, "sid", "left").withColumn("component", F.coalesce("component", "sid"))
-    labelled = written(labelled, "labelled")
-    drop(dealt)
-    more = _verified(rows, classes, _tree_pairs(_in_groups(labelled, classes), per_cent), size, per_cent)
-    drop(labelled, classes)
-    return docs, known.union(more)
+    for best in (True, False):
+        if best is False:
+            comp = contract(known).withColumnsRenamed({"id": "sid"})
+        labelled = dealt.join(comp, "sid", "left").withColumn("component", F.coalesce("component", "sid"))
+        labelled = written(labelled, "labelled")
+        known = known.union(_verified(rows, classes, _tree_pairs(_in_groups(labelled, classes), per_cent, best), size, per_cent))
+        drop(labelled)
+    drop(dealt, classes)
+    return docs, known
 
 
 def similar(docs: DataFrame, size: int = 4, per_cent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
