@@ -43,7 +43,7 @@ from netan.llm.common import arrow_map, by_bytes, fields, keyed, row_key, same_r
 from netan.llm.substring_dedup import BASE, WordHashes, mixed
 from netan.storage import drop, lasting, scratch, written
 
-GROUPS = 64
+GROUPS = 128
 #: Signatures of a class, and least shingles in each.
 SIGNATURES, MINIMA = 8, 3
 #: Characters of texts that are cut in shingles at once.
