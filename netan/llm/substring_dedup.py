@@ -12,7 +12,9 @@ windows of segments with the same anchor.
    bounded size. Each shard becomes a suffix automaton whose states carry the number of places; its segments are streamed
    through it, and a window is a repeat if the state of its `length` words has two places or more.
 4. An anchor with more contents than a shard may hold is dealt by its windows instead, each a shard of its own whose
-   automaton is a single path: the windows are counted.
+   automaton is a single path: the windows are counted. They come in lots of CORE neighbours that stand at the same places
+   about the anchor; equal windows share the words that all of a lot have, its core. Equal lots are one, and only lots whose core
+   others have too, with other windows, are taken apart.
 
 Words are compared by 64-bit hashes. Nulls and texts shorter than a window lose nothing. Rows that repeat are copies of each
 other and lose all their windows, whatever their ids. Columns beside id and text, those with names used here included, are
@@ -45,6 +47,8 @@ KEPT_WORDS = 400_000
 #: Words of segments in a reference shard, and different contents of one anchor that it may hold.
 SHARD_WORDS = 100_000
 SHARD_CONTENTS = 1_000
+#: Windows in a lot.
+CORE = 4
 
 
 class WordHashes(dict):
@@ -217,8 +221,21 @@ def match_shard(rows: list[tuple[list[int], int]], length: int) -> list[int]:
     return out
 
 
+def lots(words: np.ndarray, anchor: int, length: int) -> list[dict]:
+    """Lots of the windows of a segment's words: core, first (the window in its first place; those that follow stand one less each), windows."""
+    g = np.zeros(len(words) - GRAM + 1, np.uint64)
+    for j in range(GRAM):
+        g = g * BASE + words[j : len(g) + j]
+    off, count = int(np.argmax(mixed(g).view(np.int64) == anchor)), len(words) - length + 1
+    spans = Spans(words)
+    hashes = spans.of(np.arange(count), np.arange(count) + length).view(np.int64).tolist()
+    firsts = np.arange(off - (off - count + 1) // CORE * CORE, off - off // CORE * CORE - 1, -CORE)
+    cores = mixed(spans.of(firsts, firsts - CORE + 1 + length) + (off - firsts).astype(np.uint64)).view(np.int64)
+    return [{"core": c, "first": f, "windows": [hashes[j] if 0 <= j < count else None for j in range(f, f - CORE, -1)]} for c, f in zip(cores.tolist(), firsts.tolist())]
+
+
 def _words_of(rows: DataFrame, wanted: DataFrame, length: int) -> DataFrame:
-    """(anchor, seg, n, hot, words, windows) of wanted segments (doc_id, rid, start, count, anchor, seg, n, hot)."""
+    """(anchor, seg, n, hot, words, lots) of wanted segments (doc_id, rid, start, count, anchor, seg, n, hot)."""
     lists = wanted.groupBy("rid", "doc_id").agg(F.collect_list(F.struct("start", "count", "anchor", "seg", "n", "hot")).alias("segs"))
     joined = rows.join(lists, same_row(rows, lists)).select(rows["text"], lists["segs"])
 
@@ -227,20 +244,21 @@ def _words_of(rows: DataFrame, wanted: DataFrame, length: int) -> DataFrame:
         for batch in batches:
             texts, lists = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for a, b in by_bytes(texts):
-                out: dict[str, list] = {k: [] for k in ("anchor", "seg", "n", "hot", "words", "windows")}
+                out: dict[str, list] = {k: [] for k in ("anchor", "seg", "n", "hot", "words", "lots")}
                 for text, segs in zip(texts[a:b], lists[a:b]):
                     words = hashes.of([text.encode().split()])
-                    spans = Spans(words) if any(s["hot"] for s in segs) else None
                     for s in segs:
                         p, c = s["start"], s["count"]
                         for k in ("anchor", "seg", "n", "hot"):
                             out[k].append(s[k])
-                        out["words"].append(None if s["hot"] else words[p : p + c + length - 1].tobytes())
-                        out["windows"].append(spans.of(np.arange(p, p + c), np.arange(p, p + c) + length).view(np.int64) if s["hot"] else None)
+                        mine = words[p : p + c + length - 1]
+                        out["words"].append(None if s["hot"] else mine.tobytes())
+                        out["lots"].append(lots(mine, s["anchor"], length) if s["hot"] else None)
                 yield out
 
     long = T.LongType()
-    schema = T.StructType([T.StructField("anchor", long), T.StructField("seg", long), T.StructField("n", long), T.StructField("hot", T.BooleanType()), T.StructField("words", T.BinaryType()), T.StructField("windows", T.ArrayType(long))])
+    lot = T.StructType([T.StructField("core", long), T.StructField("first", T.IntegerType()), T.StructField("windows", T.ArrayType(long))])
+    schema = T.StructType([T.StructField("anchor", long), T.StructField("seg", long), T.StructField("n", long), T.StructField("hot", T.BooleanType()), T.StructField("words", T.BinaryType()), T.StructField("lots", T.ArrayType(lot))])
     return arrow_map(joined, work, schema)
 
 
@@ -269,6 +287,23 @@ def _match(dealt: DataFrame, length: int) -> DataFrame:
     return arrow_map(dealt, work, T.StructType([T.StructField("anchor", long), T.StructField("seg", long), T.StructField("bits", long)]))
 
 
+def _counted(words: DataFrame) -> DataFrame:
+    """(anchor, seg, bits) of hot segments' windows that have two places or more, by counts of lots and windows."""
+    single = words.where("hot").select("anchor", "seg", "n", F.inline("lots"))
+    kinds = written(single.groupBy("anchor", "core", "windows").agg(F.sum("n").alias("n")), "lots")
+    mixed_ = kinds.groupBy("anchor", "core").agg((F.min("windows") != F.max("windows")).alias("several")).where("several").select("anchor", "core")
+    each = kinds.join(mixed_, ["anchor", "core"], "left_semi").select("*", F.posexplode("windows").alias("at", "window")).where("window IS NOT NULL")
+    twice = each.groupBy("anchor", "window").agg(F.sum("n").alias("total")).where("total > 1").select("anchor", "window")
+    found = each.join(twice, ["anchor", "window"]).groupBy("anchor", "core", "windows").agg(F.bit_or(F.expr("shiftleft(1, at)")).alias("mask"))
+    whole = kinds.where("n > 1").join(mixed_, ["anchor", "core"], "left_anti")
+    whole = whole.select("anchor", "core", "windows", F.expr("aggregate(windows, struct(0 AS mask, 0 AS at), (s, w) -> struct(s.mask | IF(w IS NULL, 0, shiftleft(1, s.at)) AS mask, s.at + 1 AS at)).mask").alias("mask"))
+    bit = lambda k: F.when(F.expr(f"mask & {1 << k}") != 0, F.expr(f"shiftleft(1L, first - {k})")).otherwise(F.lit(0).cast("long"))
+    bits = bit(0)
+    for k in range(1, CORE):
+        bits = bits.bitwiseOR(bit(k))
+    return single.join(found.unionByName(whole), ["anchor", "core", "windows"]).groupBy("anchor", "seg").agg(F.bit_or(bits).alias("bits"))
+
+
 def repeats(docs: DataFrame, length: int = 35, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, rid, start, bits): bit j says that the window at word start + j is a repeat. length: 8 to 70 words."""
     if not GRAM <= length <= 62 + GRAM:
@@ -290,10 +325,7 @@ def _repeats(rows: DataFrame, length: int) -> DataFrame:
     wanted = contents.join(sizes, "anchor").select("r.*", "anchor", "seg", "n", "hot")
     words = written(_words_of(rows, wanted, length), "segment-words")
     bits = _match(words.where("NOT hot").select("anchor", "seg", "n", "words").repartition("anchor").sortWithinPartitions("anchor", "seg"), length)
-    single = words.where("hot").select("anchor", "seg", "n", F.posexplode("windows").alias("j", "window"))
-    twice = single.groupBy("window").agg(F.sum("n").alias("total")).where("total > 1").select("window")
-    hot = single.join(twice, "window").groupBy("anchor", "seg").agg(F.bit_or(F.expr("shiftleft(1L, j)")).alias("bits"))
-    bits = bits.unionByName(hot).where("bits <> 0")
+    bits = bits.unionByName(_counted(words)).where("bits <> 0")
     part = several.join(bits, ["anchor", "seg"]).select("doc_id", "rid", "start", "bits")
     return whole.unionByName(part)
 

@@ -131,6 +131,27 @@ def test_removed_spans_and_text(spark):
     assert got == {1: ("a b c", [(2, 37)]), 2: ("d", [(0, 35)])}
 
 
+def test_substring_dedup_lots_of_windows():
+    """Equal windows at the same place about an anchor lie in lots of one core, and there are a quarter as many lots."""
+    rng = np.random.default_rng(3)
+    passage = rng.integers(0, 1 << 60, 50).astype(np.uint64)
+    held, number = {}, [0, 0]
+    for _ in range(30):
+        words = np.concatenate((rng.integers(0, 1 << 60, rng.integers(0, 20)).astype(np.uint64), passage, rng.integers(0, 1 << 60, 20).astype(np.uint64)))
+        found = substring_dedup.segments(words, np.array([len(words)]), 35)
+        for start, count, anchor in zip(*(found[c].tolist() for c in ("start", "count", "anchor"))):
+            got = substring_dedup.lots(words[start : start + count + 34], anchor, 35)
+            places = sorted(lot["first"] - k for lot in got for k, w in enumerate(lot["windows"]) if w is not None)
+            assert places == list(range(count)) and len(got) <= count // 4 + 2
+            number[0] += len(got)
+            number[1] += count
+            for lot in got:
+                for k, w in enumerate(lot["windows"]):
+                    if w is not None:
+                        assert held.setdefault((anchor, w), (lot["core"], k)) == (lot["core"], k)
+    assert 2 * number[0] < number[1]
+
+
 def test_suffix_automaton_counts_places():
     texts, rng = [], random.Random(1)
     for _ in range(12):
