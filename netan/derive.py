@@ -124,6 +124,17 @@ def colink(spark, sf_dir):
     return _pairs(_links(spark, sf_dir), "page_id", "link")
 
 
+def colink_star(spark, sf_dir):
+    """Every link ties its pages to the least of them: the components of all pairs, in as many edges as there are links of pages."""
+    links = _links(spark, sf_dir)
+    hubs = links.groupBy("link").agg(F.min("page_id").alias("src"))
+    return links.join(hubs, "link").where("src <> page_id").select("src", F.col("page_id").alias("dst"))
+
+
+#: Networks with the same components, and the same vertices, as the pairs of these.
+STARS = {"colink": colink_star}
+
+
 def nearest(spark, sf_dir, k: int = 8, block_rows: int = 2000):
     """Each vector's k nearest by cosine, ties by id. Vectors are the queries, in blocks; each pair of blocks is one task's group and
     gives k of each query, so a vector travels as often as there are blocks and nothing grows with the number of pairs."""
@@ -155,3 +166,10 @@ def network(spark: SparkSession, sf_dir: str, name: str) -> Network:
     if name not in NAMES:
         raise ValueError(f"no fixture named {name}")
     return Network(globals()[name](spark, sf_dir), name in DIRECTED)
+
+
+def for_components(spark: SparkSession, sf_dir: str, name: str) -> Network:
+    """The network, or a smaller one with its vertices and components."""
+    if name not in STARS:
+        return network(spark, sf_dir, name)
+    return Network(STARS[name](spark, sf_dir))
