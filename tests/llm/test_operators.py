@@ -9,6 +9,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -131,6 +132,21 @@ def test_removed_spans_and_text(spark):
     assert got == {1: ("a b c", [(2, 37)]), 2: ("d", [(0, 35)])}
 
 
+def test_ngram_join_takes_texts_and_vectors_in_small_lots(monkeypatch):
+    texts = ["é" * 30, None, "", "a" * 500, "b", "c" * 70]
+    monkeypatch.setattr(ngram_join, "TEXT_CHARS", 100)
+    column = pa.array(["x", *texts]).slice(1)
+    got = [(t, b - a) for t, a, b in ngram_join._pieces(column)]
+    assert [x for t, _ in got for x in t] == texts and len(got) > 1 and all(len(t) == n for t, n in got)
+    points = np.random.default_rng(2).integers(0, 3, (40, ngram_join.GROUPS)).astype("<u4")
+    held = pa.array([p.tobytes() for p in points], pa.binary())
+    i, j = np.arange(39), np.arange(1, 40)
+    want = ngram_join._close(points.astype(np.int32), points.astype(np.int32), i, j, 40)
+    monkeypatch.setattr(ngram_join, "COMPARED", 7)
+    assert (ngram_join._points(held.slice(3)) == points[3:]).all() and ngram_join._points(held.slice(40)).shape == (0, ngram_join.GROUPS)
+    assert want.any() and (ngram_join._close(points.astype(np.int32), points.astype(np.int32), i, j, 40) == want).all()
+
+
 def test_substring_dedup_lots_of_windows():
     """Equal windows at the same place about an anchor lie in lots of one core, and there are a quarter as many lots."""
     rng = np.random.default_rng(3)
