@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from netan.network import Network
 from netan.ordering import numbered
+from netan.twins import Twins
 
 DIRECTED = {"trade", "handoff", "hyperlink"}
 NAMES = ("copurchase", "copurchase2", "supply", "trade", "cosupply", "handoff", "coactivity", "covalue", "chat", "geo", "sharedline", "hyperlink", "colink", "nearest", "sharedline_star")
@@ -62,9 +63,13 @@ def handoff(spark, sf_dir):
     return rows.where("dst IS NOT NULL AND src <> dst").distinct()
 
 
-def coactivity(spark, sf_dir):
+def _slots(spark, sf_dir):
     slot = F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 600).alias("slot")
-    return _pairs(_read(spark, sf_dir, "events", "ts", "user_id").select(slot, "user_id"), "user_id", "slot")
+    return _read(spark, sf_dir, "events", "ts", "user_id").select(slot, "user_id")
+
+
+def coactivity(spark, sf_dir):
+    return _pairs(_slots(spark, sf_dir), "user_id", "slot")
 
 
 def covalue(spark, sf_dir):
@@ -168,6 +173,18 @@ def network(spark: SparkSession, sf_dir: str, name: str) -> Network:
     return Network(globals()[name](spark, sf_dir), name in DIRECTED)
 
 
+#: Members and groups of networks that can be had by classes.
+GROUPED = {"colink": (_links, "page_id", "link"), "coactivity": (_slots, "user_id", "slot"), "covalue": (lambda spark, sf_dir: _read(spark, sf_dir, "events", "event_type", "value", "user_id"), "user_id", "event_type", "value")}
+
+
+def for_samples(spark: SparkSession, sf_dir: str, name: str) -> Network:
+    """The network, by classes of twins if it is one of common groups."""
+    if name not in GROUPED:
+        return network(spark, sf_dir, name).kept()
+    rows, *columns = GROUPED[name]
+    return Twins(rows(spark, sf_dir), *columns)
+
+
 def for_components(spark: SparkSession, sf_dir: str, name: str) -> Network:
     """The network, or a smaller one with its vertices and components."""
     if name not in STARS:

@@ -15,6 +15,9 @@ EDGE = T.StructType([T.StructField("src", T.LongType(), False), T.StructField("d
 class Network:
     """Normalised on entry: no null ends (they are refused by a filter), no loops, no repeats; undirected edges as src < dst."""
 
+    #: Whether lists of neighbours hold the vertex itself, which others share (netan.twins).
+    closed = False
+
     def __init__(self, edges: DataFrame, directed: bool = False, vertices: DataFrame | None = None) -> None:
         weight = F.col("weight").cast("double") if "weight" in edges.columns else F.lit(1.0)
         rows = edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), weight.alias("weight"))
@@ -74,6 +77,23 @@ class Network:
         rows = self.edges.join(keep.toDF("src"), "src", "left_semi").join(keep.toDF("dst"), "dst", "left_semi")
         return Network(rows.select("src", "dst", "weight"), self.directed)
 
+    def owned(self, asked: DataFrame) -> DataFrame:
+        """asked (id, ...) with the owner of each vertex's list of neighbours."""
+        return asked.withColumn("owner", F.col("id"))
+
+    def lists(self, wanted: DataFrame) -> DataFrame:
+        """(owner, nbrs): sorted lists of the wanted owners."""
+        rows = self.mirrored().join(wanted.select(F.col("owner").alias("src")), "src", "left_semi")
+        return rows.groupBy(F.col("src").alias("owner")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))
+
+    def pick(self, at: str) -> Column:
+        """The neighbour of `id` at a place, out of its owner's `nbrs`."""
+        return F.col("nbrs")[F.col(at)]
+
+    def kin(self, arcs: DataFrame) -> DataFrame:
+        """arcs with the end that edges name for dst."""
+        return arcs.withColumn("kin", F.col("dst"))
+
     def adjacency(self) -> DataFrame:
         """(id, nbrs): sorted lists, for methods that intersect them."""
         return self.arcs().groupBy(F.col("src").alias("id")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))

@@ -10,6 +10,8 @@ from netan.network import Network
 
 def degrees(net: Network) -> DataFrame:
     """(id, degree) with all edges of a vertex; isolated vertices have degree 0 if the network names them."""
+    if net.closed:
+        return net.degrees()
     out = net.undirected().mirrored().groupBy(F.col("src").alias("id")).agg(F.count("*").alias("degree"))
     if net.isolated is None:
         return out
