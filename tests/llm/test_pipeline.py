@@ -3,6 +3,7 @@
 import random
 
 import corpus_pipeline
+from netan.llm import ngram_join
 
 
 def test_stages(spark, tmp_path):
@@ -56,3 +57,29 @@ def test_near_copies_at_five_words(spark, tmp_path):
     other = [f"x{k}" if k in (30, 60, 90, 120, 150) else w for k, w in enumerate(first)]  # 171 of 221: 0.77
     docs = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate((first, second, other))], "doc_id long, text string")
     assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()} == {0, 2}
+
+
+def test_routes_and_texts_are_dealt_once(spark, monkeypatch):
+    """One exchange of routes on the way to the dealt keys, no table of them; one exchange of texts for both joins of the stage."""
+    plans = {}
+
+    def seen(df, name, kept=ngram_join.written):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        return kept(df, name)
+
+    monkeypatch.setattr(ngram_join, "written", seen)
+    text = [" ".join(f"w{k}x{j}" for j in range(30)) for k in range(20)]
+    rows = [(k, t) for k, t in enumerate(text)] + [(30, text[3]), (4, text[4]), (31, text[5] + " more")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    spark.conf.set("spark.sql.adaptive.autoBroadcastJoinThreshold", -1)
+    try:
+        out = corpus_pipeline.near_duplicates(spark, docs, "")
+        assert sorted(r.doc_id for r in out.collect()) == list(range(20))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.conf.unset("spark.sql.adaptive.autoBroadcastJoinThreshold")
+    assert "routes" not in plans and plans["dealt"].count("Exchange hashpartitioning") == 1
+    final = out._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    dealt = [x for x in final.splitlines() if "Exchange hashpartitioning(xxhash64(doc_id" in x or "Exchange hashpartitioning(coalesce(doc_id" in x]
+    assert sum("Reused" not in x for x in dealt) == 1, final
