@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
 import ctypes
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -68,6 +69,22 @@ def arrow_map(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator
     return df.mapInArrow(run, schema)
 
 
+#: Bytes after which a batch for a Python worker is sent; a vector grows by doubling, so that just less than a power of 2 fits in it.
+BATCH_BYTES = 7 << 20
+
+
+@contextlib.contextmanager
+def light_batches(spark: SparkSession) -> Iterator[None]:
+    """Batches for Python workers close at BATCH_BYTES in jobs that run within: else one holds 10,000 texts, in the JVM and in the worker."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(BATCH_BYTES))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def fields(df: DataFrame, *names: str) -> list[T.StructField]:
     """Fields of df by name, nullable."""
     return [T.StructField(n, df.schema[n].dataType, True) for n in names]
@@ -88,12 +105,17 @@ class Numbers(dict):
 
 def by_bytes(texts: list, most: int = 1 << 22) -> Iterator[tuple[int, int]]:
     """Ranges [a, b) of texts that hold about `most` characters each; a longer text makes a range of its own."""
-    a, size = 0, 0
-    for b, text in enumerate(texts):
-        n = len(text) if text is not None else 0
-        if size + n > most and b > a:
-            yield a, b
-            a, size = b, 0
+    return by_sizes((len(x) if x is not None else 0 for x in texts), most)
+
+
+def by_sizes(sizes: Iterable[int], most: int) -> Iterator[tuple[int, int]]:
+    """Ranges [a, b) whose sizes sum to about `most`; a larger one makes a range of its own."""
+    a, end, size = 0, 0, 0
+    for n in sizes:
+        if size + n > most and end > a:
+            yield a, end
+            a, size = end, 0
         size += n
-    if a < len(texts):
-        yield a, len(texts)
+        end += 1
+    if a < end:
+        yield a, end

@@ -18,11 +18,12 @@ import zlib
 from itertools import chain
 
 import numpy as np
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import Numbers, arrow_map, by_bytes, fields, kept, keyed
+from netan.llm.common import Numbers, arrow_map, by_sizes, fields, kept, keyed, light_batches
 from netan.llm.token_counts import library
 from netan.storage import written
 
@@ -240,9 +241,10 @@ def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int
 
         size = 0
         for batch in batches:
-            ids, texts = batch.column(0).to_pylist(), [x or "" for x in batch.column(1).to_pylist()]
-            for a, b in by_bytes(texts, 1 << 19):
-                flat, counts = pieces.encode(texts[a:b], end_id)
+            ids, sizes = batch.column(0).to_pylist(), pc.binary_length(batch.column(1)).fill_null(0).to_pylist()
+            for a, b in by_sizes(sizes, 1 << 19):
+                texts = [x or "" for x in batch.column(1).slice(a, b - a).to_pylist()]
+                flat, counts = pieces.encode(texts, end_id)
                 held_ids += ids[a:b]
                 held_counts += counts.tolist()
                 held.append(flat)
@@ -255,7 +257,8 @@ def write_ids(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int
 
     kind = rows.schema["doc_id"].dataType
     schema = T.StructType([T.StructField("part", T.IntegerType()), T.StructField("chunk", T.IntegerType()), T.StructField("doc_ids", T.ArrayType(kind)), T.StructField("lengths", T.ArrayType(T.LongType())), T.StructField("payload", T.BinaryType())])
-    return written(arrow_map(dealt, work, schema, keeps=True), "token-ids")
+    with light_batches(docs.sparkSession):
+        return written(arrow_map(dealt, work, schema, keeps=True), "token-ids")
 
 
 def read_ids(chunks: DataFrame, with_ids: bool = False) -> DataFrame:
