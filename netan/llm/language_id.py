@@ -14,21 +14,26 @@ from __future__ import annotations
 
 import re
 from collections import Counter
-from itertools import chain
+from collections.abc import Iterable, Iterator
+from itertools import chain, islice
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from netan.llm.common import Numbers, arrow_map, by_bytes, kept, keyed
+from netan.llm.common import Numbers, arrow_map, by_bytes, kept, keyed, light_batches
 from netan.llm.token_counts import library
-from netan.storage import drop, written
+from netan.storage import drop, lasting, written
 
 STRETCH = 31
-#: Different words that a worker holds before it hands on or starts anew.
-KEPT_WORDS = 500_000
+#: Different words that a worker holds before it hands their counts on, and before it starts its scores anew.
+COUNTED_WORDS = 100_000
+KEPT_WORDS = 250_000
+#: Words that a worker hands on at once, and those that it takes in before it cuts them.
+LOT = 50_000
 #: Numbers in a model at most: languages times pieces.
 MOST_NUMBERS = 128_000_000
 
@@ -51,15 +56,12 @@ class Pieces:
         self.longest = max(map(len, names))
         self.table = np.full(1 << TABLE_BITS, -1, np.int32)
         self.hashes = np.zeros(len(names), np.uint64)
-        self.probes = 1
         for some in _by_length(names):
             self.hashes[some] = list(self._spans(self._codes([names[k] for k in some])))[-1][:, -1]
         for k, at in enumerate(self._slot(self.hashes).tolist()):
-            probe = 1
             while self.table[at] >= 0:
-                at, probe = (at + 1) % len(self.table), probe + 1
+                at = (at + 1) % len(self.table)
             self.table[at] = k
-            self.probes = max(self.probes, probe)
 
     def __len__(self) -> int:
         return self.other + 1
@@ -87,15 +89,16 @@ class Pieces:
         out = np.full((m, top, len(words)), -1, np.int32)
         for k, h in zip(range(top), self._spans(self._codes(words))):
             flat = h.T.ravel()
-            at, found = self._slot(flat), np.full(len(flat), -1, np.int32)
-            for _ in range(self.probes):
-                piece = self.table[at]
-                hit = np.flatnonzero(piece >= 0)
-                hit = hit[self.hashes[piece[hit]] == flat[hit]]
-                found[hit] = piece[hit]
-                at = (at + 1) % len(self.table)
-                if not (piece >= 0).any():
-                    break
+            at, found = self._slot(flat), out[k:, k].reshape(-1)
+            piece = self.table[at]
+            left = np.flatnonzero(piece >= 0)  # the others' slots are empty
+            at, piece = at[left], piece[left]
+            while len(left):
+                hit = self.hashes[piece] == flat[left]
+                found[left[hit]] = piece[hit]
+                at = (at[~hit] + 1) % len(self.table)
+                left, piece = left[~hit], self.table[at]
+                at, left, piece = at[piece >= 0], left[piece >= 0], piece[piece >= 0]
             out[k:, k] = found.reshape(m - k, len(words))
         single = out[:, 0]
         single[single < 0] = self.other
@@ -181,29 +184,37 @@ def expected(lattice: np.ndarray, p: np.ndarray, weight: np.ndarray, out: np.nda
                 np.add.at(out, ids, alpha[j - k - 1, some] * flow)
 
 
+def lots(batches: Iterable[pa.RecordBatch], rows: int) -> Iterator[pa.Table]:
+    """The batches in tables of this many rows or more; the last one may have fewer."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        held.append(batch)
+        if sum(map(len, held)) >= rows:
+            yield pa.Table.from_batches(held)
+            held = []
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def count_words(docs: DataFrame) -> DataFrame:
-    """(lang, word, n) over whole texts; docs: (text, lang) with no null lang."""
+    """(lang, word, n) over whole texts; docs: (text, lang) with no null lang. Workers hand on counts, which Spark adds up."""
 
     def work(batches):
         held: dict[str, Counter] = {}
 
         def handed():
-            for lang, raw in held.items():
-                words: Counter = Counter()
-                for w, n in raw.items():
-                    for x in stretches(w):
-                        words[x] += n
-                names = list(words)
-                for a in range(0, len(names), 50_000):
-                    part = names[a : a + 50_000]
-                    yield {"lang": [lang] * len(part), "word": part, "n": [words[w] for w in part]}
+            for lang, words in held.items():
+                rest = iter(words.items())
+                while some := list(islice(rest, LOT)):
+                    parts = [(x, n) for w, n in some for x in stretches(w)]
+                    yield {"lang": [lang] * len(parts), "word": [x for x, _ in parts], "n": [n for _, n in parts]}
             held.clear()
 
         for batch in batches:
             for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 if text:
                     held.setdefault(lang, Counter()).update(letter_runs(text))
-            if sum(map(len, held.values())) > KEPT_WORDS:
+            if sum(map(len, held.values())) > COUNTED_WORDS:
                 yield from handed()
         yield from handed()
 
@@ -213,7 +224,8 @@ def count_words(docs: DataFrame) -> DataFrame:
 
 def train(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", rounds: int = 2, smoothing: float = 0.05) -> tuple[list[str], np.ndarray]:
     """Languages, and their log-probabilities by (piece, language)."""
-    words = written(count_words(docs), "language-words")
+    with light_batches(docs.sparkSession):
+        words = written(count_words(docs), "language-words")
     langs = [r[0] for r in words.select("lang").distinct().orderBy("lang").collect()]
     size = len(Pieces(vocabulary))
     if len(langs) * size > MOST_NUMBERS:
@@ -224,27 +236,25 @@ def train(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", rounds: int
         sent = sc.broadcast((langs, p))
 
         def work(batches, sent=sent):
-            pieces = Pieces(vocabulary)
+            pieces = kept(("pieces", vocabulary), lambda: Pieces(vocabulary))
             names, p = sent.value
             column = {x: k for k, x in enumerate(names)}
             total: dict[str, np.ndarray] = {}
-            for batch in batches:
-                lang, word, n = (batch.column(k).to_pylist() for k in range(3))
-                lang, n = np.array(lang, object), np.array(n, float)
-                for a in range(0, len(word), 200_000):
-                    part = word[a : a + 200_000]
-                    for some in _by_length(part):
-                        lattice = pieces.lattice([part[k] for k in some])
-                        whose = lang[a:][some]
-                        for x in set(whose):
-                            mine = whose == x
-                            out = total.setdefault(x, np.zeros(size))
-                            expected(lattice[:, :, mine], p[:, column[x]].astype(float), n[a:][some][mine], out)
+            for rows in lots(batches, LOT):
+                word = rows.column("word").to_pylist()
+                whose = np.fromiter(map(column.__getitem__, rows.column("lang").to_pylist()), np.int64, len(word))
+                n = rows.column("n").to_numpy().astype(float)
+                for some in _by_length(word):
+                    lattice, mine = pieces.lattice([word[k] for k in some]), whose[some]
+                    for k in np.unique(mine):
+                        one = np.flatnonzero(mine == k)
+                        out = total.setdefault(names[k], np.zeros(size))
+                        expected(lattice[:, :, one], p[:, k].astype(float), n[some][one], out)
             for x, out in total.items():
                 yield {"lang": [x] * size, "piece": np.arange(size), "n": out}
 
         schema = T.StructType([T.StructField("lang", T.StringType()), T.StructField("piece", T.LongType()), T.StructField("n", T.DoubleType())])
-        found = arrow_map(words, work, schema).groupBy("lang", "piece").agg(F.sum("n").alias("n")).toArrow()
+        found = arrow_map(words, work, schema, keeps=True).groupBy("lang", "piece").agg(F.sum("n").alias("n")).toArrow()
         column = {x: k for k, x in enumerate(langs)}
         counts = np.zeros(p.shape)
         counts[found.column("piece").to_numpy(), [column[x] for x in found.column("lang").to_pylist()]] = found.column("n").to_numpy()
@@ -336,4 +346,5 @@ def identify(docs: DataFrame, vocabulary: str = "piece_bpe_32k.model", lang_col:
     out = held_out(docs)
     seen = docs.where(~out & docs[lang_col].isNotNull()).select(docs["text"].cast("string").alias("text"), docs[lang_col].cast("string").alias("lang"))
     rows = predict(docs, train(seen, vocabulary), vocabulary, "doc_id", "text", out.alias("held_out"))
-    return rows.select("doc_id", "held_out", "lang_pred", "score")
+    with light_batches(docs.sparkSession):
+        return lasting(rows.select("doc_id", "held_out", "lang_pred", "score"), "languages")

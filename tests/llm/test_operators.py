@@ -331,6 +331,38 @@ def test_language_id(spark):
     assert {r.lang_pred for r in language_id.identify(docs.withColumn("lang", F.lit(None).cast("string"))).collect()} == {"und"}
 
 
+def test_language_workers_take_in_bounded_batches_and_lots(spark, tmp_path, monkeypatch):
+    """Of 30 MB of texts in one task, no worker holds more than a batch, and no more different words than it may count."""
+    from netan.llm import common
+
+    def watched(df, work, schema, keeps=False):
+        def run(batches):
+            def small():
+                for b in batches:
+                    assert b.nbytes < 2 * common.BATCH_BYTES, "a batch is too large"
+                    yield b
+
+            for columns in work(small()):
+                assert len(columns.get("word", ())) <= 1000, "too many words at once"
+                yield columns
+
+        return common.arrow_map(df, run, schema, keeps)
+
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    word = lambda n: "".join(letters[n // 26**k % 26] for k in range(3))
+    rows = [(k, " ".join(map(word, range(k, k + 3000))) + " the" * 150_000, ("en", "de")[k % 2]) for k in range(50)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").coalesce(1).write.parquet(str(tmp_path / "d"))
+    docs = spark.read.parquet(str(tmp_path / "d")).coalesce(1)
+    monkeypatch.setattr(language_id, "arrow_map", watched)
+    monkeypatch.setattr(language_id, "COUNTED_WORDS", 500)
+    monkeypatch.setattr(language_id, "LOT", 1000)
+    with common.light_batches(spark):
+        counts = {(r.lang, r.word): r.n for r in language_id.count_words(docs.select("text", "lang")).collect()}
+    want = Counter((lang, "▁" + w) for _, text, lang in rows for w in text.split())
+    assert counts == dict(want)
+    assert len(rows_of(language_id.identify(docs))) == 50
+
+
 # --- 5 decontamination
 
 
