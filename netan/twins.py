@@ -137,6 +137,12 @@ class Twins(Network):
         both = pairs.join(gs.toDF("a", "ga"), "a").join(gs.toDF("b", "gb"), "b")
         return both.withColumn("closed", F.arrays_overlap("ga", "gb")).drop("ga", "gb")
 
+    def told(self, pairs: DataFrame) -> DataFrame:
+        """(k, closed) of pairs (k, a, b, block), each looked for in the groups of a by a's block."""
+        asks = self.owned(pairs.withColumnRenamed("a", "id")).select("owner", self._part(pairs), self._slice("b").alias("slice"), "block", "k", "b")
+        asks = asks.groupBy("owner", "part", "slice", "block").agg(F.collect_list(F.struct("k", "b")).alias("rows"))
+        return self._meet(asks, _hits, "k long, closed boolean", ["block"])
+
     def kept(self, storage=None) -> "Twins":
         return self
 
@@ -237,3 +243,12 @@ def _each(asks: pa.Table, members: pa.Table, of: str, answer) -> tuple[pa.Struct
 def _places(asks: pa.Table, members: pa.Table) -> pa.Table:
     rows, near = _each(asks, members, "at", lambda ids, seen, at: ids[np.flatnonzero(seen)[at]])
     return pa.table({"k": rows.field("k"), "id": rows.field("id"), "s": rows.field("s").cast(pa.int32()), "near": pa.array(near, pa.int64())})
+
+
+def _hits(asks: pa.Table, members: pa.Table) -> pa.Table:
+    def hit(ids, seen, b):
+        at = np.minimum(np.searchsorted(ids, b), len(ids) - 1)
+        return seen[at] & (ids[at] == b) if len(ids) else np.zeros(len(b), bool)
+
+    rows, closed = _each(asks, members, "b", hit)
+    return pa.table({"k": rows.field("k"), "closed": pa.array(closed.astype(bool), pa.bool_())})

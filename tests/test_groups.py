@@ -37,3 +37,10 @@ def test_alike_draws_need_no_links_of_classes(spark, events, tables):
     assert "class-links" not in tables
     plain = Network(derive.coactivity(spark, events)).kept()
     assert found == clustering.approx_average_local(plain, 100_000).collect() and 0 < found[0]["links"] < 100_000
+
+
+def test_blocks_hold_groups_and_no_links_of_classes(spark, events, tables):
+    found = catalogue.queries()["clu_approx_block_covalue"](spark, events).collect()
+    assert "class-links" not in tables
+    plain = Network(derive.covalue(spark, events)).kept()
+    assert found == clustering.approx_block(plain, 10_000).collect() and 0 < found[0]["links"] < 10_000
